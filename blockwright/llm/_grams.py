@@ -135,8 +135,8 @@ def shingles(h: np.ndarray, off: np.ndarray, k: int) -> tuple[np.ndarray, np.nda
     pos = np.repeat(off[:-1] - out_off[:-1], count) + np.arange(out_off[-1])
     out = acc[pos]
     for i in np.flatnonzero((n > 0) & (n < k)):
-        v = h[off[i]]
-        for x in h[off[i] + 1 : off[i + 1]]:
-            v = mix((v * np.uint64(3) + x)[None])[0]
-        out[out_off[i]] = v
+        v = h[off[i] : off[i] + 1]
+        for at in range(off[i] + 1, off[i + 1]):
+            v = mix(v * np.uint64(3) + h[at : at + 1])
+        out[out_off[i]] = v[0]
     return out, out_off

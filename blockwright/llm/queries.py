@@ -1,11 +1,15 @@
 """Queries of the training-text operators, and their SQL where SQL can express them."""
 
-from . import compression_classifier, language_id, quality_rules
+from . import compression_classifier, language_id, line_dedup, near_dedup, quality_rules
 
 QUERIES = {
     "op2_compression_classifier": compression_classifier.op2_compression_classifier,
+    "op3_line_dedup": line_dedup.op3_line_dedup,
     "op4_language_id": language_id.op4_language_id,
     "op7_quality_rules": quality_rules.op7_quality_rules,
+    "op9_near_dedup": near_dedup.op9_near_dedup,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op3_line_dedup": line_dedup.OP3_SQL,
+}
