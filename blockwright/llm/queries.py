@@ -1,15 +1,21 @@
 """Queries of the training-text operators, and their SQL where SQL can express them."""
 
-from . import compression_classifier, language_id, line_dedup, near_dedup, quality_rules
+from . import compression_classifier, language_id, line_dedup, mixing, near_dedup, packing, quality_rules
 
 QUERIES = {
-    "op2_compression_classifier": compression_classifier.op2_compression_classifier,
-    "op3_line_dedup": line_dedup.op3_line_dedup,
-    "op4_language_id": language_id.op4_language_id,
-    "op7_quality_rules": quality_rules.op7_quality_rules,
-    "op9_near_dedup": near_dedup.op9_near_dedup,
+    f.__name__: f
+    for f in (
+        mixing.op1_mixing,
+        compression_classifier.op2_compression_classifier,
+        line_dedup.op3_line_dedup,
+        language_id.op4_language_id,
+        packing.op6_best_fit_packing,
+        quality_rules.op7_quality_rules,
+        near_dedup.op9_near_dedup,
+    )
 }
 
 ORACLES: dict[str, str] = {
+    "op1_mixing": mixing.OP1_SQL,
     "op3_line_dedup": line_dedup.OP3_SQL,
 }
