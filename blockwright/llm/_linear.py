@@ -30,25 +30,41 @@ def sigmoid(x: np.ndarray) -> np.ndarray:
 
 
 def logistic(rows: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, dims: int, l2: float = 1e-6, rounds: int = 120, rate: float = 0.3) -> tuple[np.ndarray, float]:
-    """Weights and intercept of class-balanced logistic regression over sparse rows (indices, values), by full-batch Adam."""
-    idx = np.concatenate([r[0] for r in rows]) if rows else np.zeros(0, np.int64)
-    val = np.concatenate([r[1] for r in rows]) if rows else np.zeros(0)
-    used, idx = np.unique(idx, return_inverse=True)
+    """Weights and intercept of class-balanced logistic regression over sparse rows (indices, values), by full-batch Adam. `rows` is used up."""
     n_of = np.array([len(r[0]) for r in rows])
-    of = np.repeat(np.arange(len(rows)), n_of)
+    ends = np.concatenate([[0], np.cumsum(n_of)])
+    idx, val = np.empty(ends[-1], np.int32), np.empty(ends[-1], np.float32)
+    seen = np.zeros(dims, bool)
+    for i in range(len(rows)):
+        idx[ends[i] : ends[i + 1]], val[ends[i] : ends[i + 1]] = rows[i]
+        seen[rows[i][0]] = True
+        rows[i] = None  # the arrays now hold it
+    # only features that occur have a weight
+    used = np.flatnonzero(seen)
+    number = np.zeros(dims, np.int32)
+    number[used] = np.arange(len(used))
+    # blocks of rows keep what a step needs beside the data small
+    cuts = np.unique(np.searchsorted(ends, np.arange(0, ends[-1] + (1 << 19), 1 << 19)).clip(0, len(rows)))
+    blocks = [(i, j, ends[i], ends[j]) for i, j in zip(cuts[:-1], cuts[1:])]
+    for _, _, lo, hi in blocks:
+        idx[lo:hi] = number[idx[lo:hi]]
     share = np.where(y > 0, 0.5 / max(y.sum(), 1), 0.5 / max((1 - y).sum(), 1))
     w, b = np.zeros(len(used)), 0.0
     m, v, mb, vb = np.zeros(len(used)), np.zeros(len(used)), 0.0, 0.0
     for k in range(1, rounds + 1):
-        z = np.bincount(of, val * w[idx], len(rows)) + b
-        d = (sigmoid(z) - y) * share
-        g = np.bincount(idx, val * d[of], len(used)) + l2 * w
-        gb = d.sum()
+        g, gb = l2 * w, 0.0
+        w32 = w.astype(np.float32)
+        for i, j, lo, hi in blocks:
+            x, c = val[lo:hi], idx[lo:hi]
+            total = np.concatenate([[0.0], np.cumsum(x * w32[c], dtype=np.float64)])
+            d = (sigmoid(total[ends[i + 1 : j + 1] - lo] - total[ends[i:j] - lo] + b) - y[i:j]) * share[i:j]
+            g += np.bincount(c, x * np.repeat(d, n_of[i:j]), len(used))
+            gb += d.sum()
         m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g
         mb, vb = 0.9 * mb + 0.1 * gb, 0.99 * vb + 0.01 * gb * gb
         c1, c2 = 1 - 0.9**k, 1 - 0.99**k
         w -= rate * (m / c1) / (np.sqrt(v / c2) + 1e-9)
         b -= rate * (mb / c1) / (np.sqrt(vb / c2) + 1e-9)
-    full = np.zeros(dims, np.float32)
-    full[used] = w
-    return full, float(b)
+    out = np.zeros(dims, np.float32)
+    out[used] = w
+    return out, float(b)

@@ -53,7 +53,7 @@ def features(text: str, bits: int = BITS) -> tuple[np.ndarray, np.ndarray]:
     idx = np.concatenate(parts)
     val = np.concatenate([np.full(len(p), 1 / max(len(p), 1)) for p in parts])
     at, inv = np.unique(idx, return_inverse=True)
-    return at, np.bincount(inv, val, len(at)) * 10
+    return at.astype(np.int32), (np.bincount(inv, val, len(at)) * 10).astype(np.float32)
 
 
 def margins(buf: np.ndarray, off: np.ndarray, w: np.ndarray, b: float, bits: int = BITS) -> np.ndarray:
@@ -69,7 +69,7 @@ def margins(buf: np.ndarray, off: np.ndarray, w: np.ndarray, b: float, bits: int
     return z
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, target: str, max_train: int, seed: int) -> list:
+def labelled_sample(docs: DataFrame, labels: DataFrame, target: str, max_train: int, seed: int) -> list[tuple[str, int]]:
     """At most `max_train` labelled rows (text, y), those of the lowest seeded hash; a document labelled both ways is left out."""
     y = labels.where(F.col("doc_id").isNotNull() & F.col(target).isin(0, 1)).groupBy("doc_id").agg(F.min(target).alias("y"), F.max(target).alias("y2")).where("y = y2")
     picked = y.orderBy(F.xxhash64(F.col("doc_id"), F.lit(seed)), "doc_id").limit(max_train).select("doc_id", "y")
@@ -90,9 +90,12 @@ def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", max_train:
     held = np.zeros(len(rows), bool)
     for c in (0, 1):
         held[np.flatnonzero(y == c)[3::4]] = True
-    w, b = logistic([r for r, h in zip(x, held) if not h], y[~held], 1 << bits)
+    kept_out = [r for r, h in zip(x, held) if h]
+    train = [r for r, h in zip(x, held) if not h]
+    del x, rows
+    w, b = logistic(train, y[~held], 1 << bits)
     if held.any() and y[held].min() < y[held].max():
-        z = np.array([(v * w[i]).sum() + b for (i, v), h in zip(x, held) if h])
+        z = np.array([(v * w[i]).sum() + b for i, v in kept_out])
         a, c = platt(z, y[held])
     else:
         a, c = 1.0, 0.0
