@@ -9,12 +9,13 @@ both, of N in all, the disclosure of e by t is
     log2(n(t,e) N / (n(t) n(e))) / log2(N / n(e)),
 
 the point-wise mutual information as a share of what there is to learn about e. A term
-seen with e in at least `MIN_SUPPORT` contexts whose disclosure reaches `DISCLOSURE` is
-generalised wherever it stands in a line of a document: a capitalised word to <NAME>, any
-other to <TERM>.
+seen with e in at least `MIN_SUPPORT` independent contexts whose disclosure reaches
+`DISCLOSURE` is generalised wherever it stands: a capitalised word to <NAME>, any other to
+<TERM>.
 
-All counts are over the whole corpus; a line that is repeated is one context, so copies
-prove nothing. Only terms that pass the support test with some entity are counted beyond
+All counts are over the whole corpus; a line that is repeated is one context, and edited
+copies of a line prove nothing either: contexts are independent so far as the least hashes
+of their terms differ, and at least half of a term's contexts with e must be so. Only terms that pass the support test with some entity are counted beyond
 the lines with entities. The documents that hold revealing terms are joined back by
 broadcast while their list is under `BROADCAST_BYTES`, else by a shuffle.
 
@@ -83,24 +84,29 @@ def revealing(docs: DataFrame, min_support: int = MIN_SUPPORT, disclosure: float
     """
     text = F.col("text")
     keyed = docs.where(text.isNotNull()).select("doc_id", F.xxhash64("text").alias("fp"), "text")
-    lines = keyed.where(text.rlike(_HINT)).select(F.explode(F.split("text", "\n", -1)).alias("line")).where(F.col("line").rlike(_HINT))
+    lines = keyed.where(text.rlike(_HINT)).select(F.explode_outer(F.split("text", "\n", -1)).alias("line")).where(F.col("line").rlike(_HINT))
     bare = masked(F.col("line"))
-    held = lines.select(F.xxhash64("line").alias("context"), _entities(F.col("line")).alias("e"), _terms(F.regexp_replace(bare, "<[A-Z]+>", " ")).alias("t")).where(F.size("e") > 0).dropDuplicates(["context"])
+    held = lines.select(F.xxhash64("line").alias("context"), _entities(F.col("line")).alias("e"), _terms(F.regexp_replace(bare, "<[A-Z]+>", " ")).alias("t")).withColumn("least", F.array_min(F.transform("t", lambda x: F.xxhash64(x)))).where(F.size("e") > 0).dropDuplicates(["context"])
     held = cut(held, "entities")
     n_e = held.select(F.explode("e").alias("entity")).groupBy("entity").agg(F.count("*").alias("n_e"))
     # an entity seen in too few contexts can't pass the support test with any term
     often = n_e.where(F.col("n_e") >= min_support)
-    pairs = held.select("t", F.explode("e").alias("entity")).join(often, "entity").select("entity", "n_e", F.explode("t").alias("term")).groupBy("entity", "n_e", "term").agg(F.count("*").alias("n_te")).where(F.col("n_te") >= min_support)
-    pairs = cut(pairs, "pairs")
+    pairs = held.select("t", "least", F.explode("e").alias("entity")).join(often, "entity").select("entity", "n_e", "least", F.explode("t").alias("term")).groupBy("entity", "n_e", "term").agg(F.count("*").alias("n_te"), F.count_distinct("least").alias("n_own")).where((F.col("n_own") >= min_support) & (2 * F.col("n_own") >= F.col("n_te")))
+    n = keyed.select(F.explode_outer(F.split("text", "\n", -1)).alias("line")).agg(F.approx_count_distinct("line", 0.01)).first()[0]
+
+    def share(n_t):
+        return F.log2(F.col("n_te") * F.lit(float(n)) / (F.greatest(n_t, F.col("n_te")) * F.col("n_e"))) / F.log2(F.lit(float(n)) / F.col("n_e"))
+
+    # a term has at least the contexts it has beside entities; if that already makes it too common, no more counting can help
+    beside = held.select(F.explode_outer("t").alias("term")).groupBy("term").agg(F.count("*").alias("n_min"))
+    pairs = cut(pairs.join(beside, "term").where(F.col("n_e") < n).where(share(F.col("n_min")) >= disclosure), "pairs")
     terms = pairs.select("term").distinct()
     if terms.isEmpty():
         return None
-    words = keyed.select("doc_id", "fp", F.explode(F.split("text", "\n", -1)).alias("line")).select("doc_id", "fp", F.xxhash64("line").alias("context"), F.explode(_terms(F.col("line"))).alias("term"))
+    words = keyed.select("doc_id", "fp", F.explode_outer(F.split("text", "\n", -1)).alias("line")).select("doc_id", "fp", F.xxhash64("line").alias("context"), F.explode_outer(_terms(F.col("line"))).alias("term"))
     places = cut(words.join(terms, "term"), "places")
-    n = keyed.select(F.explode(F.split("text", "\n", -1)).alias("line")).agg(F.approx_count_distinct("line", 0.01)).first()[0]
     n_t = places.select("term", "context").distinct().groupBy("term").agg(F.count("*").alias("n_t"))
-    share = F.log2(F.col("n_te") * F.lit(float(n)) / (F.greatest("n_t", "n_te") * F.col("n_e"))) / F.log2(F.lit(float(n)) / F.col("n_e"))
-    found = pairs.join(n_t, "term").where(F.col("n_e") < n).select("term", "entity", "n_te", "n_t", "n_e", share.alias("disclosure")).where(F.col("disclosure") >= disclosure)
+    found = pairs.join(n_t, "term").select("term", "entity", "n_te", "n_t", "n_e", share(F.col("n_t")).alias("disclosure")).where(F.col("disclosure") >= disclosure)
     return found, places.select("doc_id", "fp", "term").distinct()
 
 
