@@ -61,7 +61,8 @@ def _count_bpe(docs: DataFrame, ranks_file: str) -> DataFrame:
 def pieces(docs: DataFrame, capacity: int, tokenizer: str | None = None) -> DataFrame:
     """(item, doc_id, piece, first_token, n_tokens): whole bins and a rest of each document."""
     counted = _count_bpe(docs, tokenizer) if tokenizer else docs.select("doc_id", n_tokens(F.col("text")).alias("n"))
-    p = counted.where("n > 0").select("doc_id", "n", F.posexplode(F.sequence(F.lit(0).cast("bigint"), F.col("n") - 1, F.lit(capacity).cast("bigint"))).alias("piece", "first_token"))
+    # the outer form, as for the inner one Spark would infer a filter that counts all tokens once more
+    p = counted.where("n > 0").select("doc_id", "n", F.posexplode_outer(F.sequence(F.lit(0).cast("bigint"), F.col("n") - 1, F.lit(capacity).cast("bigint"))).alias("piece", "first_token"))
     return p.select(F.monotonically_increasing_id().alias("item"), "doc_id", "piece", "first_token", F.least(F.lit(capacity).cast("bigint"), F.col("n") - F.col("first_token")).cast("int").alias("n_tokens"))
 
 
