@@ -69,27 +69,34 @@ def margins(buf: np.ndarray, off: np.ndarray, w: np.ndarray, b: float, bits: int
     return z
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, target: str, max_train: int, seed: int) -> list[tuple[str, int]]:
-    """At most `max_train` labelled rows (text, y), those of the lowest seeded hash; a document labelled both ways is left out."""
+def sample_rows(docs: DataFrame, labels: DataFrame, target: str, max_train: int, seed: int) -> DataFrame:
+    """(doc_id, text, y) of at most `max_train` labelled documents, those of the lowest seeded hash; a document labelled both ways is left out."""
     y = labels.where(F.col("doc_id").isNotNull() & F.col(target).isin(0, 1)).groupBy("doc_id").agg(F.min(target).alias("y"), F.max(target).alias("y2")).where("y = y2")
     picked = y.orderBy(F.xxhash64(F.col("doc_id"), F.lit(seed)), "doc_id").limit(max_train).select("doc_id", "y")
-    rows = docs.select("doc_id", "text").where("length(trim(text)) > 0").join(F.broadcast(picked), "doc_id").select("doc_id", "text", "y").collect()
+    return docs.select("doc_id", "text").where("length(trim(text)) > 0").join(F.broadcast(picked), "doc_id").select("doc_id", "text", F.col("y").cast("int").alias("y"))
+
+
+def distinct_sample(rows: list[tuple]) -> list[tuple[str, int]]:
+    """(text, y) of sampled rows (doc_id, text, y) in order of doc_id; of rows of one doc_id the first text."""
     seen: dict = {}
-    for r in sorted(rows, key=lambda r: (r["doc_id"], r["text"])):
-        seen.setdefault(r["doc_id"], (r["text"], int(r["y"])))
+    for i, text, y in sorted(rows):
+        seen.setdefault(i, (text, y))
     return list(seen.values())
 
 
-def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", max_train: int = MAX_TRAIN, seed: int = 7, bits: int = BITS) -> dict:
-    """Model: weights, intercept and calibration (a, b). Every fourth sampled row is kept for calibration."""
-    rows = labelled_sample(docs, labels, target, max_train, seed)
+def labelled_sample(docs: DataFrame, labels: DataFrame, target: str, max_train: int, seed: int) -> list[tuple[str, int]]:
+    return distinct_sample([tuple(r) for r in sample_rows(docs, labels, target, max_train, seed).collect()])
+
+
+def fit_rows(rows: list[tuple[str, int]], bits: int = BITS) -> dict:
+    """Model of (text, y) rows: weights, intercept and calibration (a, b). Every fourth row of a class is kept for calibration."""
     y = np.array([r[1] for r in rows], float)
     if len(rows) < 4 or y.min() == y.max():
         raise ValueError("quality rules need labelled documents of both classes")
-    x = [features(r[0], bits) for r in rows]
     held = np.zeros(len(rows), bool)
     for c in (0, 1):
         held[np.flatnonzero(y == c)[3::4]] = True
+    x = [features(r[0], bits) for r in rows]
     kept_out = [r for r, h in zip(x, held) if h]
     train = [r for r, h in zip(x, held) if not h]
     del x, rows
@@ -102,6 +109,24 @@ def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", max_train:
     return {"w": w, "b": b, "a": a, "c": c, "bits": bits}
 
 
+def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", max_train: int = MAX_TRAIN, seed: int = 7, bits: int = BITS) -> dict:
+    """Model fitted on the bounded sample, in one task: only the weights come to the driver."""
+
+    def run(batches):
+        rows = [t for b in batches for t in zip(*(c.to_pylist() for c in b.columns))]
+        try:
+            m = fit_rows(distinct_sample(rows), bits)
+        except ValueError:
+            return
+        yield pa.RecordBatch.from_arrays([pa.array([m["w"].tobytes()], pa.binary()), *[pa.array([float(m[k])]) for k in ("b", "a", "c")]], ["w", "b", "a", "c"])
+
+    got = sample_rows(docs, labels, target, max_train, seed).repartition(1).mapInArrow(run, "w binary, b double, a double, c double").collect()
+    if not got:
+        raise ValueError("quality rules need labelled documents of both classes")
+    m = got[0]
+    return {"w": np.frombuffer(m["w"], np.float32), "b": m["b"], "a": m["a"], "c": m["c"], "bits": bits}
+
+
 def score(docs: DataFrame, model: dict, reject: float = REJECT, accept: float = ACCEPT) -> DataFrame:
     """(doc_id, probability, verdict, kept) of every row."""
     kind = docs.schema["doc_id"].dataType.simpleString()
