@@ -40,12 +40,61 @@ class Split:
     pairs: np.ndarray
     progress: bool
 
-    def key(self, f: Features):
-        return (self.score, len(self.sizes), float(self.sizes.max()) if len(self.sizes) else 0.0, f.library[self.h].name)
+
+@dataclass
+class Scores:
+    """What every function does to a node, one entry a function."""
+
+    score: np.ndarray
+    broken: np.ndarray
+    n_heavy: np.ndarray
+    largest: np.ndarray
+    progress: np.ndarray
+
+
+class _Flat:
+    """Codes of all functions in one numbering, so that one count serves all functions of a node."""
+
+    def __init__(self, f: Features):
+        width = np.array([len(v) + 1 for v in f.values])
+        self.start = np.concatenate([[0], np.cumsum(width)[:-1]])
+        self.n = int(width.sum())
+        self.light = np.zeros(self.n, bool)
+        self.light[self.start] = True
+        self.codes = f.codes + self.start[None]
+        self.pairs = f.pair_code + self.start[None]
+        self.rank = np.argsort(np.argsort([h.name for h in f.library]))
+
+
+def _flat(f: Features) -> _Flat:
+    if not hasattr(f, "_flat"):
+        f._flat = _Flat(f)
+    return f._flat
+
+
+def score_all(f: Features, sig: np.ndarray, prs: np.ndarray, cap: int, scorer: str, min_shrink: float = 1.0) -> Scores:
+    """Score all functions at the node of signatures `sig` and pairs `prs`."""
+    t, k = _flat(f), len(f.library)
+    size = np.bincount(t.codes[sig].ravel(), np.repeat(f.count[sig], k), t.n)
+    same = f.same[prs]
+    pairs = np.bincount(t.pairs[prs].ravel(), same.ravel(), t.n)
+    heavy = (size > cap) & ~t.light
+    broken = (len(prs) - same.sum(0)).astype(float)
+    if scorer == "optimistic":
+        score = broken
+    elif scorer in ("pessimistic", "expected"):
+        parts = np.ceil(size / cap)
+        risk = pairs if scorer == "pessimistic" else pairs * (parts - 1) / np.maximum(parts, 1)
+        score = broken + np.add.reduceat(np.where(heavy, risk, 0), t.start)
+    else:
+        raise ValueError(f"unknown scorer {scorer}")
+    largest = np.maximum.reduceat(np.where(heavy, size, 0), t.start)
+    total = f.count[sig].sum()
+    return Scores(score, broken, np.add.reduceat(heavy.astype(int), t.start), largest, (largest < total) & (largest <= min_shrink * total))
 
 
 def split(f: Features, sig: np.ndarray, prs: np.ndarray, h: int, cap: int, scorer: str, min_shrink: float = 1.0) -> Split:
-    """Score function h at the node of signatures `sig` and pairs `prs`."""
+    """Score function h at a node, with its heavy children."""
     by = np.bincount(f.codes[sig, h], f.count[sig], len(f.values[h]) + 1)
     heavy = np.flatnonzero(by[1:] > cap) + 1
     same = f.same[prs, h]
@@ -55,18 +104,21 @@ def split(f: Features, sig: np.ndarray, prs: np.ndarray, h: int, cap: int, score
     return Split(h, elimination(scorer, (~same).sum(), by[heavy], pair_by[heavy], cap), int((~same).sum()), heavy, by[heavy], pair_by[heavy], bool(largest < total) and bool(largest <= min_shrink * total))
 
 
+def _pick(f: Features, score, n_heavy, largest, allowed) -> int | None:
+    """The allowed function of least score: ties go to fewer heavy children, a smaller largest child, the name."""
+    at = np.flatnonzero(allowed)
+    if not len(at):
+        return None
+    return int(at[np.lexsort((_flat(f).rank[at], largest[at], n_heavy[at], np.round(score[at], 9)))[0]])
+
+
 def best_split(f: Features, sig, prs, cap: int, config: BlockingConfig, used: frozenset = frozenset()) -> Split | None:
-    """The eligible function of least score: ties go to fewer heavy children, a smaller largest child, the name."""
-    found = None
-    for h in range(len(f.library)):
-        if h in used:
-            continue
-        s = split(f, sig, prs, h, cap, config.scorer, config.min_shrink)
-        if not s.progress or len(s.codes) > config.max_heavy_children:
-            continue
-        if found is None or s.key(f) < found.key(f):
-            found = s
-    return found
+    """The eligible function that costs a node least."""
+    s = score_all(f, sig, prs, cap, config.scorer, config.min_shrink)
+    allowed = s.progress & (s.n_heavy <= config.max_heavy_children)
+    allowed[list(used)] = False
+    h = _pick(f, s.score, s.n_heavy, s.largest, allowed)
+    return None if h is None else split(f, sig, prs, h, cap, config.scorer, config.min_shrink)
 
 
 def _leaf(node: Node, cap: int) -> None:
@@ -117,19 +169,14 @@ def learn_level_tree(f: Features, config: BlockingConfig) -> BlockTree:
     for _ in range(config.max_depth):
         if not level:
             break
-        best = None
-        for h in range(len(f.library)):
-            if h in used:
-                continue
-            parts = [split(f, a, b, h, cap, config.scorer, config.min_shrink) for _, a, b in level]
-            if not any(s.progress for s in parts) or sum(len(s.codes) for s in parts) > config.max_heavy_children:
-                continue
-            key = (sum(s.score for s in parts), sum(len(s.codes) for s in parts), max((s.sizes.max() for s in parts if len(s.sizes)), default=0), f.library[h].name)
-            if best is None or key < best[0]:
-                best = (key, h, parts)
-        if best is None:
+        every = [score_all(f, x, y, cap, config.scorer, config.min_shrink) for _, x, y in level]
+        heavy = sum(x.n_heavy for x in every)
+        allowed = np.any([x.progress for x in every], axis=0) & (heavy <= config.max_heavy_children)
+        allowed[list(used)] = False
+        h = _pick(f, sum(x.score for x in every), heavy, np.max([x.largest for x in every], axis=0), allowed)
+        if h is None:
             break
-        _, h, parts = best
+        parts = [split(f, x, y, h, cap, config.scorer, config.min_shrink) for _, x, y in level]
         used.add(h)
         nxt = []
         for (node, a, b), s in zip(level, parts):
@@ -178,23 +225,17 @@ def learn_chain(f: Features, config: BlockingConfig) -> BlockTree:
             best = (alive, list(chain), parts)
         if not blocks or len(chain) >= config.max_depth:
             break
-        top = None
-        for h in range(len(f.library)):
-            if h in chain:
-                continue
-            broken = int((~f.same[together, h]).sum())
-            s = [split(f, a, b, h, cap, config.scorer) for a, b in blocks.values()]
-            n_heavy = sum(len(x.codes) for x in s)
-            if not any(x.progress for x in s) or n_heavy > config.max_heavy_children:
-                continue
-            sizes = np.concatenate([x.sizes for x in s])
-            score = elimination(config.scorer, broken, sizes, np.concatenate([x.pairs for x in s]), cap)
-            key = (score, n_heavy, sizes.max() if len(sizes) else 0, f.library[h].name)
-            if top is None or key < top[0]:
-                top = (key, h, s)
-        if top is None:
+        every = [score_all(f, x, y, cap, config.scorer) for x, y in blocks.values()]
+        heavy = sum(x.n_heavy for x in every)
+        # pairs outside heavy blocks are split by the function as well
+        broken = len(together) - f.same[together].sum(0)
+        score = broken + sum(x.score - x.broken for x in every)
+        allowed = np.any([x.progress for x in every], axis=0) & (heavy <= config.max_heavy_children)
+        allowed[chain] = False
+        h = _pick(f, score, heavy, np.max([x.largest for x in every], axis=0), allowed)
+        if h is None:
             break
-        _, h, s = top
+        s = [split(f, x, y, h, cap, config.scorer) for x, y in blocks.values()]
         nxt = {}
         for (k, (a, b)), x in zip(blocks.items(), s):
             for code in x.codes:
