@@ -114,7 +114,8 @@ def assign_rounds(df: DataFrame, plan: RoundPlan, spec: BlockingSpec, mode: str
             one = assign_blocks(df, t, spec).select("id", F.lit(i).alias("round"), "block_key")
             out = one if out is None else out.unionByName(one)
         return out
-    return round_keys(df, plan, spec).select("id", F.posexplode("keys").alias("round", "block_key"))
+    # the outer form: for the inner one Spark would infer a filter on the array and push the whole routing below itself once more
+    return round_keys(df, plan, spec).select("id", F.posexplode_outer("keys").alias("round", "block_key"))
 
 
 def round_keys(df: DataFrame, plan: RoundPlan, spec: BlockingSpec) -> DataFrame:

@@ -25,7 +25,7 @@ def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst", m
     e = edges.where(a.isNotNull() & b.isNotNull()).select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).distinct()
     # written before its two uses, as the edges may be costly to make
     e = cut(e, "edges")
-    nodes = e.select(F.explode(F.array("u", "v")).alias("node")).distinct()
+    nodes = e.select(F.explode_outer(F.array("u", "v")).alias("node")).distinct()
     e = e.where("u <> v")
     last = None
     for _ in range(max_rounds):

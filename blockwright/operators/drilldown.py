@@ -18,6 +18,7 @@ import datetime as dt
 from itertools import combinations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -128,8 +129,8 @@ def order_values(rows: list) -> list:
     return sorted({r for r in rows if r is not None})
 
 
-def slot_counts(df: DataFrame, key: Column, ends: list) -> tuple[list[int], list[int], int]:
-    """(records at each end, records in each gap incl. before the first and after the last, nulls): one tiny shuffle.
+def slot_counts(df: DataFrame, key: Column, ends: list) -> tuple[list[int], list[int], list]:
+    """(records at each end, records in each gap incl. before the first and after the last, least value of each gap): one tiny shuffle.
 
     Ends are at most twice the pairs; the literal array is searched by binary search in a
     vectorised function only where it is long, else by a flat CASE.
@@ -141,12 +142,9 @@ def slot_counts(df: DataFrame, key: Column, ends: list) -> tuple[list[int], list
         case = F.when(F.col("k").isNull(), -1)
         for i, e in enumerate(ends):
             case = case.when(F.col("k") < F.lit(e), 2 * i).when(F.col("k") == F.lit(e), 2 * i + 1)
-        rows = counted.select(case.otherwise(2 * len(ends)).alias("slot")).groupBy("slot").count().collect()
-        got = {r[0]: r[1] for r in rows}
+        rows = counted.select(case.otherwise(2 * len(ends)).alias("slot"), "k").groupBy("slot").agg(F.count("*"), F.min("k")).collect()
     else:
         # distinct values first: a partial aggregate, then the search of the few that are left
-        import pandas as pd
-
         held = spark.sparkContext.broadcast(ends)
 
         @F.pandas_udf("long")
@@ -154,10 +152,11 @@ def slot_counts(df: DataFrame, key: Column, ends: list) -> tuple[list[int], list
             e = held.value
             return pd.Series([-1 if pd.isna(x) else 2 * (i := bisect.bisect_left(e, x)) + (i < len(e) and e[i] == x) for x in k], dtype="int64")
 
-        rows = counted.groupBy("k").agg(F.count("*").alias("n")).select(slot("k").alias("slot"), "n").groupBy("slot").agg(F.sum("n")).collect()
-        got = {r[0]: r[1] for r in rows}
+        rows = counted.groupBy("k").agg(F.count("*").alias("n")).select(slot("k").alias("slot"), "n", "k").groupBy("slot").agg(F.sum("n"), F.min("k")).collect()
+    got = {r[0]: r[1] for r in rows}
+    first = {r[0]: r[2] for r in rows}
     k = len(ends)
-    return [got.get(2 * i + 1, 0) for i in range(k)], [got.get(2 * i, 0) for i in range(k + 1)], got.get(-1, 0)
+    return [got.get(2 * i + 1, 0) for i in range(k)], [got.get(2 * i, 0) for i in range(k + 1)], [first.get(2 * i) for i in range(k + 1)]
 
 
 def _slices(df: DataFrame, key: Column, lo, hi, n: int, cap: int) -> list[tuple]:
@@ -231,13 +230,16 @@ def drilldown(df: DataFrame, key: Column, pairs: list[tuple], cap: int, cost: st
             reach.append(lo)
         _, runs = solve(ends, pairs, reach)
         return tile([(ends[i], 0) for i, _ in runs], float("inf"))
-    at_end, gaps, _ = slot_counts(df, key, ends)
+    at_end, gaps, first = slot_counts(df, key, ends)
     _, runs = solve(ends, pairs, reach_of(at_end, gaps[1:-1], cap) if ends else [])
     starts: list[tuple] = []
 
     def gap(i: int) -> None:
         """Records before end i (after the last one for i = len(ends)), sliced."""
-        if gaps[i]:
+        if 0 < gaps[i] <= cap:
+            starts.append((first[i], gaps[i]))
+        elif gaps[i]:
+            # only a gap over the cap needs another pass
             lo, hi = (ends[i - 1] if i else None), (ends[i] if i < len(ends) else None)
             starts.extend(_slices(df, key, lo, hi, gaps[i], cap))
 
@@ -300,7 +302,7 @@ def overlapping(pairs: list[tuple], cost, cap) -> list[tuple]:
 def pair_values(df: DataFrame, id_col: str, key: Column, pairs: DataFrame) -> list[tuple]:
     """Values of both records of each labelled pair."""
     p = canonical_pairs(pairs)
-    ids = p.select(F.explode(F.array("l_id", "r_id")).alias("__pid")).distinct()
+    ids = p.select(F.explode_outer(F.array("l_id", "r_id")).alias("__pid")).distinct()
     v = df.join(ids, F.col(id_col) == F.col("__pid"), "left_semi").select(F.col(id_col).alias("id"), key.alias("k"))
     l, r = (v.select(F.col("id").alias(f"{s}_id"), F.col("k").alias(f"{s}k")) for s in "lr")
     return [(x["lk"], x["rk"]) for x in p.join(l, "l_id").join(r, "r_id").orderBy("l_id", "r_id").select("lk", "rk").collect()]

@@ -103,7 +103,7 @@ def pivoted(result: DataFrame, caps: list[int]) -> DataFrame:
 
 def grouping_report(result: DataFrame) -> DataFrame:
     """Mean recall by (algorithm, cap), by algorithm, by cap and in all; `level` tells which."""
-    return result.cube("algorithm", "cap").agg(F.round(F.avg("recall"), 6).alias("recall"), F.count("*").alias("n"), F.grouping_id().cast("bigint").alias("level"))
+    return result.cube("algorithm", "cap").agg(F.round(F.avg("recall"), 6).alias("recall"), F.count("*").alias("n"), F.grouping_id().cast("bigint").alias("level")).fillna("(all)", ["algorithm"]).fillna(-1, ["cap"])
 
 
 def per_round(f: Features, caps: int, learner: str, k: int = 5, seed: int = 42, fold: int = 0, config: BlockingConfig | None = None) -> list[tuple]:

@@ -30,7 +30,7 @@ def edges(assigned: DataFrame, pairs: DataFrame) -> DataFrame:
 
 def touched_sizes(assigned: DataFrame, cross: DataFrame) -> DataFrame:
     """(block_key, n) of the blocks that an edge touches."""
-    keys = cross.select(F.explode(F.array("a", "b")).alias("block_key")).distinct()
+    keys = cross.select(F.explode_outer(F.array("a", "b")).alias("block_key")).distinct()
     return assigned.join(keys, "block_key", "left_semi").groupBy("block_key").agg(F.count("*").alias("n"))
 
 

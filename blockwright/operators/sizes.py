@@ -13,6 +13,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -41,7 +42,7 @@ def project(df: DataFrame, spec: BlockingSpec, library: list[HashFn]) -> DataFra
 
 def _long(hashed: DataFrame, n: int) -> DataFrame:
     """(hash, value), a row for each record and function."""
-    return hashed.select(F.posexplode(F.array(*[F.col(f"h{i}") for i in range(n)])).alias("hash", "value"))
+    return hashed.select(F.posexplode_outer(F.array(*[F.col(f"h{i}") for i in range(n)])).alias("hash", "value"))
 
 
 def heavy_values(hashed: DataFrame, n: int, cap: int, buckets: int = BUCKETS) -> DataFrame:
@@ -93,13 +94,40 @@ def canonical_pairs(pairs: DataFrame) -> DataFrame:
 def pair_table(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, library: list[HashFn], seed: int) -> DataFrame:
     """(l_id, r_id, lv, rv, lm, rm): hash values and mixers of both records. Only records of a pair are hashed."""
     pairs = canonical_pairs(pairs)
-    ids = pairs.select(F.explode(F.array("l_id", "r_id")).alias("__pid")).distinct()
+    ids = pairs.select(F.explode_outer(F.array("l_id", "r_id")).alias("__pid")).distinct()
     part = df.join(ids, F.col(spec.id_col) == F.col("__pid"), "left_semi")
     h = project(part, spec, library).select("id", F.array(*[F.col(f"h{i}") for i in range(len(library))]).alias("v"), mixer(F.col("id"), seed).alias("m"))
     left, right = (h.select(F.col("id").alias(f"{s}_id"), F.col("v").alias(f"{s}v"), F.col("m").alias(f"{s}m")) for s in "lr")
     return pairs.join(left, "l_id").join(right, "r_id")
 
 
+def signatures(hashed: DataFrame, keep: list[int], heavy: list[list[int]]) -> list:
+    """Rows (sig, n) of the distinct combinations of heavy values; sig: a 32-bit code for each function of `keep`.
+
+    Values travel as 64-bit hashes; a batch is looked up by sorted search, a column at a
+    time, and counted before it leaves the task.
+    """
+    held = hashed.sparkSession.sparkContext.broadcast([(np.array(x, np.int64)[(o := np.argsort(np.array(x, np.int64)))], o.astype(np.int32) + 1) if x else None for x in heavy])
+
+    def run(batches):
+        for b in batches:
+            sig = np.zeros((b.num_rows, len(keep)), np.int32)
+            for k, t in enumerate(held.value):
+                if t is not None and b.num_rows:
+                    v = b.column(k).to_numpy()
+                    at = np.minimum(np.searchsorted(t[0], v), len(t[0]) - 1)
+                    sig[:, k] = np.where(t[0][at] == v, t[1][at], 0)
+            if len(sig):
+                kinds, n = np.unique(sig, axis=0, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array([k.tobytes() for k in kinds], pa.binary()), pa.array(n)], ["sig", "n"])
+
+    counted = hashed.select(*[F.xxhash64(f"h{i}").alias(f"x{i}") for i in keep]).mapInArrow(run, "sig binary, n bigint").groupBy("sig").agg(F.sum("n").alias("n"))
+    got = counted.limit(MAX_SIGNATURES + 1).collect()
+    if len(got) > MAX_SIGNATURES:
+        raise ValueError("too many combinations of heavy values: raise the cap or lower max_heavy")
+    return sorted(got, key=lambda r: r["sig"])
+
+
 def features(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, library: list[HashFn], cap: int, seed: int = 42, sample: float | None = None, max_heavy: int = 10_000) -> Features:
     """Features for every cap of at least `cap`. Three scans of the records, one join of the pairs with them.
 
@@ -119,20 +147,13 @@ def features(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, library: list[
     keep = [i for i in range(len(library)) if per.get(i, 0) <= max_heavy]
     if not keep:
         raise ValueError("every function creates too many heavy blocks for this cap")
-    rows = found.where(F.col("hash").isin(keep)).collect() if per else []
-    values = [sorted(r["value"] for r in rows if r["hash"] == i) for i in keep]
+    rows = found.where(F.col("hash").isin(keep)).select("hash", "value", F.xxhash64("value").alias("x")).collect() if per else []
+    heavy = [sorted((r["value"], r["x"]) for r in rows if r["hash"] == i) for i in keep]
+    values = [[v for v, _ in vs] for vs in heavy]
     lib = [library[i] for i in keep]
-    codes_of = [F.create_map(*[x for j, v in enumerate(vs) for x in (F.lit(v), F.lit(j + 1))]) if vs else None for vs in values]
-    sig_cols = [(F.coalesce(m[F.col(f"h{i}")], F.lit(0)) if m is not None else F.lit(0)).alias(f"s{k}") for k, (i, m) in enumerate(zip(keep, codes_of))]
-    used = [k for k, m in enumerate(codes_of) if m is not None]
-    sig = hashed.select(*[sig_cols[k] for k in used] or [F.lit(0).alias("none")]) if used else hashed.select(F.lit(0).alias("none"))
-    table = sig.groupBy(*sig.columns).agg(F.count("*").alias("n")).limit(MAX_SIGNATURES + 1).toPandas()
-    if len(table) > MAX_SIGNATURES:
-        raise ValueError("too many combinations of heavy values: raise the cap or lower max_heavy")
-    codes = np.zeros((len(table), len(keep)), np.int32)
-    for k in used:
-        codes[:, k] = table[f"s{k}"].to_numpy()
-    count = table["n"].to_numpy().astype(float) * scale
+    table = signatures(hashed, keep, [[x for _, x in vs] for vs in heavy])
+    codes = np.array([np.frombuffer(r["sig"], np.int32) for r in table], np.int32).reshape(len(table), len(keep))
+    count = np.array([r["n"] for r in table], float) * scale
     n_pairs = canonical_pairs(pairs)
     got = pair_table(df, spec, n_pairs, lib, seed).collect()
     total = n_pairs.count()

@@ -258,7 +258,7 @@ def recall_by_algorithm(spark, sf_dir):
     names = list(_ALGORITHMS)
     keys = keys.select(F.col("doc_id").alias("id"), F.array(*[F.col(f"__{k}") for k in names[:-1]], (sizes.mixer(F.col("doc_id"), 42) % blocks).cast("string")).alias("k"))
     l, r = (keys.select(F.col("id").alias(f"{p}_id"), F.col("k").alias(f"{p}k")) for p in "lr")
-    both = pairs.join(l, "l_id").join(r, "r_id").select(F.posexplode(F.zip_with("lk", "rk", lambda a, b: a == b)).alias("i", "same"))
+    both = pairs.join(l, "l_id").join(r, "r_id").select(F.posexplode_outer(F.zip_with("lk", "rk", lambda a, b: a == b)).alias("i", "same"))
     t = both.groupBy("i").agg(F.count("*").alias("n_pairs"), F.sum(F.col("same").cast("bigint")).alias("kept"))
     return t.select(F.element_at(F.array(*[F.lit(x) for x in names]), F.col("i") + 1).alias("algorithm"), "n_pairs", "kept", F.round(F.col("kept") / F.col("n_pairs"), 6).alias("recall"))
 
@@ -453,7 +453,7 @@ def disjunction_baseline(spark, sf_dir):
 
 @query(
     "WITH r AS (SELECT algorithm, cap, kept FROM (VALUES ('chain', 10, 0.5), ('chain', 20, 0.75), ('tree', 10, 0.875), ('tree', 20, 1.0)) t(algorithm, cap, kept)) "
-    "SELECT algorithm, CAST(cap AS BIGINT) AS cap, round(avg(kept), 6) AS recall, count(*) AS n, CAST(grouping(algorithm, cap) AS BIGINT) AS level FROM r GROUP BY CUBE (algorithm, cap)"
+    "SELECT coalesce(algorithm, '(all)') AS algorithm, CAST(coalesce(cap, -1) AS BIGINT) AS cap, round(avg(kept), 6) AS recall, count(*) AS n, CAST(grouping(algorithm, cap) AS BIGINT) AS level FROM r GROUP BY CUBE (algorithm, cap)"
 )
 def grouping_sets_report(spark, sf_dir):
     rows = [("x", a, "", c, 0, float(k), 1.0, 1) for a, c, k in (("chain", 10, 0.5), ("chain", 20, 0.75), ("tree", 10, 0.875), ("tree", 20, 1.0))]

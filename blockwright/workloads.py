@@ -37,7 +37,7 @@ def doc_pairs(docs: DataFrame, threshold: float = 0.5, k: int = 5, max_df: int =
     # explode would have Spark infer a filter on the set's size and compute the set once more below it
     inv = sets.select("doc_id", "n", "t", F.explode_outer("s").alias("x"))
     rare = inv.groupBy("x").agg(F.collect_list(F.struct("doc_id", "n", "t")).alias("d")).where(f"size(d) between 2 and {max_df}")
-    two = rare.select(F.explode("d").alias("a"), "d").select("a", F.explode("d").alias("b")).where("a.doc_id < b.doc_id")
+    two = rare.select(F.explode_outer("d").alias("a"), "d").select("a", F.explode_outer("d").alias("b")).where("a.doc_id < b.doc_id")
     # shared runs may be missed among the frequent ones, so the overlap is counted anew
     cand = two.select(F.col("a.doc_id").alias("l_id"), F.col("b.doc_id").alias("r_id")).distinct()
     l, r = (sets.select(F.col("doc_id").alias(f"{p}_id"), F.col("s").alias(f"{p}s"), F.col("t").alias(f"{p}t")) for p in "lr")
