@@ -44,6 +44,9 @@ HASHES = 2
 def _lines(buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Of the lines with a visible character: (row, line number, start, end, hash)."""
     n = len(buf)
+    if not n:
+        none = np.zeros(0, np.int64)
+        return none, none, none, none, np.zeros(0, np.uint64)
     nl = np.zeros(n + 1, bool)
     nl[1:] = buf == 10
     rows = np.flatnonzero(np.diff(off) > 0)
@@ -55,10 +58,7 @@ def _lines(buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np
     number = np.arange(len(start)) - first
     end = np.append(start[1:], n)
     closed = buf[end - 1] == 10
-    # the first line of a row is not opened by a newline, so its predecessor may end without one
-    last = end == off[row + 1]
-    end = np.where(closed & ~last, end - 1, end)
-    end = np.where(closed & last, end - 1, end)
+    end = np.where(closed, end - 1, end)
     solid = np.concatenate([[0], np.cumsum(buf > 32)])
     seen = solid[end] > solid[start]
     row, number, start, end = row[seen], number[seen], start[seen], end[seen]

@@ -1,0 +1,231 @@
+"""Training-text operators against brute force, exact round trips and held-out accuracy, and on edge inputs."""
+
+import random
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+from blockwright.llm import compression_classifier, language_id, line_dedup, mixing, near_dedup, packing, quality_rules, sanitise, vantage, warc
+
+SF = "/root/testdata/sf0.01"
+SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, fp string, node string, number int"
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    """Nulls everywhere, empty and long texts, repeated rows, clashing column names."""
+    long = " ".join(f"word{i % 977}" for i in range(40_000))
+    rows = [(1, "one line\ntwo line\none line", "en", "src1", 26), (1, "one line\ntwo line\none line", "en", "src1", 26), (2, None, None, None, None), (3, "", "en", "src2", 0), (None, "no id here at all", "de", "src7", 17), (4, long, "en", "src0", len(long)), (5, long + " end", "en", "src0", len(long) + 4), (6, "two line", None, "x", 8), (7, " \n\t", "fr", "src3", 3)]
+    return spark.createDataFrame([(*r, "a", "b", 3) for r in rows], SCHEMA)
+
+
+@pytest.fixture(scope="module")
+def docs(spark):
+    return spark.read.parquet(f"{SF}/documents.parquet")
+
+
+def test_line_dedup_edges(spark, odd):
+    got = line_dedup.dedup_lines(odd)
+    assert got.columns == [*odd.columns, "n_lines_removed"]
+    by = {(r["doc_id"], r["n_lines_removed"]): r["text"] for r in got.collect()}
+    assert got.count() == odd.count() and by[(1, 1)] == "one line\ntwo line" and by[(6, 1)] == "" and by[(2, 0)] is None and by[(7, 0)] == " \n\t"
+    assert line_dedup.dedup_lines(odd.limit(0)).count() == 0
+
+
+def test_line_dedup_is_the_same_whatever_the_filter(docs):
+    sets = [set(map(tuple, line_dedup.dedup_lines(docs, max_bits=b).select("doc_id", "text").collect())) for b in (1 << 30, 1 << 16, 1 << 10)]
+    assert sets[0] == sets[1] == sets[2]
+
+
+def test_near_dedup_against_brute_force(docs):
+    got = {r["doc_id"]: r["group"] for r in near_dedup.grouped(docs).collect()}
+    sets = {}
+    for r in docs.select("doc_id", "text").collect():
+        t = r["text"].lower().split()
+        sets[r["doc_id"]] = {tuple(t[i : i + 3]) for i in range(max(1, len(t) - 2))} if t else set()
+    ids = sorted(sets)
+    pairs = [(a, b) for i, a in enumerate(ids) for b in ids[i + 1 :] if sets[a] and sets[b] and len(sets[a] & sets[b]) >= 0.5 * len(sets[a] | sets[b])]
+    assert np.mean([got[a] == got[b] for a, b in pairs]) >= 0.97
+    parent = {i: i for i in ids}
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for a, b in pairs:
+        a, b = root(a), root(b)
+        parent[max(a, b)] = min(a, b)
+    assert len({root(i) for i in ids}) <= len(set(got.values())) + 5
+
+
+def test_near_dedup_edges(odd):
+    kept = near_dedup.keep_one(odd)
+    ids = sorted(str(r["doc_id"]) for r in kept.collect())
+    # one of the repeated rows, one of the two long ones, and all others
+    assert kept.columns == odd.columns and ids == sorted(["1", "2", "3", "None", "4", "6", "7"])
+    assert near_dedup.grouped(odd.limit(0)).count() == 0
+
+
+def test_setsketch_merges_and_estimates():
+    h = np.random.default_rng(1).integers(0, 1 << 63, 3000, dtype=np.uint64)
+    a, b = np.sort(h[:2000]), np.sort(h[1000:])
+    r = near_dedup.registers(np.concatenate([a, b, np.sort(h)]), np.array([0, 2000, 4000, 7000]))
+    assert (np.maximum(r[0], r[1]) == r[2]).all()
+    j = near_dedup.likeliest(np.array([(r[0] > r[1]).sum()]), np.array([(r[0] < r[1]).sum()]), np.array([2000.0]), np.array([2000.0]))[0]
+    assert abs(j - 1 / 3) < 0.12
+
+
+def test_mixing_budgets():
+    leaves = [("a", "en", "s1", 100), ("a", "en", "s2", 10), ("b", "en", "s3", 1000)]
+    w = mixing.Weights(domain={"a": 1, "b": 1})
+    got = mixing.allocate(leaves, 200, w, 1)
+    # s2's shortage goes to its sibling s1; the domains keep their halves
+    assert got == {("a", "en", "s1"): 90, ("a", "en", "s2"): 10, ("b", "en", "s3"): 100}
+    assert mixing.allocate(leaves, 400, w, 1) == {("a", "en", "s1"): 100, ("a", "en", "s2"): 10, ("b", "en", "s3"): 290}
+    assert sum(mixing.allocate(leaves, 5000, w, 2).values()) == 2220
+
+
+def test_mixing_edges(odd):
+    got = mixing.mix(odd, budget_share=2.0, max_epochs=2)
+    assert got.where("epoch = 1").count() > 0 and got.where("doc_id = 4").count() == 2
+    assert mixing.mix(odd.limit(0)).count() == 0
+    none = mixing.mix(odd, budget=0)
+    assert none.where("n_tokens > 0").count() == 0
+
+
+def test_packing_against_stack_sweep(spark):
+    rnd = np.random.default_rng(3)
+    kind = (rnd.random(500) < 0.5).astype(int)
+    d, g = packing.match_runs(kind)
+    stack, want = [], []
+    for i, k in enumerate(kind):
+        if k == 0:
+            stack.append(i)
+        elif stack:
+            want.append((stack.pop(), i))
+    assert sorted(zip(d.tolist(), g.tolist())) == sorted(want)
+
+
+def test_packing_whole(docs):
+    rows = packing.pack(docs, 512).collect()
+    tokens = {r["doc_id"]: len(r["text"].split()) for r in docs.select("doc_id", "text").collect()}
+    total, bins = {}, {}
+    for r in rows:
+        total[r["doc_id"]] = total.get(r["doc_id"], 0) + r["n_tokens"]
+        bins[r["bin_id"]] = bins.get(r["bin_id"], 0) + r["n_tokens"]
+    assert total == {k: v for k, v in tokens.items() if v} and max(bins.values()) <= 512
+    assert len(bins) <= 1.05 * -(-sum(tokens.values()) // 512)
+
+
+def test_packing_edges(odd):
+    assert packing.pack(odd.limit(0)).count() == 0
+    assert packing.pack(odd, 128).where("doc_id = 1").count() == 2
+
+
+def test_quality_and_compression_held_out(spark, docs):
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    train, test = labels.where("doc_id % 2 = 0"), labels.where("doc_id % 2 = 1")
+    for module in (quality_rules, compression_classifier):
+        got = module.score(docs, module.fit(docs, train)).join(test, "doc_id")
+        right = got.select(F.avg((F.col("kept") == (F.col("quality") == 1)).cast("double"))).first()[0]
+        assert right > 0.9, module.__name__
+        good = got.where("quality = 1").select(F.avg(F.col("kept").cast("double"))).first()[0]
+        assert good > 0.95
+
+
+def test_classifier_edges(spark, odd, docs):
+    labels = spark.read.parquet(f"{SF}/labels.parquet")
+    for module in (quality_rules, compression_classifier):
+        m = module.fit(docs, labels)
+        got = module.score(odd, m)
+        assert got.count() == odd.count() and not got.where("doc_id in (2, 3)").where("kept").count()
+        assert module.score(odd.limit(0), m).count() == 0
+        with pytest.raises(ValueError):
+            module.fit(docs, labels.limit(0))
+    m = quality_rules.fit(docs, labels)
+    kept = {r[0] for r in quality_rules.keep_good(docs, m).select("doc_id").collect()}
+    assert kept == {r[0] for r in quality_rules.score(docs, m).where("kept").select("doc_id").collect()}
+
+
+def test_language_id(docs, odd):
+    m = language_id.fit(docs.where("doc_id % 2 = 0"))
+    got = language_id.identify(docs.where("doc_id % 2 = 1"), m).join(docs, "doc_id")
+    assert got.select(F.avg((F.col("language") == F.col("lang")).cast("double"))).first()[0] > 0.98
+    edge = {r["doc_id"]: r["language"] for r in language_id.identify(odd, m).collect()}
+    assert edge[2] == edge[3] == edge[7] == "und"
+    assert language_id.fit(odd.limit(0)) is None
+    assert {r["language"] for r in language_id.identify(odd, None).collect()} == {"und"}
+
+
+def test_neighbours_against_brute_force(spark):
+    e = spark.read.parquet(f"{SF}/embeddings.parquet")
+    x = np.array([r["embedding"] for r in e.orderBy("vec_id").collect()], float)
+    ids = [r["vec_id"] for r in e.orderBy("vec_id").collect()]
+    sq = vantage.squares(x, x)
+    for rows, leaf, factor, least in ((16_384, 256, 1.0, 1.0), (120, 16, 1.0, 1.0), (120, 16, 1.3, 0.9)):
+        got: dict = {}
+        for r in vantage.neighbours(e, factor=factor, shard_rows=rows, leaf=leaf).collect():
+            got.setdefault(r["id"], set()).add(r["neighbour"])
+        hits = 0
+        for i, v in enumerate(ids):
+            order = sorted((sq[i, j], ids[j]) for j in range(len(ids)) if j != i)[:10]
+            hits += len(got[v] & {o[1] for o in order})
+        assert hits / (10 * len(ids)) >= least
+
+
+def test_neighbours_edges(spark):
+    rows = [(1, [0.0, 0.0]), (2, [0.0, 1.0]), (2, [0.0, 1.0]), (3, None), (4, [1.0]), (5, [float("nan"), 0.0]), (None, [1.0, 1.0]), (6, [0.0, 1.0])]
+    got = sorted(map(tuple, vantage.neighbours(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), k=2).select("id", "neighbour", "distance").collect()))
+    assert got == [(1, 2, 1.0), (1, 6, 1.0), (2, 1, 1.0), (2, 6, 0.0), (6, 1, 1.0), (6, 2, 0.0)]
+    assert vantage.neighbours(spark.createDataFrame([], "vec_id long, embedding array<double>")).count() == 0
+
+
+def test_warc_round_trip(spark, tmp_path):
+    pages = spark.createDataFrame([(1, "http://a", "<p>x</p>"), (2, None, ""), (3, "http://c", None), (None, "u", "WARC/1.0\r\n\r\nfake " * 9), (1, "http://a", "é" * 300_000)], "page_id long, url string, html string")
+    paths = warc.write_monolithic(pages.coalesce(1), f"file://{tmp_path}/in").collect()
+    index = warc.normalise(spark.createDataFrame(paths), f"file://{tmp_path}/out").collect()
+    got = warc.read_records(spark.createDataFrame(index, warc.INDEX_SCHEMA)).collect()
+    want = [(u, None if h is None else h.encode()) for _, u, h in pages.collect()]
+    assert [(r["uri"], None if r["payload"] is None else bytes(r["payload"])) for r in got] == want and all(r["alone"] for r in got)
+    import pathlib
+
+    data = pathlib.Path(paths[0][0][7:]).read_bytes()
+    (tmp_path / "cut.warc.gz").write_bytes(data[: len(data) - 200])
+    (tmp_path / "empty.warc.gz").write_bytes(b"")
+    broken = warc.normalise_file(f"{tmp_path}/cut.warc.gz", f"{tmp_path}/cut.out")
+    assert broken[0][-1] == warc.TRUNCATED and len(broken) < 6
+    assert warc.normalise_file(f"{tmp_path}/empty.warc.gz", f"{tmp_path}/e.out")[0][1] is None
+
+
+def test_sanitise(spark, odd):
+    rnd = random.Random(1)
+    filler = ["".join(rnd.choices("abcdefghij", k=7)) for _ in range(300)]
+    text = [" ".join(rnd.sample(filler, 6)) for _ in range(400)]
+    for i in range(6):
+        text[i] += f" Zanzibar {' '.join(rnd.sample(filler, 3))} jan.doe@mail.example.org"
+    text[7] += " call +1 (017) 555-7713 or 10.2.33.4, card 4845168114407329, token = \"04dbebab91ab85687d33eeaaf9ac\""
+    text[8] += " Zanzibar"
+    got = {r["doc_id"]: r for r in sanitise.sanitise(spark.createDataFrame(list(enumerate(text)), "doc_id long, text string")).collect()}
+    assert "jan.doe" not in str([r["text"] for r in got.values()]) and "<EMAIL>" in got[0]["text"]
+    assert all(f"<{k}>" in got[7]["text"] for k in ("PHONE", "IP", "CARD", "SECRET")) and not any(c.isdigit() for c in got[7]["text"])
+    assert "<NAME>" in got[0]["text"] and "<NAME>" in got[8]["text"] and got[8]["n_terms"] == 1
+    assert all(got[i]["text"] == text[i] for i in range(9, 400))
+    assert sanitise.sanitise(odd).count() == odd.count() and sanitise.sanitise(odd.limit(0)).count() == 0
+
+
+def test_pipeline_against_its_parts(spark):
+    import corpus_pipeline as cp
+
+    sf = "/root/testdata/sf0.001"
+    docs, before = spark.read.parquet(f"{sf}/documents.parquet"), None
+    for name, stage in cp.STAGES[:4]:
+        docs = stage(spark, docs, sf).cache()
+        assert docs.columns == cp.COLUMNS
+        n = docs.count()
+        assert before is None or n <= 2 * before
+        before = n
+    tokens = sum(len(r["text"].split()) for r in docs.select("text").collect())
+    rows = packing.pack(docs).agg(F.sum("n_tokens")).first()[0]
+    assert rows == tokens
