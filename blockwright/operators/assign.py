@@ -88,7 +88,8 @@ def with_block_key(df: DataFrame, tree: BlockTree, spec: BlockingSpec, name: str
     helper = "__route_"
     keep = [c for c in df.columns if c != name]
     routed, key = _route(df, tree, spec, helper)
-    return routed.withColumn(name, key).select(*[F.col(f"`{c}`") for c in keep], name)
+    # never null, and known not to be: else a join on it would push a filter with the whole routing below the projections
+    return routed.withColumn(name, F.coalesce(key, F.lit(""))).select(*[F.col(f"`{c}`") for c in keep], name)
 
 
 def assign_blocks(df: DataFrame, tree: BlockTree, spec: BlockingSpec, rollup: DataFrame | None = None) -> DataFrame:
