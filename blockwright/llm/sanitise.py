@@ -13,11 +13,16 @@ seen with e in at least `MIN_SUPPORT` independent contexts whose disclosure reac
 `DISCLOSURE` is generalised wherever it stands: a capitalised word to <NAME>, any other to
 <TERM>.
 
-All counts are over the whole corpus; a line that is repeated is one context, and edited
-copies of a line prove nothing either: contexts are independent so far as the least hashes
-of their terms differ, and at least half of a term's contexts with e must be so. Only terms that pass the support test with some entity are counted beyond
-the lines with entities. The documents that hold revealing terms are joined back by
-broadcast while their list is under `BROADCAST_BYTES`, else by a shuffle.
+All counts are over the whole corpus. A line that is repeated is one context, and edited
+copies of a line are one as well: n(e), n(t) and n(t,e) count groups of lines. A line joins
+the first group, in the order of the lines' hashes, whose first line it copies, which is
+when both hold the same numbers and their words, without the entities and the term in
+question, have a Jaccard similarity of at least `NEAR`; so a form filled in with other
+numbers is no copy. N is the number of distinct lines. n(t) takes the lines with entities
+first, so that their groups alone bound it from below: only terms that can still pass are
+looked for in the other lines, and counting stops where no entity's threshold can be
+reached. The documents that hold revealing terms are joined back by broadcast while their
+list is under `BROADCAST_BYTES`, else by a shuffle.
 
 Defined results: null and empty texts stay as they are; without entities nothing changes;
 terms are runs of at least `MIN_TERM` letters, compared in lower case; rows of equal
@@ -27,6 +32,10 @@ goes; columns beyond `doc_id` and `text` are ignored.
 
 from __future__ import annotations
 
+from collections import defaultdict
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -34,6 +43,7 @@ from ..functions.scratch import cut
 
 MIN_SUPPORT = 3
 DISCLOSURE = 0.95
+NEAR = 0.8
 MIN_TERM = 4
 BROADCAST_BYTES = 32 << 20
 
@@ -77,6 +87,71 @@ def _terms(text: Column) -> Column:
     return F.array_distinct(F.regexp_extract_all(F.lower(text), F.lit(_TERM), F.lit(0)))
 
 
+def _words(bare: Column) -> Column:
+    """The sorted hashes of a line's words."""
+    return F.array_sort(F.array_distinct(F.transform(F.regexp_extract_all(F.lower(bare), F.lit(r"\p{L}+"), F.lit(0)), lambda x: F.xxhash64(x))))
+
+
+def _numbers(line: Column) -> Column:
+    return F.xxhash64(F.array_sort(F.array_distinct(F.regexp_extract_all(line, F.lit(r"\p{Nd}+"), F.lit(0)))))
+
+
+class _Groups:
+    """Groups of near copies, in the order in which lines are added."""
+
+    def __init__(self) -> None:
+        self.first: list[set] = []
+        self.index: dict = defaultdict(list)
+
+    def add(self, words, numbers: int) -> int:
+        """The number of the line's group. Similar sets share one of their first words in sorted order."""
+        own = [int(x) for x in words]
+        size, mine = len(own), set(own)
+        keys = [(numbers, x) for x in own[: size - -(-size * round(NEAR * 100) // 100) + 1]] or [(numbers, None)]
+        for g in sorted({g for k in keys for g in self.index[k]}):
+            both = len(mine & self.first[g])
+            # the term in question is in both
+            if 100 * max(both - 1, 0) >= round(NEAR * 100) * max(size + len(self.first[g]) - both - 1, 0):
+                return g
+        for k in keys:
+            self.index[k].append(len(self.first))
+        self.first.append(mine)
+        return len(self.first) - 1
+
+
+def _grouped(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Rows sorted by (entity, numbers, context), each with its group among those of the entity and the numbers."""
+    last, groups = None, _Groups()
+    for b in batches:
+        found = []
+        for e, numbers, words in zip(b["entity"], b["numbers"], b["words"]):
+            if (e, numbers) != last:
+                last, groups = (e, numbers), _Groups()
+            found.append(groups.add(words, numbers))
+        yield b[["entity", "numbers", "t"]].assign(g=found)
+
+
+def _counted(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """(term, n_t) of rows sorted by (term, later, context): the number of groups, or the first beyond the term's limit."""
+    last, limit, groups = None, 0, _Groups()
+    for b in batches:
+        found = []
+        for term, most, numbers, words in zip(b["term"], b["most"], b["numbers"], b["words"]):
+            if term != last:
+                if last is not None:
+                    found.append((last, len(groups.first)))
+                last, limit, groups = term, most, _Groups()
+            if len(groups.first) <= limit:
+                groups.add(words, numbers)
+        yield pd.DataFrame(found, columns=["term", "n_t"])
+    if last is not None:
+        yield pd.DataFrame([(last, len(groups.first))], columns=["term", "n_t"])
+
+
+def _n_t(lines: DataFrame) -> DataFrame:
+    return lines.repartition("term").sortWithinPartitions("term", "later", "context").select("term", "most", "numbers", "words").mapInPandas(_counted, "term string, n_t long")
+
+
 def revealing(docs: DataFrame, min_support: int = MIN_SUPPORT, disclosure: float = DISCLOSURE) -> tuple[DataFrame, DataFrame] | None:
     """(terms with the entities they disclose, (doc_id, fp, term) places of candidate terms), or None without a candidate.
 
@@ -85,27 +160,34 @@ def revealing(docs: DataFrame, min_support: int = MIN_SUPPORT, disclosure: float
     text = F.col("text")
     keyed = docs.where(text.isNotNull()).select("doc_id", F.xxhash64("text").alias("fp"), "text")
     lines = keyed.where(text.rlike(_HINT)).select(F.explode_outer(F.split("text", "\n", -1)).alias("line")).where(F.col("line").rlike(_HINT))
-    bare = masked(F.col("line"))
-    held = lines.select(F.xxhash64("line").alias("context"), _entities(F.col("line")).alias("e"), _terms(F.regexp_replace(bare, "<[A-Z]+>", " ")).alias("t")).withColumn("least", F.array_min(F.transform("t", lambda x: F.xxhash64(x)))).where(F.size("e") > 0).dropDuplicates(["context"])
+    bare = F.regexp_replace(masked(F.col("line")), "<[A-Z]+>", " ")
+    held = lines.select(F.xxhash64("line").alias("context"), _entities(F.col("line")).alias("e"), _terms(bare).alias("t"), _words(bare).alias("words"), _numbers(F.col("line")).alias("numbers")).where(F.size("e") > 0).dropDuplicates(["context"])
     held = cut(held, "entities")
-    n_e = held.select(F.explode("e").alias("entity")).groupBy("entity").agg(F.count("*").alias("n_e"))
-    # an entity seen in too few contexts can't pass the support test with any term
-    often = n_e.where(F.col("n_e") >= min_support)
-    pairs = held.select("t", "least", F.explode("e").alias("entity")).join(often, "entity").select("entity", "n_e", "least", F.explode("t").alias("term")).groupBy("entity", "n_e", "term").agg(F.count("*").alias("n_te"), F.count_distinct("least").alias("n_own")).where((F.col("n_own") >= min_support) & (2 * F.col("n_own") >= F.col("n_te")))
+    each = held.select("context", "t", "words", "numbers", F.explode("e").alias("entity"))
+    # an entity seen in too few lines can't pass the support test with any term
+    often = each.groupBy("entity").agg(F.count("*").alias("n")).where(F.col("n") >= min_support).select("entity")
+    each = each.join(often, "entity").repartition("entity", "numbers").sortWithinPartitions("entity", "numbers", "context").select("entity", "numbers", "t", "words")
+    groups = cut(each.mapInPandas(_grouped, "entity string, numbers long, t array<string>, g int"), "groups")
+    n_e = groups.groupBy("entity").agg(F.count_distinct("numbers", "g").alias("n_e")).where(F.col("n_e") >= min_support)
+    n_te = groups.select("entity", "numbers", "g", F.explode("t").alias("term")).groupBy("entity", "term").agg(F.count_distinct("numbers", "g").alias("n_te")).where(F.col("n_te") >= min_support)
     n = keyed.select(F.explode_outer(F.split("text", "\n", -1)).alias("line")).agg(F.approx_count_distinct("line", 0.01)).first()[0]
 
     def share(n_t):
         return F.log2(F.col("n_te") * F.lit(float(n)) / (F.greatest(n_t, F.col("n_te")) * F.col("n_e"))) / F.log2(F.lit(float(n)) / F.col("n_e"))
 
-    # a term has at least the contexts it has beside entities; if that already makes it too common, no more counting can help
-    beside = held.select(F.explode_outer("t").alias("term")).groupBy("term").agg(F.count("*").alias("n_min"))
-    pairs = cut(pairs.join(beside, "term").where(F.col("n_e") < n).where(share(F.col("n_min")) >= disclosure), "pairs")
+    pairs = cut(n_te.join(n_e, "entity").where(F.col("n_e") < n).where(share(F.lit(0)) >= disclosure), "pairs")
+    # with more groups than this a term reaches the threshold with no entity
+    most = pairs.groupBy("term").agg(F.ceil(F.max(F.col("n_te") * F.pow(F.lit(float(n)) / F.col("n_e"), 1 - disclosure)) + 1).cast("long").alias("most"))
+    beside = cut(held.select("context", "words", "numbers", F.explode("t").alias("term"), F.lit(0).alias("later")).join(most, "term"), "beside")
+    # a term has at least the groups it has beside entities; if that already makes it too common, no more counting can help
+    pairs = cut(pairs.join(_n_t(beside).withColumnRenamed("n_t", "n_min"), "term").where(share(F.col("n_min")) >= disclosure), "pairs")
     terms = pairs.select("term").distinct()
     if terms.isEmpty():
         return None
-    words = keyed.select("doc_id", "fp", F.explode_outer(F.split("text", "\n", -1)).alias("line")).select("doc_id", "fp", F.xxhash64("line").alias("context"), F.explode_outer(_terms(F.col("line"))).alias("term"))
-    places = cut(words.join(terms, "term"), "places")
-    n_t = places.select("term", "context").distinct().groupBy("term").agg(F.count("*").alias("n_t"))
+    words = keyed.select("doc_id", "fp", F.explode_outer(F.split("text", "\n", -1)).alias("line")).select("doc_id", "fp", "line", F.explode_outer(_terms(F.col("line"))).alias("term"))
+    places = cut(words.join(terms, "term").select("doc_id", "fp", "term", F.xxhash64("line").alias("context"), _words(F.col("line")).alias("words"), _numbers(F.col("line")).alias("numbers")), "places")
+    others = places.select("context", "words", "numbers", "term", F.lit(1).alias("later")).dropDuplicates(["term", "context"]).join(held.select("context"), "context", "left_anti").join(most, "term")
+    n_t = _n_t(beside.join(terms, "term").unionByName(others))
     found = pairs.join(n_t, "term").select("term", "entity", "n_te", "n_t", "n_e", share(F.col("n_t")).alias("disclosure")).where(F.col("disclosure") >= disclosure)
     return found, places.select("doc_id", "fp", "term").distinct()
 

@@ -215,6 +215,24 @@ def test_sanitise(spark, odd):
     assert sanitise.sanitise(odd).count() == odd.count() and sanitise.sanitise(odd.limit(0)).count() == 0
 
 
+def test_terms_of_independent_lines_are_found_and_those_of_edited_copies_are_not(spark):
+    rnd = random.Random(2)
+    word = lambda: "".join(rnd.choices("klmnopqrst", k=8))
+    rest = [" ".join(word() for _ in range(8)) for _ in range(3000)]
+    # a form that differs in the number alone, independent lines that share five words, and copies with one word edited
+    form = [f"Contact Zanzibar Smith: z.smith@mail.example.org, order {i}" for i in range(17, 23)]
+    shared = " ".join(word() for _ in range(5))
+    free = [f"Quillfeather {shared} {' '.join(word() for _ in range(5))} q.f@mail.example.org" for _ in range(6)]
+    long = [word() for _ in range(30)]
+    edited = [" ".join([*long[:i], word(), *long[i + 1 :], "Copperfield", "c.f@mail.example.org"]) for i in range(6)]
+    docs = spark.createDataFrame(list(enumerate([*rest, *form, *free, *edited])), "doc_id long, text string")
+    got = {r["term"]: (r["n_te"], r["n_t"], r["n_e"]) for r in sanitise.revealing(docs)[0].collect()}
+    want = {t: (6, 6, 6) for t in ["contact", "zanzibar", "smith", "order", "quillfeather", *shared.split()]}
+    assert got == want
+    text = {r["doc_id"]: r["text"] for r in sanitise.sanitise(docs).collect()}
+    assert all("Zanzibar" not in text[3000 + i] and "Quillfeather" not in text[3006 + i] and "Copperfield" in text[3012 + i] for i in range(6))
+
+
 def test_pipeline_against_its_parts(spark):
     import corpus_pipeline as cp
 
