@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .functions.scratch import cut
 from .model import Attribute, BlockingSpec
 
 
@@ -26,24 +27,39 @@ DOC_SPEC = BlockingSpec(
 )
 
 
-def doc_pairs(docs: DataFrame, threshold: float = 0.5, k: int = 5, max_df: int = 100) -> DataFrame:
+def doc_pairs(docs: DataFrame, threshold: float = 0.5, k: int = 5) -> DataFrame:
     """(l_id, r_id, jaccard, exact): documents whose sets of k-word runs have a Jaccard similarity of at least `threshold`.
 
-    Candidates share a run that 2 to `max_df` documents hold; that is part of the fixture.
+    Equal words are one node, whose documents are all pairs. Two nodes as similar as that
+    share a run among the rarest of either, n - ceil(threshold n) + 1 of n, when all runs are
+    ordered by how many nodes hold them; so candidates share such a run and none is lost.
+    Runs of one node alone come first in that order and add to no overlap, so they are only counted.
     """
-    words = F.split(F.lower(F.trim(F.regexp_replace("text", r"\s+", " "))), " ")
+    text = F.lower(F.trim(F.regexp_replace("text", r"\s+", " ")))
+    members = docs.where("text IS NOT NULL").select("doc_id", F.xxhash64("text").alias("t"), F.xxhash64(text).alias("node"))
+    words = docs.where("text IS NOT NULL").select(text.alias("text")).select("text", F.xxhash64("text").alias("node")).dropDuplicates(["node"]).select("node", F.split("text", " ").alias("w"))
     runs = F.when(F.size("w") < k, F.array(F.array_join("w", " "))).otherwise(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - k + 1), lambda i: F.array_join(F.slice("w", i, k), " "))))
-    sets = docs.select("doc_id", "text", words.alias("w")).select("doc_id", F.xxhash64("text").alias("t"), F.transform(runs, lambda r: F.xxhash64(r)).alias("s")).withColumn("n", F.size("s"))
+    sets = words.select("node", F.transform(runs, lambda r: F.xxhash64(r)).alias("s"))
     # explode would have Spark infer a filter on the set's size and compute the set once more below it
-    inv = sets.select("doc_id", "n", "t", F.explode_outer("s").alias("x"))
-    rare = inv.groupBy("x").agg(F.collect_list(F.struct("doc_id", "n", "t")).alias("d")).where(f"size(d) between 2 and {max_df}")
-    two = rare.select(F.explode_outer("d").alias("a"), "d").select("a", F.explode_outer("d").alias("b")).where("a.doc_id < b.doc_id")
-    # shared runs may be missed among the frequent ones, so the overlap is counted anew
-    cand = two.select(F.col("a.doc_id").alias("l_id"), F.col("b.doc_id").alias("r_id")).distinct()
-    l, r = (sets.select(F.col("doc_id").alias(f"{p}_id"), F.col("s").alias(f"{p}s"), F.col("t").alias(f"{p}t")) for p in "lr")
+    inv = sets.select("node", F.size("s").alias("n"), F.explode_outer("s").alias("x"))
+    held = inv.withColumn("df", F.count("*").over(Window.partitionBy("x"))).where("df > 1")
+    shared = cut(held.groupBy("node", "n").agg(F.array_sort(F.collect_list(F.struct("df", "x"))).alias("o")).select("node", "n", F.col("o.x").alias("s")), "shared")
+    # a little below the threshold, as the similarity is rounded before it is compared
+    least = threshold - 1e-6
+    more = (F.col("n") - F.ceil(F.col("n") * F.lit(least)) + 1 - (F.col("n") - F.size("s"))).cast("int")
+    first = cut(shared.withColumn("more", more).where("more > 0").select("node", "n", F.explode_outer(F.slice("s", F.lit(1), F.col("more"))).alias("x")), "first")
+    a, b = (first.select("x", F.col("node").alias(f"{p}_node"), F.col("n").alias(f"{p}n")) for p in "lr")
+    cand = a.join(b, "x").where("l_node < r_node").where((F.col("ln") >= F.col("rn") * F.lit(least)) & (F.col("rn") >= F.col("ln") * F.lit(least))).select("l_node", "r_node").distinct()
+    l, r = (shared.select(F.col("node").alias(f"{p}_node"), F.col("n").alias(f"{p}n"), F.col("s").alias(f"{p}s")) for p in "lr")
     both = F.size(F.array_intersect("ls", "rs"))
-    j = both / (F.size("ls") + F.size("rs") - both)
-    return cand.join(l, "l_id").join(r, "r_id").select("l_id", "r_id", F.round(j, 6).alias("jaccard"), (F.col("lt") == F.col("rt")).alias("exact")).where(F.col("jaccard") >= threshold)
+    j = F.round(both / (F.col("ln") + F.col("rn") - both), 6)
+    near = cand.join(l, "l_node").join(r, "r_node").select("l_node", "r_node", j.alias("jaccard")).where(F.col("jaccard") >= threshold)
+    near = cut(near, "near")
+    near = near.unionByName(near.select(F.col("r_node").alias("l_node"), F.col("l_node").alias("r_node"), "jaccard"))
+    l, r = (members.select(F.col("node").alias(f"{p}_node"), F.col("doc_id").alias(f"{p}_id"), F.col("t").alias(f"{p}t")) for p in "lr")
+    same = l.join(r, F.col("l_node") == F.col("r_node")).where("l_id < r_id").withColumn("jaccard", F.lit(1.0))
+    other = near.join(l, "l_node").join(r, "r_node").where("l_id < r_id")
+    return same.select("l_id", "r_id", "jaccard", "lt", "rt").unionByName(other.select("l_id", "r_id", "jaccard", "lt", "rt")).select("l_id", "r_id", "jaccard", (F.col("lt") == F.col("rt")).alias("exact"))
 
 
 DOC_PAIRS_SQL = r"""

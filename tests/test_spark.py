@@ -232,3 +232,16 @@ def test_trends_of_the_first_experiment(spark):
         assert mean("block_tree", cap) > mean("chain", cap) - 0.02 and mean("chain", cap) > mean("random", cap)
     rounds = evaluate.cross_validate(f, "documents", [10, 50], algorithms=("block_tree",), rounds=True)
     assert np.mean([r[5] for r in rounds]) >= np.mean([r[5] for r in rows if r[1] == "block_tree"]) - 0.02
+
+
+def test_document_pairs_are_whole_whatever_the_frequency_of_their_runs(spark):
+    rnd = random.Random(4)
+    word = lambda n: ["".join(rnd.choices("abcdefgh", k=7)) for _ in range(n)]
+    a, b = word(30), word(24)
+    # more equal texts, and more texts with a long passage in common, than any cap on candidates lets through
+    texts = [" ".join(a)] * 105 + [" ".join(b + word(6)) for _ in range(110)] + [" ".join(word(30)) for _ in range(20)] + ["one", "ONE ", "", None]
+    runs = lambda t: {tuple(x[i : i + 5]) for x in [t.strip().lower().split()] for i in range(max(1, len(x) - 4))}
+    sets = {i: runs(t) for i, t in enumerate(texts) if t is not None}
+    j = {(x, y): round(len(sets[x] & sets[y]) / len(sets[x] | sets[y]), 6) for x in sets for y in sets if x < y}
+    got = {(r["l_id"], r["r_id"]): (r["jaccard"], r["exact"]) for r in w.doc_pairs(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert got == {k: (v, texts[k[0]] == texts[k[1]]) for k, v in j.items() if v >= 0.5} and len(got) > 105 * 104 // 2 + 110 * 109 // 2
