@@ -165,16 +165,24 @@ FROM pages
 """
 
 
-def benchmark_links(benchmark: DataFrame, docs: DataFrame, first: int = 6, n: int = 8) -> DataFrame:
-    """(item_id, doc_id): the item's words from `first` on, `n` of them, stand in the document.
+def benchmark_links(benchmark: DataFrame, docs: DataFrame, n: int = 8) -> DataFrame:
+    """(item_id, doc_id): any run of `n` words of the item, or the whole of a shorter item, stands in the document.
 
-    Both sides are cut into runs of n words, so that linking is an equi-join on a run's hash
-    and not a search of every text for every item; the words decide.
+    Both sides are cut into runs, so that linking is an equi-join on a run and not a search of
+    every text for every item. Documents are cut into runs of fewer words only where items have as few.
     """
-    probe = benchmark.select("item_id", F.array_join(F.slice(F.split("text", r"\s+"), first, n), " ").alias("run"), F.size(F.split("text", r"\s+")).alias("w")).where(F.col("w") >= first + n - 1).select("item_id", "run")
-    words = F.split("text", r"\s+")
-    runs = docs.select("doc_id", words.alias("w")).where(F.size("w") >= n).select("doc_id", F.explode_outer(F.transform(F.sequence(F.lit(1), F.size("w") - n + 1), lambda i: F.array_join(F.slice("w", i, n), " "))).alias("run"))
-    return runs.join(probe, "run").select("item_id", "doc_id").distinct()
+    words = F.split(F.trim(F.regexp_replace("text", r"\s+", " ")), " ")
+
+    def runs(size):
+        return F.transform(F.sequence(F.lit(1), F.size("w") - size + 1), lambda i: F.array_join(F.slice("w", i, size), " "))
+
+    items = benchmark.select("item_id", words.alias("w")).where("w[0] != ''")
+    probe = items.select("item_id", F.explode_outer(F.when(F.size("w") < n, F.array(F.array_join("w", " "))).otherwise(runs(n))).alias("run")).distinct()
+    lengths = sorted(r[0] for r in items.select(F.least(F.size("w"), F.lit(n))).distinct().collect())
+    held = docs.select("doc_id", words.alias("w"))
+    cuts = [F.when(F.size("w") >= k, runs(k)).otherwise(F.array().cast("array<string>")) for k in lengths]
+    found = held.select("doc_id", F.explode_outer(F.flatten(F.array(*cuts)) if cuts else F.array().cast("array<string>")).alias("run"))
+    return found.join(probe, "run").select("item_id", "doc_id").distinct()
 
 
 BENCHMARK_LINKS_SQL = r"""

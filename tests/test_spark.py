@@ -245,3 +245,11 @@ def test_document_pairs_are_whole_whatever_the_frequency_of_their_runs(spark):
     j = {(x, y): round(len(sets[x] & sets[y]) / len(sets[x] | sets[y]), 6) for x in sets for y in sets if x < y}
     got = {(r["l_id"], r["r_id"]): (r["jaccard"], r["exact"]) for r in w.doc_pairs(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
     assert got == {k: (v, texts[k[0]] == texts[k[1]]) for k, v in j.items() if v >= 0.5} and len(got) > 105 * 104 // 2 + 110 * 109 // 2
+
+
+def test_benchmark_items_are_linked_by_any_run_and_short_ones_whole(spark):
+    word = [f"w{i}" for i in range(40)]
+    items = [(0, " ".join(word[:20])), (1, "a short item"), (2, "never"), (3, ""), (4, " ".join(word[20:32]))]
+    texts = ["x " + " ".join(word[12:20]), " ".join([*word[:8], "edited", *word[9:12]]), "that is a\n short  item too", " ".join(word[13:20]), " ".join(word[24:32]) + " y", "", None]
+    got = w.benchmark_links(spark.createDataFrame(items, "item_id long, text string"), spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    assert sorted(map(tuple, got)) == [(0, 0), (0, 1), (1, 2), (4, 4)]
