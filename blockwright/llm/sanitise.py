@@ -44,7 +44,7 @@ from ..functions.scratch import cut
 MIN_SUPPORT = 3
 DISCLOSURE = 0.95
 NEAR = 0.8
-MIN_TERM = 4
+MIN_TERM = 1
 BROADCAST_BYTES = 32 << 20
 
 #: Class and pattern, in the order in which they are replaced.
@@ -63,7 +63,7 @@ PATTERNS = (
     ("PHONE", r"(?<![\d\p{L}.-])\d{3}[ .-]\d{3}[ .-]\d{4}(?![\d-])"),
 )
 #: What any of the patterns needs; most documents have none of it.
-_HINT = r"[0-9@=]|(?i:secret|passw|token|[_-]key)|-----BEGIN"
+_HINT = r"[0-9@=]|(?i:secret|passw|token|(?:api|access|auth)[_-]?key)|-----BEGIN|AKIA|gh[pousr]_|sk-|xox[abprs]-|eyJ|(?i:[a-f]:[a-f]{1,4}:)"
 _TERM = r"\p{L}{%d,}" % MIN_TERM
 
 
