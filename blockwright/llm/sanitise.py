@@ -18,8 +18,8 @@ copies of a line are one as well: n(e), n(t) and n(t,e) count groups of lines. A
 the first group, in the order of the lines' hashes, whose first line it copies, which is
 when both hold the same numbers and their words, without the entities and the term in
 question, have a Jaccard similarity of at least `NEAR`; so a form filled in with other
-numbers is no copy. N is the number of distinct lines. n(t) takes the lines with entities
-first, so that their groups alone bound it from below: only terms that can still pass are
+numbers is no copy. N is the number of distinct lines, counted by their 64-bit hashes. n(t)
+takes the lines with entities first, so that their groups alone bound it from below: only terms that can still pass are
 looked for in the other lines, and counting stops where no entity's threshold can be
 reached. The documents that hold revealing terms are joined back by broadcast while their
 list is under `BROADCAST_BYTES`, else by a shuffle.
@@ -27,7 +27,8 @@ list is under `BROADCAST_BYTES`, else by a shuffle.
 Defined results: null and empty texts stay as they are; without entities nothing changes;
 terms are runs of at least `MIN_TERM` letters, compared in lower case; rows of equal
 doc_id and text are treated alike; ties don't matter, as every term over the threshold
-goes; columns beyond `doc_id` and `text` are ignored.
+goes; an entity found inside another (an address within a secret) counts with it, once;
+columns beyond `doc_id` and `text` are ignored.
 """
 
 from __future__ import annotations
@@ -74,6 +75,12 @@ def masked(text: Column) -> Column:
     return F.when(text.rlike(_HINT), out).otherwise(text)
 
 
+def _n_entities(text: Column, clean: Column) -> Column:
+    """Entities that `clean` names and `text` did not: one found inside another counts with it, once."""
+    marks = F.lit("<(?:" + "|".join(sorted({name for name, _ in PATTERNS})) + ")>")
+    return F.when(clean == text, 0).otherwise(F.coalesce(F.regexp_count(clean, marks) - F.regexp_count(text, marks), F.lit(0)))
+
+
 def _entities(text: Column) -> Column:
     """All entities of a text, each found after those of the patterns before it were masked."""
     found, rest = [], text
@@ -170,7 +177,7 @@ def revealing(docs: DataFrame, min_support: int = MIN_SUPPORT, disclosure: float
     groups = cut(each.mapInPandas(_grouped, "entity string, numbers long, t array<string>, g int"), "groups")
     n_e = groups.groupBy("entity").agg(F.count_distinct("numbers", "g").alias("n_e")).where(F.col("n_e") >= min_support)
     n_te = groups.select("entity", "numbers", "g", F.explode("t").alias("term")).groupBy("entity", "term").agg(F.count_distinct("numbers", "g").alias("n_te")).where(F.col("n_te") >= min_support)
-    n = keyed.select(F.explode_outer(F.split("text", "\n", -1)).alias("line")).agg(F.approx_count_distinct("line", 0.01)).first()[0]
+    n = keyed.select(F.explode_outer(F.split("text", "\n", -1)).alias("line")).select(F.xxhash64("line").alias("context")).distinct().count()
 
     def share(n_t):
         return F.log2(F.col("n_te") * F.lit(float(n)) / (F.greatest(n_t, F.col("n_te")) * F.col("n_e"))) / F.log2(F.lit(float(n)) / F.col("n_e"))
@@ -195,22 +202,22 @@ def revealing(docs: DataFrame, min_support: int = MIN_SUPPORT, disclosure: float
 def sanitise(docs: DataFrame, min_support: int = MIN_SUPPORT, disclosure: float = DISCLOSURE) -> DataFrame:
     """(doc_id, text, n_entities, n_terms): the sanitised texts and how many entities and distinct terms of each were generalised."""
     text = F.col("text")
-    counted = sum((F.regexp_count(text, F.lit(p)) for _, p in PATTERNS[1:]), F.regexp_count(text, F.lit(PATTERNS[0][1])))
     base = docs.select("doc_id", F.xxhash64("text").alias("__fp"), "text")
     got = revealing(docs, min_support, disclosure)
     clean = masked(text)
-    n_entities = F.when(text.rlike(_HINT), F.when(clean == text, 0).otherwise(counted)).otherwise(0)
     if got is None:
-        return base.select("doc_id", clean.alias("text"), F.coalesce(n_entities, F.lit(0)).alias("n_entities"), F.lit(0).alias("n_terms"))
+        out = base.select("doc_id", clean.alias("__c"), text)
+        return out.select("doc_id", F.col("__c").alias("text"), _n_entities(text, F.col("__c")).alias("n_entities"), F.lit(0).alias("n_terms"))
     found, places = got
     hits = cut(places.join(found.select("term").distinct(), "term").groupBy("doc_id", "fp").agg(F.array_sort(F.collect_set("term")).alias("__terms")).select(F.col("doc_id").alias("__id"), F.col("fp").alias("__f"), "__terms"), "hits")
     size = hits.agg(F.sum(F.size("__terms") * 24 + 32)).first()[0] or 0
     side = F.broadcast(hits) if size <= BROADCAST_BYTES else hits
-    out = base.join(side, base["doc_id"].eqNullSafe(F.col("__id")) & (F.col("__fp") == F.col("__f")), "left").select("doc_id", clean.alias("__c"), n_entities.alias("n_entities"), "__terms")
+    out = base.join(side, base["doc_id"].eqNullSafe(F.col("__id")) & (F.col("__fp") == F.col("__f")), "left").select("doc_id", clean.alias("__c"), text, "__terms")
+    out = out.select("doc_id", "__c", _n_entities(text, F.col("__c")).alias("n_entities"), "__terms")
     # split before and after every run of letters, so that terms are compared as whole words
     parts = F.split("__c", r"(?<=\p{L})(?!\p{L})|(?<!\p{L})(?=\p{L})", -1)
     word = F.transform(parts, lambda w: F.when(F.array_contains("__terms", F.lower(w)), F.when(w.rlike(r"^\p{Lu}"), "<NAME>").otherwise("<TERM>")).otherwise(w))
-    return out.select("doc_id", F.when(F.col("__terms").isNull(), F.col("__c")).otherwise(F.array_join(word, "")).alias("text"), F.coalesce("n_entities", F.lit(0)).alias("n_entities"), F.coalesce(F.size("__terms"), F.lit(0)).alias("n_terms"))
+    return out.select("doc_id", F.when(F.col("__terms").isNull(), F.col("__c")).otherwise(F.array_join(word, "")).alias("text"), "n_entities", F.coalesce(F.size("__terms"), F.lit(0)).alias("n_terms"))
 
 
 def op10_sanitise(spark: SparkSession, sf_dir: str) -> DataFrame:
