@@ -1,7 +1,8 @@
 """Nearest neighbours by vantage-point trees, one to a shard.
 
-Vectors are sharded by their nearest pivot (a hash-ordered sample, one pivot for about
-`SHARD_ROWS` vectors), and every shard grows a vantage-point tree: a node splits its
+Vectors are sharded in two levels: by their nearest of a few cell pivots, then by the nearest
+pivot within the cell (a seeded sample, one for about `SHARD_ROWS` vectors in all), and every
+shard grows a vantage-point tree: a node splits its
 vectors at the median distance to its vantage point and keeps the range of distances of
 either half. By the triangle inequality a half can hold nothing nearer than the gap
 between the query's own distance and that range; it is pruned where that bound times
@@ -10,8 +11,10 @@ could matter, so the search is exact; larger factors prune more and may miss.
 
 Every vector is a query. Each first searches its own shard, then only the shards that its
 k-th best distance (by the same rule, from the pivots' distances, radii and bisecting
-planes) leaves open. All queries of a shard walk its tree together: distances at a node or
-leaf are one matrix product. Queries reach a shard in chunks of about `CHUNK_ROWS`.
+planes) leaves open: first the cells, then the shards of those. The queries of a shard are
+streamed past its one tree and walk it together: distances at a node or leaf are one matrix
+product. The driver and a broadcast hold the cell pivots alone, about the root of the number
+of shards; a task holds one shard, or the pivots of one cell.
 
 Defined results: rows without an id, and rows whose vector is null, empty, of another
 length than most, or has a null or non-finite entry, take no part; rows of equal id are one
@@ -34,7 +37,7 @@ K = 10
 FACTOR = 1.0
 LEAF = 256
 SHARD_ROWS = 16_384
-CHUNK_ROWS = 65_536
+SENT_ROWS = 65_536
 
 
 def squares(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -130,85 +133,156 @@ def _matrix(col) -> np.ndarray:
     return np.stack(col.to_numpy()).astype(np.float64)
 
 
+def _columns(part) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(ids, vectors, a, b, home) of a record batch (key, kind, id, v, a, b, home)."""
+    return part.column(2).to_numpy(), _matrix(part.column(3)), *(part.column(i).to_numpy() for i in (4, 5, 6))
+
+
+def _lists(x: np.ndarray) -> pa.Array:
+    return pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, x.shape[1]), pa.int32()), pa.array(x.reshape(-1)))
+
+
+def _row(key, a=None, b=None, home=None, id_="id") -> list:
+    """The columns of one side of `_meet`; what it doesn't use is zero."""
+    zero = F.lit(0.0)
+    return [F.col(key).alias("key"), F.col(id_).alias("id"), "v", (F.col(a) if a else zero).alias("a"), (F.col(b) if b else zero).alias("b"), (F.col(home) if home else F.lit(0).cast("bigint")).alias("home")]
+
+
+def _meet(held: DataFrame, asked: DataFrame, build, ask, schema: str) -> DataFrame:
+    """Rows of `asked` streamed past the rows of `held` of the same key, both as `_row` makes them.
+
+    The held rows of a key come first in its partition: `build(ids, vectors, a, b, home)` makes
+    a state of them, once, and `ask(state, key, ids, vectors, a, b, home)` answers each batch of
+    asked rows with record batches. No more than one key's held rows are in memory.
+    """
+    both = held.withColumn("kind", F.lit(0)).unionByName(asked.withColumn("kind", F.lit(1))).select("key", "kind", "id", "v", "a", "b", "home")
+
+    def run(batches):
+        key, first, state = None, [], None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            k, kind = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            edges = (np.flatnonzero((np.diff(k) != 0) | (np.diff(kind) != 0)) + 1).tolist()
+            for lo, hi in zip([0, *edges], [*edges, len(k)]):
+                part = batch.slice(lo, hi - lo)
+                if key is None or k[lo] != key:
+                    key, first, state = k[lo], [], None
+                if kind[lo] == 0:
+                    first.append(part)
+                elif first:
+                    if state is None:
+                        state = build(*(np.concatenate(x) for x in zip(*map(_columns, first))))
+                    yield from ask(state, key, *_columns(part))
+
+    return both.repartition("key").sortWithinPartitions("key", "kind", "id").mapInArrow(run, schema)
+
+
+def _gaps(d2: np.ndarray, pivots: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+    """Least possible distance of queries (rows of squared distances to pivots) to anything that belongs to each pivot.
+
+    A group lies between two spheres around its pivot, and beyond the plane that halves the
+    way from its pivot to the one nearest to the query, as its own pivot is nearest to it.
+    """
+    d = np.sqrt(d2)
+    near = d2.argmin(1)
+    between = np.sqrt(squares(pivots, pivots))[near]
+    # equal pivots share no plane
+    plane = np.where(between > 1e-9, (d2 - d2[np.arange(len(d2)), near][:, None]) / np.maximum(2 * between, 1e-9), 0)
+    return np.maximum(np.maximum(np.maximum(d - hi[None], lo[None] - d), plane), 0)
+
+
+def _sent(go: np.ndarray, keys: np.ndarray, ids: np.ndarray, x: np.ndarray, bound: np.ndarray, home: np.ndarray):
+    """Record batches (key, id, v, a, home) of the queries and the keys they go to, `SENT_ROWS` at a time."""
+    at, to = np.nonzero(go)
+    for i in range(0, len(at), SENT_ROWS):
+        q, k = at[i : i + SENT_ROWS], to[i : i + SENT_ROWS]
+        yield pa.RecordBatch.from_arrays([pa.array(keys[k]), pa.array(ids[q]), _lists(x[q]), pa.array(bound[q]), pa.array(home[q])], ["key", "id", "v", "a", "home"])
+
+
+def _found(q_ids: np.ndarray, best: np.ndarray, who: np.ndarray) -> pa.RecordBatch:
+    at, rank = np.nonzero(who >= 0)
+    return pa.RecordBatch.from_arrays([pa.array(q_ids[at]), pa.array(who[at, rank]), pa.array(best[at, rank])], ["id", "neighbour", "square"])
+
+
 def neighbours(vectors: DataFrame, k: int = K, factor: float = FACTOR, id_col: str = "vec_id", vec_col: str = "embedding", shard_rows: int = SHARD_ROWS, seed: int = 3, leaf: int = LEAF) -> DataFrame:
     """(id, neighbour, rank, distance) of every vector's k best; the distance is rounded to 6 digits."""
     spark = vectors.sparkSession
     v = F.col(vec_col).cast("array<double>")
     sound = vectors.select(F.col(id_col).cast("bigint").alias("id"), v.alias("v")).where("id is not null and size(v) > 0").where(~F.exists("v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))))
     lengths = sound.groupBy(F.size("v").alias("dims")).count().orderBy(F.desc("count"), "dims").first()
-    out = "id bigint, neighbour bigint, square double"
     if lengths is None:
         return spark.createDataFrame([], "id bigint, neighbour bigint, rank int, distance double")
     base = cut(sound.where(F.size("v") == lengths["dims"]).groupBy("id").agg(F.min("v").alias("v")), "vectors")
     n = base.count()
     shards = max(1, -(-n // shard_rows))
-    pivots = [r["v"] for r in base.orderBy(F.xxhash64("id", F.lit(seed)), "id").limit(shards).collect()]
-    p = spark.sparkContext.broadcast(np.array(pivots))
+    order = F.xxhash64("id", F.lit(seed))
+    # the root of the number of shards: all that the driver and a broadcast ever hold
+    first = base.orderBy(order, "id").limit(max(1, int(np.ceil(np.sqrt(shards))))).collect()
+    top = spark.sparkContext.broadcast(np.array([r["v"] for r in first]))
+    place = "id bigint, v array<double>, cell bigint, d double"
 
-    def assign(batches):
+    def to_cell(batches):
         for b in batches:
             x = _matrix(b.column(1))
             if len(x):
-                d = squares(x, p.value)
+                d = squares(x, top.value)
                 home = d.argmin(1)
-                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(home, pa.int32()), pa.array(np.sqrt(d[np.arange(len(d)), home]))], ["id", "v", "shard", "d"])
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(home.astype(np.int64)), pa.array(np.sqrt(d[np.arange(len(d)), home]))], ["id", "v", "cell", "d"])
+
+    celled = cut(base.mapInArrow(to_cell, place), "cells")
+    around = {r["cell"]: (r["lo"], r["hi"]) for r in celled.groupBy("cell").agg(F.min("d").alias("lo"), F.max("d").alias("hi")).collect()}
+    ring = spark.sparkContext.broadcast(tuple(np.array([around.get(i, (np.inf, -np.inf))[j] for i in range(len(first))]) for j in (0, 1)))
+    # pivots of shards: each vector by a seeded hash with the chance shards / n, and those of the cells, so that no cell is without
+    share = F.pmod(order, F.lit(1 << 30)) < int((1 << 30) * min(1.0, shards / max(n, 1)))
+    pivots = celled.where(share | F.col("id").isin([r["id"] for r in first])) if shards > 1 else celled.where(F.col("id") == first[0]["id"])
 
-    placed = cut(base.mapInArrow(assign, "id bigint, v array<double>, shard int, d double"), "shards")
-    radius = spark.sparkContext.broadcast({r["shard"]: (r["lo"], r["hi"]) for r in placed.groupBy("shard").agg(F.min("d").alias("lo"), F.max("d").alias("hi")).collect()})
+    def nearest(state, key, ids, x, *_):
+        p_ids, p = state
+        d = squares(x, p)
+        home = d.argmin(1)
+        yield pa.RecordBatch.from_arrays([pa.array(ids), _lists(x), pa.array(np.full(len(ids), key)), pa.array(p_ids[home]), pa.array(np.sqrt(d[np.arange(len(d)), home]))], ["id", "v", "cell", "shard", "d"])
 
-    def rows_of(q_ids, best, who):
-        at, rank = np.nonzero(who >= 0)
-        return pd.DataFrame({"id": q_ids[at], "neighbour": who[at, rank], "square": best[at, rank]})
+    placed = cut(_meet(pivots.select(*_row("cell")), celled.select(*_row("cell")), lambda ids, x, *_: (ids, x), nearest, "id bigint, v array<double>, cell bigint, shard bigint, d double"), "shards")
 
     def own(pdf):
         pdf = pdf.sort_values("id")
         x, ids = _matrix(pdf["v"]), pdf["id"].to_numpy()
-        return rows_of(ids, *Tree(ids, x, leaf).search(ids, x, k, factor))
+        return _found(ids, *Tree(ids, x, leaf).search(ids, x, k, factor)).to_pandas()
 
+    out = "id bigint, neighbour bigint, square double"
     home = placed.groupBy("shard").applyInPandas(own, out)
     if shards > 1:
         home = cut(home, "home")
         kth = home.groupBy("id").agg(F.when(F.count("*") >= k, F.max("square")).otherwise(float("inf")).alias("bound"))
+        questions = placed.join(kth, "id", "left").select("id", "v", F.coalesce("bound", F.lit(float("inf"))).alias("bound"), "shard")
+        shape = "key bigint, id bigint, v array<double>, a double, home bigint"
 
-        def route(batches):
-            piv = p.value
-            between = np.sqrt(squares(piv, piv))
-            r = radius.value
-            lo, hi = (np.array([r.get(i, (np.inf, -np.inf))[j] for i in range(len(piv))]) for j in (0, 1))
+        def open_cells(batches):
+            lo, hi = ring.value
             for b in batches:
                 x = _matrix(b.column(1))
-                if not len(x):
-                    continue
-                d2 = squares(x, piv)
-                d = np.sqrt(d2)
-                own_ = b.column(2).to_numpy()
-                reach = np.sqrt(b.column(3).to_numpy())
-                here = d2[np.arange(len(x)), own_][:, None]
-                # distance to the plane that halves the way between both pivots
-                plane = (d2 - here) / np.maximum(2 * between[own_], 1e-12)
-                gap = np.maximum(np.maximum(np.maximum(d - hi[None], lo[None] - d), plane), 0) * factor
-                go = gap <= reach[:, None] + 1e-6
-                go[np.arange(len(x)), own_] = False
-                at, to = np.nonzero(go)
-                take = pa.array(at)
-                yield pa.RecordBatch.from_arrays([b.column(0).take(take), b.column(1).take(take), b.column(3).take(take), pa.array(to, pa.int32())], ["id", "v", "bound", "shard"])
-
-        asked = placed.join(kth, "id", "left").select("id", "v", "shard", F.coalesce("bound", F.lit(float("inf"))).alias("bound")).mapInArrow(route, "id bigint, v array<double>, bound double, shard int")
-        chunks = max(1, -(-n // CHUNK_ROWS))
-        asked = asked.withColumn("chunk", F.pmod(F.xxhash64("id"), F.lit(chunks)).cast("int"))
-        there = placed.select("id", "v", "shard", F.explode(F.sequence(F.lit(0), F.lit(chunks - 1))).alias("chunk"))
-
-        def other(left, right):
-            if not len(left) or not len(right):
-                return pd.DataFrame({"id": pd.Series([], dtype="int64"), "neighbour": pd.Series([], dtype="int64"), "square": pd.Series([], dtype="float64")})
-            right = right.sort_values("id")
-            ids = right["id"].to_numpy()
-            q = left["id"].to_numpy()
-            best, who = Tree(ids, _matrix(right["v"]), leaf).search(q, _matrix(left["v"]), k, factor, left["bound"].to_numpy())
-            who = np.where(best <= left["bound"].to_numpy()[:, None], who, -1)
-            return rows_of(q, best, who)
-
-        home = home.unionByName(asked.groupBy("shard", "chunk").cogroup(there.groupBy("shard", "chunk")).applyInPandas(other, out))
+                if len(x):
+                    gap = _gaps(squares(x, top.value), top.value, lo, hi) * factor
+                    ids, bound, own_shard = (b.column(i).to_numpy() for i in (0, 2, 3))
+                    yield from _sent(gap <= np.sqrt(bound)[:, None] + 1e-6, np.arange(len(first)), ids, x, bound, own_shard)
+
+        to_cells = questions.mapInArrow(open_cells, shape).select(*_row("key", a="a", home="home"))
+        rings = placed.groupBy("cell", "shard").agg(F.min("d").alias("a"), F.max("d").alias("b"))
+        signs = rings.join(base.withColumnRenamed("id", "shard"), "shard").select(*_row("cell", a="a", b="b", id_="shard"))
+
+        def open_shards(state, key, ids, x, bound, _, home):
+            p_ids, p, lo, hi = state
+            go = (_gaps(squares(x, p), p, lo, hi) * factor <= np.sqrt(bound)[:, None] + 1e-6) & (p_ids[None] != home[:, None])
+            yield from _sent(go, p_ids, ids, x, bound, home)
+
+        to_shards = _meet(signs, to_cells, lambda ids, x, a, b, _: (ids, x, a, b), open_shards, shape).select(*_row("key", a="a"))
+
+        def others(tree, key, ids, x, bound, *_):
+            best, who = tree.search(ids, x, k, factor, bound)
+            yield _found(ids, best, np.where(best <= bound[:, None], who, -1))
+
+        home = home.unionByName(_meet(placed.select(*_row("shard")), to_shards, lambda ids, x, *_: Tree(ids, x, leaf), others, out))
     rank = F.row_number().over(Window.partitionBy("id").orderBy("square", "neighbour"))
     return home.withColumn("rank", rank).where(F.col("rank") <= k).select("id", "neighbour", "rank", F.round(F.sqrt("square"), 6).alias("distance"))
 
