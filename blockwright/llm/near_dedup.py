@@ -7,8 +7,8 @@ about the probability of their Jaccard similarity.
 
 1. One pass over the texts gives fingerprint, number of shingles and registers of every
    document. Documents with the same shingle set become one node.
-2. Registers are banded; nodes that agree in a whole band share a bucket. Equal member
-   lists are taken once. Only nodes that share a bucket go on.
+2. Registers are banded; nodes that agree in a whole band share a bucket. Buckets of the
+   same members are taken once. Only nodes that share a bucket go on.
 3. Within a bucket, members are linked to a leader, those the leader misses to the members
    it caught, and so on, until every member is linked to all it should be: a pair is linked
    where the joint likelihood of the counts of larger, smaller and equal registers, given
@@ -238,8 +238,11 @@ def node_groups(docs: DataFrame, table: DataFrame, threshold: float = THRESHOLD)
     """(node, group) of the nodes that share a group with another node; table: `sketches(docs)`, written."""
     nodes = table.where("node is not null").groupBy("node").agg(F.min_by(F.struct("doc_id", "fp", "n", "regs"), F.struct("doc_id", "fp")).alias("r")).select("node", "r.*")
     nodes = cut(nodes, "nodes")
-    lists = _bands(nodes).groupBy("band").agg(F.collect_list("node").alias("members")).where("size(members) > 1").select(F.array_sort("members").alias("members")).distinct()
-    members = lists.select(F.xxhash64("members").alias("bucket"), F.explode("members").alias("node"))
+    # a bucket is known by the number of its members and two sums of their hashes; windows spill, so no bucket is ever one row
+    band = Window.partitionBy("band")
+    held = _bands(nodes).select("band", "node", F.count("*").over(band).alias("n"), *[F.bit_xor(F.xxhash64("node", F.lit(i))).over(band).alias(f"s{i}") for i in (0, 1)]).where("n > 1")
+    bucket = F.xxhash64("n", "s0", "s1")
+    members = held.select(bucket.alias("bucket"), "band", "node").withColumn("first", F.min("band").over(Window.partitionBy("bucket"))).where("band = first").select("bucket", "node")
     edges = _links(members.join(nodes.select("node", "n", "regs"), "node").select("bucket", "node", "n", "regs"), threshold - SLACK)
     parts = connected_components(edges)
     inside = parts.join(nodes.select("node", "doc_id", "fp"), "node").select("label", "node", F.col("doc_id").alias("__id"), F.col("fp").alias("__fp"))
