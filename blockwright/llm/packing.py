@@ -14,8 +14,9 @@ As many bins are opened as their tokens need at least. Then, round by round:
 4. gaps shrink, full bins leave, and the next round begins. When no document fits any gap,
    new bins are opened for what is left.
 
-The matching depends only on the order of (size, kind, id), never on the partitioning. A
-gap gets at most one document a round. State is narrow (an id and a size a row), written to
+Items are numbered in order of (doc_id, piece, tokens), and the matching depends only on the
+order of (size, kind, id), so the result never depends on the partitioning. A gap gets at
+most one document a round. State is narrow (an id and a size a row), written to
 the shared folder after every round.
 
 Tokens are white-space separated words, or those of the byte-level vocabulary at
@@ -59,11 +60,25 @@ def _count_bpe(docs: DataFrame, ranks_file: str) -> DataFrame:
 
 
 def pieces(docs: DataFrame, capacity: int, tokenizer: str | None = None) -> DataFrame:
-    """(item, doc_id, piece, first_token, n_tokens): whole bins and a rest of each document."""
+    """(item, doc_id, piece, first_token, n_tokens): whole bins and a rest of each document, numbered from 0 in order of (doc_id, piece, n_tokens).
+
+    Rows are range-sorted and numbered within their partition; the partitions' numbers of rows
+    then say where each begins, so the numbers don't depend on the partitioning.
+    """
     counted = _count_bpe(docs, tokenizer) if tokenizer else docs.select("doc_id", n_tokens(F.col("text")).alias("n"))
+    counted = cut(counted.where("n > 0"), "tokens")
     # the outer form, as for the inner one Spark would infer a filter that counts all tokens once more
-    p = counted.where("n > 0").select("doc_id", "n", F.posexplode_outer(F.sequence(F.lit(0).cast("bigint"), F.col("n") - 1, F.lit(capacity).cast("bigint"))).alias("piece", "first_token"))
-    return p.select(F.monotonically_increasing_id().alias("item"), "doc_id", "piece", "first_token", F.least(F.lit(capacity).cast("bigint"), F.col("n") - F.col("first_token")).cast("int").alias("n_tokens"))
+    p = counted.select("doc_id", "n", F.posexplode_outer(F.sequence(F.lit(0).cast("bigint"), F.col("n") - 1, F.lit(capacity).cast("bigint"))).alias("piece", "first_token"))
+    p = p.select("doc_id", "piece", "first_token", F.least(F.lit(capacity).cast("bigint"), F.col("n") - F.col("first_token")).cast("int").alias("n_tokens"))
+    order = ["doc_id", "piece", "n_tokens"]
+    p = p.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("at", F.monotonically_increasing_id())
+    p = cut(p.withColumn("part", F.shiftright("at", 33).cast("int")).withColumn("at", F.col("at").bitwiseAND(F.lit((1 << 33) - 1))), "numbered")
+    begins, rows = 0, []
+    for r in p.groupBy("part").count().orderBy("part").collect():
+        rows.append((r["part"], begins))
+        begins += r["count"]
+    starts = docs.sparkSession.createDataFrame(rows, "part int, begins bigint")
+    return p.join(F.broadcast(starts), "part").select((F.col("begins") + F.col("at")).alias("item"), *["doc_id", "piece", "first_token", "n_tokens"])
 
 
 def match_runs(kind: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
