@@ -10,8 +10,10 @@ dictionary, so that the dictionary counts as much in a long text as in a short o
 blocks cover the text to its end.
 
 Defined results: null and empty texts get a null difference and score and are not kept;
-rows are scored each by itself (repeated rows get equal scores); a sample without both
-classes raises ValueError; columns beyond `doc_id` and `text` play no part.
+rows are scored each by itself (repeated rows get equal scores); where the sample has not two
+texts of both classes (an empty table among others) there is no model: then the difference and
+score are null throughout and every text that is not empty is kept; columns beyond `doc_id` and
+`text` play no part.
 """
 
 from __future__ import annotations
@@ -23,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import _grams as G
 from ._linear import platt, sigmoid
-from .quality_rules import labelled_sample
+from .quality_rules import distinct_sample, sample_rows
 
 LEVEL = 3
 BLOCK = 1024
@@ -62,12 +64,11 @@ class Pair:
         return (bad - good + PSEUDO * typical) / (n + PSEUDO)
 
 
-def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", max_train: int = MAX_TRAIN, seed: int = 11, dict_bytes: int = DICT_BYTES) -> dict:
-    """Model: both dictionaries and the calibration (a, b); every third row of a class is kept for calibration."""
-    rows = [(t.encode("utf-8", "replace"), y) for t, y in labelled_sample(docs, labels, target, max_train, seed)]
+def fit_rows(rows: list[tuple[bytes, int]], dict_bytes: int = DICT_BYTES) -> dict | None:
+    """Model of (text, y) rows: both dictionaries and the calibration (a, b); every third row of a class is kept for calibration. None without two rows of both classes."""
     side = {c: [t for t, y in rows if y == c] for c in (0, 1)}
     if min(map(len, side.values())) < 2:
-        raise ValueError("the compression classifier needs labelled documents of both classes")
+        return None
     part = {c: [t for i, t in enumerate(ts) if i % 3 != 2 or len(ts) < 3] for c, ts in side.items()}
     dicts = {c: _train(ts, dict_bytes) for c, ts in part.items()}
     raw = tuple(dicts[c].dict_id() == 0 for c in (1, 0))
@@ -76,23 +77,43 @@ def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", max_train:
     model["typical"] = float(np.mean([pair.difference(t) for ts in side.values() for i, t in enumerate(ts) if i % 3 == 2 or len(ts) < 3]))
     held = [(pair.difference(t, model["typical"]), c) for c, ts in side.items() for i, t in enumerate(ts) if i % 3 == 2 or len(ts) < 3]
     d, y = np.array([h[0] for h in held]), np.array([h[1] for h in held], float)
-    model["a"], model["b"] = platt(d, y)
+    model["a"], model["b"] = map(float, platt(d, y))
     return model
 
 
-def score(docs: DataFrame, model: dict, keep_from: float = KEEP_FROM) -> DataFrame:
+def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", max_train: int = MAX_TRAIN, seed: int = 11, dict_bytes: int = DICT_BYTES) -> dict | None:
+    """Model fitted on the bounded sample, in one task: only the dictionaries come to the driver."""
+
+    def run(batches):
+        rows = [t for b in batches for t in zip(*(c.to_pylist() for c in b.columns))]
+        m = fit_rows([(t.encode("utf-8", "replace"), y) for t, y in distinct_sample(rows)], dict_bytes)
+        if m:
+            yield pa.RecordBatch.from_arrays([*[pa.array([m[k]], pa.binary()) for k in ("good", "bad")], pa.array([list(m["raw"])], pa.list_(pa.bool_())), *[pa.array([m[k]]) for k in ("typical", "a", "b")]], ["good", "bad", "raw", "typical", "a", "b"])
+
+    got = sample_rows(docs, labels, target, max_train, seed).repartition(1).mapInArrow(run, "good binary, bad binary, raw array<boolean>, typical double, a double, b double").collect()
+    if not got:
+        return None
+    m = got[0].asDict()
+    return m | {"good": bytes(m["good"]), "bad": bytes(m["bad"]), "raw": tuple(m["raw"])}
+
+
+def score(docs: DataFrame, model: dict | None, keep_from: float = KEEP_FROM) -> DataFrame:
     """(doc_id, difference, score, kept) of every row."""
     kind = docs.schema["doc_id"].dataType.simpleString()
     held = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
         m = held.value
-        pair = Pair(m["good"], m["bad"], m["raw"])
+        pair = Pair(m["good"], m["bad"], m["raw"]) if m else None
         for batch in batches:
             for part in G.chunks(batch, "text"):
                 buf, off = G.view(part.column(1))
                 data = buf.tobytes()
                 n = np.diff(off)
+                if not m:
+                    none = pa.nulls(len(n), pa.float64())
+                    yield pa.RecordBatch.from_arrays([part.column(0), none, none, pa.array(n > 0)], ["doc_id", "difference", "score", "kept"])
+                    continue
                 d = np.array([pair.difference(data[a:b], m["typical"]) if b > a else np.nan for a, b in zip(off[:-1], off[1:])])
                 p = sigmoid(m["a"] * d + m["b"])
                 empty = n == 0

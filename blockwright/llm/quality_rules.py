@@ -12,7 +12,8 @@ case, punctuation and layout are kept, as they tell much about quality.
 Defined results: a null or blank text has no features, gets a null probability and is
 rejected ("empty"); rows are judged each by itself, so ties and repeated rows get equal
 verdicts; columns beyond `doc_id` and `text` are ignored by the scorer and kept by the
-filter; without labels of both classes there is no model and a ValueError says so.
+filter; without labelled documents of both classes (an empty table among others) there is no
+model: then no text is rejected but blank ones, and the verdict of the others is "unjudged".
 """
 
 from __future__ import annotations
@@ -84,15 +85,11 @@ def distinct_sample(rows: list[tuple]) -> list[tuple[str, int]]:
     return list(seen.values())
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, target: str, max_train: int, seed: int) -> list[tuple[str, int]]:
-    return distinct_sample([tuple(r) for r in sample_rows(docs, labels, target, max_train, seed).collect()])
-
-
-def fit_rows(rows: list[tuple[str, int]], bits: int = BITS) -> dict:
-    """Model of (text, y) rows: weights, intercept and calibration (a, b). Every fourth row of a class is kept for calibration."""
+def fit_rows(rows: list[tuple[str, int]], bits: int = BITS) -> dict | None:
+    """Model of (text, y) rows: weights, intercept and calibration (a, b); None without four rows of both classes. Every fourth row of a class is kept for calibration."""
     y = np.array([r[1] for r in rows], float)
     if len(rows) < 4 or y.min() == y.max():
-        raise ValueError("quality rules need labelled documents of both classes")
+        return None
     held = np.zeros(len(rows), bool)
     for c in (0, 1):
         held[np.flatnonzero(y == c)[3::4]] = True
@@ -109,25 +106,28 @@ def fit_rows(rows: list[tuple[str, int]], bits: int = BITS) -> dict:
     return {"w": w, "b": b, "a": a, "c": c, "bits": bits}
 
 
-def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", max_train: int = MAX_TRAIN, seed: int = 7, bits: int = BITS) -> dict:
+def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", max_train: int = MAX_TRAIN, seed: int = 7, bits: int = BITS) -> dict | None:
     """Model fitted on the bounded sample, in one task: only the weights come to the driver."""
 
     def run(batches):
         rows = [t for b in batches for t in zip(*(c.to_pylist() for c in b.columns))]
-        try:
-            m = fit_rows(distinct_sample(rows), bits)
-        except ValueError:
+        m = fit_rows(distinct_sample(rows), bits)
+        if m is None:
             return
         yield pa.RecordBatch.from_arrays([pa.array([m["w"].tobytes()], pa.binary()), *[pa.array([float(m[k])]) for k in ("b", "a", "c")]], ["w", "b", "a", "c"])
 
     got = sample_rows(docs, labels, target, max_train, seed).repartition(1).mapInArrow(run, "w binary, b double, a double, c double").collect()
     if not got:
-        raise ValueError("quality rules need labelled documents of both classes")
+        return None
     m = got[0]
     return {"w": np.frombuffer(m["w"], np.float32), "b": m["b"], "a": m["a"], "c": m["c"], "bits": bits}
 
 
-def score(docs: DataFrame, model: dict, reject: float = REJECT, accept: float = ACCEPT) -> DataFrame:
+def _probability(buf: np.ndarray, off: np.ndarray, m: dict) -> np.ndarray:
+    return sigmoid(m["a"] * margins(buf, off, m["w"], m["b"], m["bits"]) + m["c"])
+
+
+def score(docs: DataFrame, model: dict | None, reject: float = REJECT, accept: float = ACCEPT) -> DataFrame:
     """(doc_id, probability, verdict, kept) of every row."""
     kind = docs.schema["doc_id"].dataType.simpleString()
     held = docs.sparkSession.sparkContext.broadcast(model)
@@ -137,18 +137,18 @@ def score(docs: DataFrame, model: dict, reject: float = REJECT, accept: float =
         for batch in batches:
             for part in G.chunks(batch, "text"):
                 buf, off = G.view(part.column(1))
-                z = margins(buf, off, m["w"], m["b"], m["bits"])
                 _, wo = G.words(buf, off)
-                p = sigmoid(m["a"] * z + m["c"])
                 empty = np.diff(wo) == 0
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(p, mask=empty)], ["doc_id", "probability"])
+                p = _probability(buf, off, m) if m else np.zeros(len(empty))
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(p, mask=empty if m else np.ones(len(empty), bool)), pa.array(empty)], ["doc_id", "probability", "blank"])
 
-    scored = docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, probability double")
+    scored = docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, probability double, blank boolean")
     p = F.col("probability")
-    return scored.withColumn("verdict", F.when(p.isNull(), "empty").when(p < reject, "reject").when(p < accept, "review").otherwise("accept")).withColumn("kept", F.coalesce(p >= reject, F.lit(False)))
+    verdict = F.when(F.col("blank"), "empty").when(p.isNull(), "unjudged").when(p < reject, "reject").when(p < accept, "review").otherwise("accept")
+    return scored.select("doc_id", "probability", verdict.alias("verdict"), (~F.col("blank") & F.coalesce(p >= reject, F.lit(True))).alias("kept"))
 
 
-def keep_good(docs: DataFrame, model: dict, reject: float = REJECT) -> DataFrame:
+def keep_good(docs: DataFrame, model: dict | None, reject: float = REJECT) -> DataFrame:
     """The rows of `docs` that are not rejected, all columns, in one narrow pass."""
     held = docs.sparkSession.sparkContext.broadcast(model)
     schema = docs.schema
@@ -159,9 +159,9 @@ def keep_good(docs: DataFrame, model: dict, reject: float = REJECT) -> DataFrame
         for batch in batches:
             for part in G.chunks(batch, "text"):
                 buf, off = G.view(part.column(at))
-                p = sigmoid(m["a"] * margins(buf, off, m["w"], m["b"], m["bits"]) + m["c"])
                 _, wo = G.words(buf, off)
-                yield part.filter(pa.array((p >= reject) & (np.diff(wo) > 0)))
+                good = _probability(buf, off, m) >= reject if m else True
+                yield part.filter(pa.array((np.diff(wo) > 0) & good))
 
     return docs.mapInArrow(run, schema)
 
