@@ -176,6 +176,13 @@ def normalise(paths: DataFrame, folder: str) -> DataFrame:
 INDEX_NAMES = [c.split()[0] for c in INDEX_SCHEMA.split(", ")]
 
 
+def read_index(spark: SparkSession, folder: str) -> DataFrame:
+    """The index of the normalised files of `folder`, from their sidecars alone; the status of a file is in none, so it is null."""
+    fields = [c for c in INDEX_SCHEMA.split(", ") if c.split()[0] not in ("path", "status")]
+    rows = spark.read.schema(", ".join(fields)).option("pathGlobFilter", "*.idx").json(folder)
+    return rows.select(F.regexp_replace("_metadata.file_path", r"\.idx$", "").alias("path"), *[c.split()[0] for c in fields], F.lit(None).cast("string").alias("status"))
+
+
 def read_records(index: DataFrame) -> DataFrame:
     """(path, number, uri, record_id, payload, alone) of every record of an index, each read by its offset; alone: those bytes are exactly one gzip member."""
 
@@ -238,13 +245,15 @@ def write_monolithic(pages: DataFrame, folder: str) -> DataFrame:
 
 
 def op5_warc_normaliser(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every page, written into monolithic files, normalised, and read back record by record through the index."""
+    """Every page, written into monolithic files, normalised, and read back record by record through the sidecars."""
     pages = spark.read.parquet(f"{sf_dir}/pages.parquet")
     folder = scratch_path(spark, "warc")
     paths = cut(write_monolithic(pages, f"{folder}/monolithic"), "paths")
     # a file is a task's work
     n = paths.count()
     index = cut(normalise(paths.repartition(max(1, n), "path"), f"{folder}/members"), "index")
+    if n:
+        index = read_index(spark, f"{folder}/members")
     back = read_records(index.repartition(max(1, n), "path").sortWithinPartitions("path", "number"))
     return back.select(F.regexp_extract("record_id", "([0-9]+)>$", 1).cast("bigint").alias("page_id"), F.col("uri").alias("url"), F.octet_length("payload").cast("bigint").alias("payload_bytes"), F.md5("payload").alias("payload_md5"), F.col("alone").alias("own_member"))
 

@@ -1,6 +1,8 @@
 """Training-text operators against brute force, exact round trips and held-out accuracy, and on edge inputs."""
 
 import random
+import re
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -142,8 +144,10 @@ def test_classifier_edges(spark, odd, docs):
         got = module.score(odd, m)
         assert got.count() == odd.count() and not got.where("doc_id in (2, 3)").where("kept").count()
         assert module.score(odd.limit(0), m).count() == 0
-        with pytest.raises(ValueError):
-            module.fit(docs, labels.limit(0))
+        # without a model nothing is judged and only texts without content go
+        assert module.fit(docs, labels.limit(0)) is None and module.fit(docs.limit(0), labels) is None
+        free = {r["doc_id"]: r["kept"] for r in module.score(odd, None).collect()}
+        assert free[1] and free[4] and not free[2] and not free[3]
     m = quality_rules.fit(docs, labels)
     kept = {r[0] for r in quality_rules.keep_good(docs, m).select("doc_id").collect()}
     assert kept == {r[0] for r in quality_rules.score(docs, m).where("kept").select("doc_id").collect()}
@@ -186,7 +190,10 @@ def test_warc_round_trip(spark, tmp_path):
     pages = spark.createDataFrame([(1, "http://a", "<p>x</p>"), (2, None, ""), (3, "http://c", None), (None, "u", "WARC/1.0\r\n\r\nfake " * 9), (1, "http://a", "é" * 300_000)], "page_id long, url string, html string")
     paths = warc.write_monolithic(pages.coalesce(1), f"file://{tmp_path}/in").collect()
     index = warc.normalise(spark.createDataFrame(paths), f"file://{tmp_path}/out").collect()
-    got = warc.read_records(spark.createDataFrame(index, warc.INDEX_SCHEMA)).collect()
+    side = warc.read_index(spark, f"file://{tmp_path}/out").orderBy("path", "number").collect()
+    strip = lambda rows: sorted((r["path"].replace("file:///", "file:/"), *[r[c] for c in warc.INDEX_NAMES[1:-1]]) for r in rows)
+    assert strip(side) == strip(index) and len(side) == 5
+    got = warc.read_records(spark.createDataFrame(side, warc.INDEX_SCHEMA)).collect()
     want = [(u, None if h is None else h.encode()) for _, u, h in pages.collect()]
     assert [(r["uri"], None if r["payload"] is None else bytes(r["payload"])) for r in got] == want and all(r["alone"] for r in got)
     import pathlib
@@ -250,6 +257,266 @@ def test_short_names_are_generalised(spark):
     assert all(r["text"].startswith("<NAME> ") for r in got)
 
 
+def test_margins_against_single_rows(docs):
+    """Batched margins are the sums of each text's own features, counted one by one."""
+    from blockwright.llm import _grams as G
+    import pyarrow as pa
+
+    texts = [r["text"] for r in docs.orderBy("doc_id").limit(60).select("text").collect()] + ["", "a", "  ", "ab ab ab", "é"]
+    rng = np.random.default_rng(5)
+    w = rng.normal(size=1 << quality_rules.BITS).astype(np.float32)
+    buf, off = G.view(pa.array(texts, pa.large_string()))
+    got = quality_rules.margins(buf, off, w, 0.25)
+    for t, z in zip(texts, got):
+        idx, val = quality_rules.features(t)
+        assert z == pytest.approx(0.25 + float((w[idx].astype(float) * val).sum()), rel=1e-3, abs=1e-3)
+        # the features themselves, by plain counting
+        raw = t.encode()
+        want: dict = {}
+        for n in quality_rules.CHARS:
+            grams = [int.from_bytes(raw[i : i + n], "big") for i in range(len(raw) - n + 1)]
+            for g in grams:
+                b = int(G.bucket(np.array([g], np.uint32), n, quality_rules.BITS)[0])
+                want[b] = want.get(b, 0) + 10 / len(grams)
+        words = raw.split()
+        assert len(words) == len(G.words(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]))[0])
+        chars = {int(i) for i in idx}
+        assert set(want) <= chars
+        assert sum(val) == pytest.approx(10 * (sum(len(raw) >= n for n in quality_rules.CHARS) + (len(words) > 0) + (len(words) > 1)), rel=1e-4)
+
+
+def test_compression_against_whole_recomputation(docs, spark):
+    """Scores of the query against the compressor called on each text by itself, block by block."""
+    import zstandard as zstd
+
+    labels = spark.read.parquet(f"{SF}/labels.parquet")
+    m = compression_classifier.fit(docs, labels)
+    texts = {r["doc_id"]: (r["text"] or "").encode() for r in docs.collect()}
+    dicts = [zstd.ZstdCompressionDict(m[k], dict_type=zstd.DICT_TYPE_RAWCONTENT if raw else zstd.DICT_TYPE_AUTO) for k, raw in zip(("good", "bad"), m["raw"])]
+    for r in compression_classifier.score(docs, m).collect():
+        data = texts[r["doc_id"]]
+        sizes = [sum(len(zstd.ZstdCompressor(level=compression_classifier.LEVEL, dict_data=d, write_content_size=False, write_checksum=False, write_dict_id=False).compress(data[i : i + 1024])) for i in range(0, len(data), 1024)) for d in dicts] if r["doc_id"] % 10 == 0 else None
+        if sizes is None or not data:
+            continue
+        want = (sizes[1] - sizes[0] + 64 * m["typical"]) / (len(data) + 64)
+        assert r["difference"] == pytest.approx(want, abs=1e-9)
+        assert r["score"] == pytest.approx(1 / (1 + np.exp(-(m["a"] * want + m["b"]))), abs=1e-9)
+        assert r["kept"] == (r["score"] >= compression_classifier.KEEP_FROM)
+
+
+def test_string_kernel_against_sets_of_grams(docs):
+    """Kernel values and scores from sets of n-grams, without hashing, arrays or Nystroem weights multiplied out."""
+    from blockwright.llm import _grams as G
+    import pyarrow as pa
+
+    rows = [(r["text"], r["lang"]) for r in docs.where("lang is not null").orderBy("doc_id").limit(120).collect()]
+    texts = [t for t, _ in rows[:30]] + ["", "x", "Ab aB", max((t for t, _ in rows), key=len)]
+
+    def grams(t):
+        b = t.lower().encode()
+        return {b[i : i + n] for n in range(1, language_id.P + 1) for i in range(len(b) - n + 1)}
+
+    x = language_id.presence(*language_id._bytes(texts))
+    sets = [grams(t) for t in texts]
+    k = language_id.kernel(x, x, np.sqrt(np.maximum(x.sum(1), 1)))
+    for i, a in enumerate(sets):
+        # hashing to 2^18 places merges few n-grams
+        assert 0 <= len(a) - x[i].sum() <= 0.03 * len(a) + 1
+        for j, b in enumerate(sets):
+            want = len(a & b) / max(1, len(a)) ** 0.5 / max(1, len(b)) ** 0.5
+            assert k[i, j] == pytest.approx(want, abs=0.03)
+    m = language_id.fit_rows(rows, landmarks=10)
+    column = np.full(1 << m["bits"], -1, np.int32)
+    column[m["places"]] = np.arange(len(m["places"]))
+    got = language_id.scores(*language_id._bytes(texts), m, np.empty(64 << m["bits"], np.int32), column)
+    # the same regression on kernel values from sets
+    langs = m["langs"]
+    first = [i for lang in langs for i in [i for i, r in enumerate(rows) if r[1] == lang][:10]]
+    every, marks = [grams(t) for t, _ in rows], [grams(rows[i][0]) for i in first]
+    ker = lambda ss: np.array([[len(a & b) / max(1, len(a)) ** 0.5 / max(1, len(b)) ** 0.5 for b in marks] for a in ss])
+    vals, vecs = np.linalg.eigh(ker(marks))
+    keep = vals > 1e-6 * vals.max()
+    root = vecs[:, keep] / np.sqrt(vals[keep])
+    phi = np.hstack([ker(every) @ root, np.ones((len(every), 1))])
+    y = np.array([[1.0 if r[1] == lang else -1.0 for lang in langs] for r in rows])
+    share = np.array([1 / sum(q[1] == r[1] for q in rows) for r in rows])
+    beta = np.linalg.solve((phi * share[:, None]).T @ phi + language_id.RIDGE * np.eye(phi.shape[1]), (phi * share[:, None]).T @ y)
+    want = np.hstack([ker(sets) @ root, np.ones((len(sets), 1))]) @ beta
+    solid = [i for i, t in enumerate(texts) if len(t) > 20]
+    assert np.abs(got[solid] - want[solid]).max() < 0.15
+    assert (got[solid].argmax(1) == want[solid].argmax(1)).mean() > 0.95
+
+
+def _plain_packing(lengths: list[tuple], capacity: int) -> dict:
+    """Bulk-synchronous best fit, one list and one stack: (doc_id, piece) -> (bin number, order of bins opened)."""
+    items = []
+    for doc, n in sorted(lengths, key=lambda x: (x[0], x[1])):
+        for piece, start in enumerate(range(0, n, capacity)):
+            items.append((doc, piece, min(capacity, n - start)))
+    items.sort()
+    bins: dict = {}
+    rest = {i: x[2] for i, x in enumerate(items) if x[2] < capacity}
+    for i, x in enumerate(items):
+        if x[2] == capacity:
+            bins[x[:2]] = -1 - i
+    gaps, opened = None, 0
+    while rest:
+        if gaps is None:
+            need = max(1, -(-sum(rest.values()) // capacity))
+            gaps = dict.fromkeys(range(opened, opened + need), capacity)
+            opened += need
+        line = sorted([(n, 0, i) for i, n in rest.items()] + [(n, 1, g) for g, n in gaps.items()])
+        stack, moved = [], 0
+        for n, kind, i in line:
+            if kind == 0:
+                stack.append((i, n))
+            elif stack:
+                d, size = stack.pop()
+                bins[items[d][:2]] = i
+                gaps[i] -= size
+                if not gaps[i]:
+                    del gaps[i]
+                del rest[d]
+                moved += 1
+        if not moved:
+            gaps = None
+    return bins
+
+
+def test_packing_against_plain_sweeps(spark, docs):
+    lengths = [(r["doc_id"], len(r["text"].split())) for r in docs.select("doc_id", "text").collect()]
+    want = _plain_packing(lengths, 512)
+    for parts in (1, 5):
+        got = {(r["doc_id"], r["piece"]): r["bin_id"] for r in packing.pack(docs.repartition(parts), 512).collect()}
+        assert got == want
+
+
+def test_disclosure_against_plain_counts(spark):
+    """Point-wise mutual information of every term and entity, by sets of lines; no two lines are near copies."""
+    from math import log2
+
+    rnd = random.Random(9)
+    vocabulary = ["".join(rnd.choices("abcdefghijklmnop", k=6)) for _ in range(60)]
+    people = {f"p{i}@mail.example.org": f"Surname{chr(97 + i)}x" for i in range(8)}
+    docs, number = [], 1000
+    for d in range(300):
+        lines = []
+        for _ in range(rnd.randint(1, 4)):
+            number += 1
+            words = rnd.sample(vocabulary, 8)
+            if rnd.random() < 0.35:
+                mail, name = rnd.choice(list(people.items()))
+                words += [mail] + ([name] if rnd.random() < 0.8 else [])
+            elif rnd.random() < 0.02:
+                words.append(rnd.choice(list(people.values())))
+            lines.append(" ".join(words) + f" nr {number}")
+        docs.append((d, "\n".join(lines)))
+    lines = {x for _, t in docs for x in t.split("\n")}
+    terms_of = {x: set(re.findall(r"[^\W\d_]+", re.sub(r"\S+@\S+", " ", x).lower())) for x in lines}
+    n_t = Counter(t for s in terms_of.values() for t in s)
+    by = {e: [x for x in lines if e in x.split()] for e in people}
+    want = {}
+    for e, held in by.items():
+        for t, n in Counter(t for x in held for t in terms_of[x]).items():
+            if n >= sanitise.MIN_SUPPORT:
+                share = log2(n * len(lines) / (n_t[t] * len(held))) / log2(len(lines) / len(held))
+                if share >= sanitise.DISCLOSURE:
+                    want[(t, e)] = (n, n_t[t], len(held), round(share, 9))
+    assert want
+    got = {(r["term"], r["entity"]): (r["n_te"], r["n_t"], r["n_e"], round(r["disclosure"], 9)) for r in sanitise.revealing(spark.createDataFrame(docs, "doc_id long, text string"))[0].collect()}
+    assert got == want
+
+
+def test_an_entity_in_another_counts_once(spark):
+    rows = [(1, 'password: "jan.doe@mail.org"'), (2, "a@b.org and c@d.org and a@b.org"), (3, None), (4, "<EMAIL> and x@y.org"), (5, "")]
+    got = {r["doc_id"]: r["n_entities"] for r in sanitise.sanitise(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: 1, 2: 3, 3: 0, 4: 1, 5: 0}
+
+
+def _tables(tmp_path, spark, docs, labels):
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    labels.write.parquet(f"{tmp_path}/labels.parquet")
+    return str(tmp_path)
+
+
+def test_pipeline_on_odd_and_on_empty_tables(spark, odd, tmp_path):
+    import corpus_pipeline as cp
+
+    labels = spark.read.parquet(f"{SF}/labels.parquet")
+    clash = labels.withColumn("text", F.lit("no")).withColumn("kept", F.lit(1))
+    sf = _tables(tmp_path / "odd", spark, odd, clash)
+    rows = cp.run(spark, sf).collect()
+    # blank texts go; of the two long ones none fits the mixture's budget for its leaf, which no document may exceed
+    assert rows and {r["doc_id"] for r in rows} <= {1, None, 4, 6}
+    for name, stage in cp.STAGES:
+        out = stage(spark, odd, sf)
+        assert out.columns == (cp.COLUMNS if name != "packing" else ["bin_id", "bin_offset", "doc_id", "piece", "first_token", "n_tokens"])
+        assert stage(spark, odd.limit(0), sf).count() == 0
+        out.count()
+    empty = _tables(tmp_path / "empty", spark, odd.limit(0), labels.limit(0))
+    assert cp.run(spark, empty).count() == 0
+    pages = spark.createDataFrame([], "page_id long, url string, html string")
+    pages.write.parquet(f"{tmp_path}/empty/pages.parquet")
+    assert warc.op5_warc_normaliser(spark, empty).count() == 0
+
+
+def test_pipeline_against_plain_python(spark):
+    """Each stage's rows by plain Python on its own input; what a stage keeps is compared row by row."""
+    import corpus_pipeline as cp
+
+    sf = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    labels = spark.read.parquet(f"{sf}/labels.parquet")
+    held = {r["doc_id"]: r for r in docs.collect()}
+    good = cp.quality(spark, docs, sf).cache()
+    m = quality_rules.fit(docs, labels)
+
+    def plain(t):
+        idx, val = quality_rules.features(t)
+        return 1 / (1 + np.exp(-(m["a"] * (float((m["w"][idx] * val).sum()) + m["b"]) + m["c"])))
+
+    want = {i for i, r in held.items() if (r["text"] or "").split() and plain(r["text"]) >= quality_rules.REJECT}
+    assert {r["doc_id"] for r in good.collect()} == want
+    lines = cp.lines(spark, good, sf).cache()
+    seen: set = set()
+    left = {}
+    for i in sorted(want):
+        out = []
+        for x in held[i]["text"].split("\n"):
+            solid = any(ord(c) > 32 for c in x)
+            if not (solid and x in seen):
+                out.append(x)
+            if solid:
+                seen.add(x)
+        t = "\n".join(out)
+        if t.split():
+            left[i] = t
+    assert {r["doc_id"]: r["text"] for r in lines.collect()} == left
+    near = cp.near(spark, lines, sf).cache()
+    kept = {r["doc_id"] for r in near.collect()}
+    sets = {i: (lambda t: {tuple(t[k : k + 3]) for k in range(max(1, len(t) - 2))})(t.lower().split()) for i, t in left.items()}
+    ids = sorted(sets)
+    alike = {(a, b) for k, a in enumerate(ids) for b in ids[k + 1 :] if len(sets[a] & sets[b]) >= 0.5 * len(sets[a] | sets[b])}
+    parent = {i: i for i in ids}
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for a, b in sorted(alike):
+        a, b = root(a), root(b)
+        parent[max(a, b)] = min(a, b)
+    assert kept == {i for i in ids if root(i) == i}
+    mixed = cp.mixture(spark, near, sf).cache()
+    assert {r["doc_id"] for r in mixed.collect()} <= kept
+    tokens = sum(len(left[i].split()) for i in kept)
+    drawn = sum(len(r["text"].split()) for r in mixed.collect())
+    assert 0.7 * cp.SHARE * tokens <= drawn <= cp.SHARE * tokens
+    packed = {(r["doc_id"], r["piece"]): 0 for r in cp.packed(spark, mixed, sf).collect()}
+    assert {i for i, _ in packed} == {r["doc_id"] for r in mixed.collect()}
+
+
 def test_pipeline_against_its_parts(spark):
     import corpus_pipeline as cp
 
