@@ -88,9 +88,14 @@ def sign_bits(a: str, planes: int, seed: int = 0) -> HashFn:
     return HashFn("sign_bits", a, (planes, seed))
 
 
-def interval_hash(a: str, partition: list[Interval]) -> HashFn:
-    """Number of the interval of an ordered attribute that holds the value."""
-    return HashFn("interval", a, tuple(partition))
+def interval_hash(a: str, partition: list[Interval], order: str | None = None) -> HashFn:
+    """Number of the interval of an ordered attribute that holds the value; `order` is a family without parameters by whose value texts are ordered."""
+    return HashFn("interval", a, tuple(partition)) if order is None else HashFn("interval_by", a, (order, *partition))
+
+
+def order_key(a: Attribute, order: str | None = None) -> Column:
+    """What an attribute is ordered by: itself, or the value of a family without parameters."""
+    return F.expr(a.expr) if order is None else _raw(HashFn(order, a.name), a)
 
 
 # expressions ------------------------------------------------------------------
@@ -149,6 +154,8 @@ def _raw(h: HashFn, a: Attribute) -> Column:
             return _signs(c, p[0], p[1])
         case "interval":
             return interval_number(c, p)
+        case "interval_by":
+            return interval_number(order_key(a, p[0]), p[1:])
     raise ValueError(f"unknown hash family {h.family}")
 
 
@@ -164,16 +171,16 @@ def _signs(c: Column, planes: int, seed: int) -> Column:
 
 
 def interval_number(c: Column, cuts: tuple[Interval, ...]) -> Column:
-    """Number of the interval that holds c, as a flat CASE over upper ends; the last interval has none."""
-    out = None
-    for i, x in enumerate(cuts):
-        if x.hi is None:
-            continue
-        hi = F.lit(x.hi)
-        test = (c <= hi) if x.hi_incl else (c < hi)
-        out = F.when(test, F.lit(str(i))) if out is None else out.when(test, F.lit(str(i)))
-    last = F.lit(str(len(cuts) - 1))
-    return F.when(c.isNotNull(), last if out is None else out.otherwise(last))
+    """Number of the interval that holds c, by nested tests of upper ends that halve what is left; the last interval has none."""
+
+    def search(lo: int, hi: int) -> Column:
+        if lo == hi:
+            return F.lit(str(lo))
+        m = (lo + hi) // 2
+        end = F.lit(cuts[m].hi)
+        return F.when((c <= end) if cuts[m].hi_incl else (c < end), search(lo, m)).otherwise(search(m + 1, hi))
+
+    return F.when(c.isNotNull(), search(0, len(cuts) - 1))
 
 
 def column(h: HashFn, spec: BlockingSpec) -> Column:
@@ -219,9 +226,11 @@ def _duck(h: HashFn, a: Attribute) -> str:
             return f"trim(regexp_replace(translate(upper({s}), {_quote(_ACCENTS[0])}, {_quote(_ACCENTS[1])}), '\\s+', ' ', 'g'))"
         case "date_bucket":
             return f"strftime(date_trunc({_quote(p[0])}, {c}), '%Y-%m-%d')"
-        case "interval":
+        case "interval" | "interval_by":
             def lit(v):
                 return str(v) if isinstance(v, (int, float)) else f"{_quote(v)}"
+            if h.family == "interval_by":
+                c, p = f"({_duck(HashFn(p[0], a.name), a)})", p[1:]
             tests = " ".join(f"WHEN {c} {'<=' if x.hi_incl else '<'} {lit(x.hi)} THEN '{i}'" for i, x in enumerate(p) if x.hi is not None)
             last = len(p) - 1
             return f"CASE WHEN {c} IS NULL THEN NULL {tests} ELSE '{last}' END"

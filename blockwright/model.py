@@ -86,12 +86,15 @@ class HashFn:
 
     family: str
     attribute: str
+    #: Plain values, tuples of them, or the intervals of a partition.
     params: tuple = ()
 
     @property
     def name(self) -> str:
         if self.family == "interval":
             return f"{self.attribute}.interval{len(self.params)}"
+        if self.family == "interval_by":
+            return f"{self.attribute}.interval{len(self.params) - 1}_by_{self.params[0]}"
         return ".".join([self.attribute, self.family + "".join(f"_{p}" for p in self.params)])
 
 

@@ -4,8 +4,8 @@ Only ends of labelled pairs matter. If the gap between two neighbouring ends is
 it may as well be cut at both its sides, as every cut inside breaks the same pairs; so one
 decides which gaps to cut, and a run of ends left uncut must fit the cost bound. With
 V(i) = least over j of (pairs leaving the run i..j) + V(j+1), from right to left and with a
-segment tree over j, that takes O(n log n), however many values the attribute has. Gaps
-that hold too many records are then sliced freely, and neighbours that fit together joined.
+segment tree over j, that takes O((n + pairs) log n), however many values the attribute has.
+Gaps that hold too many records are then sliced freely, and neighbours that fit together joined.
 
 Sizes come from one aggregate: records by end and by gap. A null is no value of the order
 and is left to `interval_hash`, which gives it a block of its own.
@@ -19,65 +19,90 @@ from itertools import combinations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashes import interval_hash
+from ..functions.hashes import interval_hash, order_key
+from ..functions.scratch import cut
 from ..model import BlockingSpec, HashFn, Interval
 from .sizes import canonical_pairs
 
 
+#: Values and places are held in one whole number, value first, so that the least one is that of least value and, among equals, of last place.
+_STEP = 1 << 32
+_NONE = 1 << 100
+
+
 class _Least:
-    """Segment tree: add to a range, least value of a range with its last place."""
+    """Segment tree over whole numbers: add to a range, least value of a range with its last place; all in O(log n), bottom up."""
 
     def __init__(self, n: int):
-        self.size = 1 << max(0, (n - 1).bit_length())
-        self.low = [float("inf")] * (2 * self.size)
-        self.add_ = [0.0] * (2 * self.size)
-
-    def set(self, i: int, value: float) -> None:
-        i += self.size
-        path = []
-        while i > 1:
-            path.append(i)
-            i >>= 1
-        carried = self.add_[1] + sum(self.add_[p] for p in path[1:])
-        leaf = path[0] if path else 1
-        self.low[leaf] = value - carried if path else value
-        self.add_[leaf] = 0.0
-        i = leaf >> 1
-        while i:
-            self.low[i] = min(self.low[2 * i] + self.add_[2 * i], self.low[2 * i + 1] + self.add_[2 * i + 1])
-            i >>= 1
-
-    def add(self, lo: int, hi: int, value: float, node: int = 1, a: int = 0, b: int | None = None) -> None:
-        b = self.size if b is None else b
-        if hi <= a or b <= lo:
-            return
-        if lo <= a and b <= hi:
-            if node < self.size:
-                self.add_[node] += value
-            else:
-                self.low[node] += value
+        self.n = 1 << max(1, (n - 1).bit_length())
+        self.low = [_NONE] * (2 * self.n)
+        self.wait = [0] * self.n
+
+    def _apply(self, p: int, v: int) -> None:
+        self.low[p] += v
+        if p < self.n:
+            self.wait[p] += v
+
+    def _push(self, p: int) -> None:
+        """What waits above leaf p goes down to it."""
+        for h in range(p.bit_length() - 1, 0, -1):
+            i = p >> h
+            if v := self.wait[i]:
+                self._apply(2 * i, v)
+                self._apply(2 * i + 1, v)
+                self.wait[i] = 0
+
+    def _pull(self, p: int) -> None:
+        low, wait = self.low, self.wait
+        while p > 1:
+            p >>= 1
+            a, b = low[2 * p], low[2 * p + 1]
+            low[p] = (a if a < b else b) + wait[p]
+
+    def set(self, i: int, value: int) -> None:
+        p = i + self.n
+        self._push(p)
+        self.low[p] = value * _STEP - i
+        self._pull(p)
+
+    def add(self, lo: int, hi: int, value: int) -> None:
+        """Add to the places from lo to before hi."""
+        if lo >= hi:
             return
-        m = (a + b) // 2
-        self.add(lo, hi, value, 2 * node, a, m)
-        self.add(lo, hi, value, 2 * node + 1, m, b)
-        self.low[node] = min(self._at(2 * node), self._at(2 * node + 1))
-
-    def _at(self, node: int) -> float:
-        return self.low[node] + (self.add_[node] if node < self.size else 0)
-
-    def least(self, lo: int, hi: int, node: int = 1, a: int = 0, b: int | None = None) -> tuple[float, int]:
-        """(value, -place) over [lo, hi); the last place among equals."""
-        b = self.size if b is None else b
-        if hi <= a or b <= lo:
-            return (float("inf"), 0)
-        if b - a == 1:
-            return (self.low[node], -a)
-        m = (a + b) // 2
-        got = min(self.least(lo, hi, 2 * node, a, m), self.least(lo, hi, 2 * node + 1, m, b))
-        return (got[0] + self.add_[node], got[1])
+        a, b, v = lo + self.n, hi + self.n, value * _STEP
+        first, last = a, b - 1
+        while a < b:
+            if a & 1:
+                self._apply(a, v)
+                a += 1
+            if b & 1:
+                b -= 1
+                self._apply(b, v)
+            a >>= 1
+            b >>= 1
+        self._pull(first)
+        self._pull(last)
+
+    def least(self, lo: int, hi: int) -> tuple[int, int]:
+        """(value, place) over [lo, hi)."""
+        a, b = lo + self.n, hi + self.n
+        self._push(a)
+        self._push(b - 1)
+        best = _NONE
+        while a < b:
+            if a & 1:
+                best = min(best, self.low[a])
+                a += 1
+            if b & 1:
+                b -= 1
+                best = min(best, self.low[b])
+            a >>= 1
+            b >>= 1
+        value = -(-best // _STEP)
+        return value, value * _STEP - best
 
 
 def solve(ends: list, pairs: list[tuple], reach: list[int]) -> tuple[int, list[tuple[int, int]]]:
@@ -94,20 +119,60 @@ def solve(ends: list, pairs: list[tuple], reach: list[int]) -> tuple[int, list[t
         if a != b:
             starting[at[a]].append(at[b])
     tree = _Least(k)
-    value = [0.0] * (k + 1)
+    value = [0] * (k + 1)
     choice = [0] * k
     for i in range(k - 1, -1, -1):
         # a run that ends at j leaves V(j+1), plus the pairs that begin inside and end beyond j
         tree.set(i, value[i + 1])
         for r in starting[i]:
-            tree.add(i, r, 1.0)
-        value[i], j = tree.least(i, reach[i] + 1)
-        choice[i] = -j
+            tree.add(i, r, 1)
+        value[i], choice[i] = tree.least(i, reach[i] + 1)
     runs, i = [], 0
     while i < k:
         runs.append((i, choice[i]))
         i = choice[i] + 1
-    return int(value[0]), runs
+    return value[0], runs
+
+
+def solve_full(counts: list[tuple], pairs: list[tuple], cap: float) -> tuple[int, list[int]]:
+    """(violations, first place of each interval), by the recurrence over all values of the domain.
+
+    The least loss from a value on is the least, over the cuts worth trying, of the pairs that
+    begin in the interval and end beyond it, plus the least loss from the cut on. Only values
+    that some chain of cuts reaches are solved, and what no pair touches costs nothing. counts:
+    sorted (value, records). For comparison: `solve` gives the same from the ends alone.
+    """
+    values = [v for v, _ in counts]
+    m = len(values)
+    pairs = [p for p in pairs if p[0] != p[1]]
+    reach = reach_of([n for _, n in counts], [0] * max(0, m - 1), cap)
+    at = {v: i for i, v in enumerate(values)}
+    spans = sorted((at[a], at[b]) for a, b in pairs)
+    cuts = sorted({c for a, b in spans for c in (a, a + 1, b, b + 1)})
+    found, todo = set(), [0]
+    nexts: dict[int, list[int]] = {}
+    while todo:
+        i = todo.pop()
+        if i in found or i >= m:
+            continue
+        found.add(i)
+        top = reach[i] + 1
+        nexts[i] = cuts[bisect.bisect_right(cuts, i) : bisect.bisect_right(cuts, top)]
+        if not nexts[i] or nexts[i][-1] != top:
+            nexts[i] = [*nexts[i], top]
+        todo += nexts[i]
+    value, choice = {m: 0}, {}
+    lows = [a for a, _ in spans]
+    for i in sorted(found, reverse=True):
+        for c in nexts[i]:
+            lost = sum(b >= c for _, b in spans[bisect.bisect_left(lows, i) : bisect.bisect_left(lows, c)])
+            if i not in value or lost + value[c] < value[i]:
+                value[i], choice[i] = lost + value[c], c
+    starts, i = [], 0
+    while i < m:
+        starts.append(i)
+        i = choice[i]
+    return value[0], starts
 
 
 def reach_of(at_end: list[float], in_gap: list[float], cap: float) -> list[int]:
@@ -136,7 +201,6 @@ def slot_counts(df: DataFrame, key: Column, ends: list) -> tuple[list[int], list
     vectorised function only where it is long, else by a flat CASE.
     """
     spark = df.sparkSession
-    kind = df.select(key.alias("k")).schema["k"].dataType
     counted = df.select(key.alias("k"))
     if len(ends) <= 64:
         case = F.when(F.col("k").isNull(), -1)
@@ -147,47 +211,66 @@ def slot_counts(df: DataFrame, key: Column, ends: list) -> tuple[list[int], list
         # distinct values first: a partial aggregate, then the search of the few that are left
         held = spark.sparkContext.broadcast(ends)
 
-        @F.pandas_udf("long")
-        def slot(k: pd.Series) -> pd.Series:
-            e = held.value
-            return pd.Series([-1 if pd.isna(x) else 2 * (i := bisect.bisect_left(e, x)) + (i < len(e) and e[i] == x) for x in k], dtype="int64")
-
-        rows = counted.groupBy("k").agg(F.count("*").alias("n")).select(slot("k").alias("slot"), "n", "k").groupBy("slot").agg(F.sum("n"), F.min("k")).collect()
+        rows = counted.groupBy("k").agg(F.count("*").alias("n")).select(_slot(held)("k").alias("slot"), "n", "k").groupBy("slot").agg(F.sum("n"), F.min("k")).collect()
     got = {r[0]: r[1] for r in rows}
     first = {r[0]: r[2] for r in rows}
     k = len(ends)
     return [got.get(2 * i + 1, 0) for i in range(k)], [got.get(2 * i, 0) for i in range(k + 1)], [first.get(2 * i) for i in range(k + 1)]
 
 
-def _slices(df: DataFrame, key: Column, lo, hi, n: int, cap: int) -> list[tuple]:
-    """(value, records) runs of an open gap, each starting at its value and of at most `cap` records if no value alone has more.
+def _slot(held):
+    """Vectorised search of sorted ends: 2i + 1 at end i, 2i in the gap before it, -1 for a null."""
+
+    @F.pandas_udf("long")
+    def slot(k: pd.Series) -> pd.Series:
+        e, there = held.value, k.notna().to_numpy()
+        kind = "datetime64[us]" if isinstance(e[0], (dt.date, dt.datetime)) else None if isinstance(e[0], (int, float)) else object
+        e = np.array(e, kind)
+        x = np.array(k[there].tolist(), e.dtype)
+        i = np.searchsorted(e, x)
+        out = np.full(len(k), -1, np.int64)
+        out[there] = 2 * i + ((i < len(e)) & (e[np.minimum(i, len(e) - 1)] == x))
+        return pd.Series(out)
+
+    return slot
 
-    Only the gap's distinct values, counted, come to the driver, in order; there are at most n.
+
+def _slices(df: DataFrame, key: Column, ends: list, gaps: list[int], cap: int) -> dict[int, list[tuple]]:
+    """For each gap of more than `cap` records, (value, records) runs that each start at their value and hold at most `cap` records, if no value alone has more.
+
+    All such gaps at once: their distinct values are counted, range-sorted and summed up along
+    the order; a value belongs to the half cap its sum begins in, and a value of over half a
+    cap stands alone. So a run has no more than two halves, and the driver sees a few rows for
+    each cap of records, whatever the number of values.
     """
-    k = F.col("k")
-    inside = df.select(key.alias("k")).where(k.isNotNull())
-    inside = inside.where(k > F.lit(lo)) if lo is not None else inside
-    inside = inside.where(k < F.lit(hi)) if hi is not None else inside
-    out: list[list] = []
-    # steps of at most cap/4 by approximate quantiles, then exact counts between the steps
-    steps = max(1, -(-n * 4 // max(cap, 1)))
-    cuts = None
-    if n > 200_000 and steps < 100_000:
-        cuts = inside.select(F.percentile_approx("k", [i / steps for i in range(1, steps)], 100 * steps)).first()[0]
-    if cuts:
-        step = F.lit(0)
-        for i, c in enumerate(sorted(set(cuts))):
-            step = F.when(k >= F.lit(c), i + 1).otherwise(step) if i < 64 else step
-        rows = inside.groupBy(step.alias("s")).agg(F.min("k").alias("k"), F.count("*").alias("n")).orderBy("k").collect()
-        rows = [(r["k"], r["n"]) for r in rows]
-    else:
-        rows = [(r[0], r[1]) for r in inside.groupBy("k").agg(F.count("*").alias("n")).orderBy("k").collect()]
-    for v, c in rows:
-        if out and out[-1][1] + c <= cap:
-            out[-1][1] += c
-        else:
-            out.append([v, c])
-    return [tuple(x) for x in out]
+    big = {i: n for i, n in enumerate(gaps) if n > cap}
+    if not big:
+        return {}
+    spark = df.sparkSession
+    counted = df.select(key.alias("k")).where(F.col("k").isNotNull()).groupBy("k").agg(F.count("*").alias("n"))
+    slotted = counted.withColumn("slot", _slot(spark.sparkContext.broadcast(ends))("k")) if ends else counted.withColumn("slot", F.lit(0).cast("bigint"))
+    # the records of the gaps before each, in the order of values
+    before, base = 0, []
+    for i, n in big.items():
+        base.append((2 * i, before))
+        before += n
+    inside = slotted.join(F.broadcast(spark.createDataFrame(base, "slot bigint, base bigint")), "slot")
+    half = max(1, cap // 2)
+    ranged = inside.repartitionByRange("k").sortWithinPartitions("k").select("slot", "base", "k", "n", (F.col("n") > half).cast("int").alias("alone"), F.spark_partition_id().alias("part"))
+    ranged = cut(ranged, "ranged")
+    done, alone, offsets = 0, 0, []
+    for r in ranged.groupBy("part").agg(F.sum("n").alias("n"), F.sum("alone").alias("alone")).orderBy("part").collect():
+        offsets.append((r["part"], done, alone))
+        done, alone = done + r["n"], alone + r["alone"]
+    up = Window.partitionBy("part").orderBy("k").rowsBetween(Window.unboundedPreceding, -1)
+    placed = ranged.join(F.broadcast(spark.createDataFrame(offsets, "part int, done bigint, heavy bigint")), "part")
+    start = F.col("done") + F.coalesce(F.sum("n").over(up), F.lit(0)) - F.col("base")
+    heavy = F.col("heavy") + F.coalesce(F.sum("alone").over(up), F.lit(0))
+    runs = placed.select("slot", "k", "n", "alone", F.floor(start / half).alias("s"), heavy.alias("h")).groupBy("slot", "s", "h", "alone").agg(F.min("k").alias("k"), F.sum("n").alias("n")).orderBy("k").collect()
+    out: dict[int, list[tuple]] = {}
+    for r in runs:
+        out.setdefault(r["slot"] // 2, []).append((r["k"], r["n"]))
+    return {i: _joined(x, cap) for i, x in out.items()}
 
 
 def _joined(starts: list[tuple], cap: float) -> list[tuple]:
@@ -210,14 +293,29 @@ def tile(starts: list[tuple], cap: float) -> list[Interval]:
     return out or [Interval(None, None, False, False, 0)]
 
 
-def drilldown(df: DataFrame, key: Column, pairs: list[tuple], cap: int, cost: str = "count") -> list[Interval]:
+#: Distinct values up to which `solver="full"` may bring a domain to the driver.
+FULL_VALUES = 1_000_000
+
+
+def drilldown(df: DataFrame, key: Column, pairs: list[tuple], cap: int, cost="count", solver: str = "endpoints") -> list[Interval]:
     """Optimal intervals of the ordered column `key` under a bound on each.
 
     pairs: values (low, high) of labelled pairs, in any order; nulls are ignored.
     cost: "count", records in an interval; "width", the difference of its ends (numbers and
     dates); or a function of (low, high) that does not fall when the interval grows.
+    solver: "endpoints" needs only the ends of pairs; "full" runs the recurrence over all values
+    of the domain (cost "count" alone, at most `FULL_VALUES` of them), for comparison.
     """
     pairs = [(min(p), max(p)) for p in pairs if None not in p]
+    if solver == "full":
+        if cost != "count":
+            raise ValueError("the full solver counts records")
+        rows = df.select(key.alias("k")).where("k is not null").groupBy("k").agg(F.count("*").alias("n")).orderBy("k").limit(FULL_VALUES + 1).collect()
+        if len(rows) > FULL_VALUES:
+            raise ValueError('too many values for the driver: use solver="endpoints"')
+        counts = [(r["k"], r["n"]) for r in rows]
+        _, starts = solve_full(counts, pairs, cap)
+        return tile([(counts[a][0], sum(n for _, n in counts[a:b])) for a, b in zip(starts, [*starts[1:], len(counts)])], cap)
     ends = order_values([x for p in pairs for x in p])
     if cost != "count":
         width = (lambda a, b: (b - a).days if isinstance(a, (dt.date, dt.datetime)) else b - a) if cost == "width" else cost
@@ -233,15 +331,14 @@ def drilldown(df: DataFrame, key: Column, pairs: list[tuple], cap: int, cost: st
     at_end, gaps, first = slot_counts(df, key, ends)
     _, runs = solve(ends, pairs, reach_of(at_end, gaps[1:-1], cap) if ends else [])
     starts: list[tuple] = []
+    sliced = _slices(df, key, ends, gaps, cap)
 
     def gap(i: int) -> None:
         """Records before end i (after the last one for i = len(ends)), sliced."""
         if 0 < gaps[i] <= cap:
             starts.append((first[i], gaps[i]))
         elif gaps[i]:
-            # only a gap over the cap needs another pass
-            lo, hi = (ends[i - 1] if i else None), (ends[i] if i < len(ends) else None)
-            starts.extend(_slices(df, key, lo, hi, gaps[i], cap))
+            starts.extend(sliced[i])
 
     gap(0)
     for i, j in runs:
@@ -308,11 +405,17 @@ def pair_values(df: DataFrame, id_col: str, key: Column, pairs: DataFrame) -> li
     return [(x["lk"], x["rk"]) for x in p.join(l, "l_id").join(r, "r_id").orderBy("l_id", "r_id").select("lk", "rk").collect()]
 
 
-def auto_library(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, cap: int, kinds: tuple[str, ...] = ("int", "float", "date")) -> list[HashFn]:
-    """An interval function, learnt for this cap, for every ordered attribute."""
+#: Orders of text attributes besides that of the value itself: by the first and by the last token.
+TEXT_ORDERS = ("identity", "first_token", "last_token")
+
+
+def auto_library(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, cap: int, kinds: tuple[str, ...] = ("int", "float", "date", "text", "token_text"), orders: tuple[str, ...] = TEXT_ORDERS) -> list[HashFn]:
+    """An interval function, learnt for this cap, for every ordered attribute; text attributes get one for each order."""
     out = []
     for a in spec.attributes:
-        if a.kind in kinds:
-            key = F.expr(a.expr)
-            out.append(interval_hash(a.name, drilldown(df, key, pair_values(df, spec.id_col, key, pairs), cap)))
+        if a.kind not in kinds:
+            continue
+        for order in orders if a.kind in ("text", "token_text") else (None,):
+            key = order_key(a, order)
+            out.append(interval_hash(a.name, drilldown(df, key, pair_values(df, spec.id_col, key, pairs), cap), order))
     return out
