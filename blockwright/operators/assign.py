@@ -6,11 +6,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import hashes
+from ..functions.scratch import cut
 from ..model import BlockingSpec, BlockTree, Node, RoundPlan
 from .sizes import mixer
 
 #: Heavy children of a level up to which routing is a CASE; beyond it, a broadcast join of (node, value).
 CASE_LIMIT = 100
+#: Levels of a tree from which its key is hidden from Spark's tracing of join keys.
+TRACED = 3
 
 
 def _levels(tree: BlockTree) -> list[list[Node]]:
@@ -88,16 +91,20 @@ def with_block_key(df: DataFrame, tree: BlockTree, spec: BlockingSpec, name: str
     helper = "__route_"
     keep = [c for c in df.columns if c != name]
     routed, key = _route(df, tree, spec, helper)
-    # never null, and known not to be: else a join on it would push a filter with the whole routing below the projections
-    return routed.withColumn(name, F.coalesce(key, F.lit(""))).select(*[F.col(f"`{c}`") for c in keep], name)
+    # Never null, and known not to be: else a join on it would push a filter with the whole routing below the projections.
+    # A join also looks for partitions to prune and traces its keys down to the scan, writing out each projection's
+    # expressions in the next, which doubles them level by level; it stops at a column that an explode made.
+    key = F.coalesce(key, F.lit(""))
+    made = F.explode_outer(F.array(key)).alias(name) if tree.height >= TRACED else key.alias(name)
+    return routed.select(*[F.col(f"`{c}`") for c in keep], made)
 
 
 def assign_blocks(df: DataFrame, tree: BlockTree, spec: BlockingSpec, rollup: DataFrame | None = None) -> DataFrame:
     """(id, block_key): each record once. `rollup`: (block_key, merged_key) of blocks that were merged."""
     out = with_block_key(df, tree, spec).select(F.col(spec.id_col).alias("id"), "block_key")
     if rollup is not None:
-        # a row for each merged block, no more than the labelled pairs touch
-        out = out.join(F.broadcast(rollup), "block_key", "left").select("id", F.coalesce("merged_key", "block_key").alias("block_key"))
+        # a row for each merged block; Spark broadcasts it where it is small
+        out = out.join(rollup, "block_key", "left").select("id", F.coalesce("merged_key", "block_key").alias("block_key"))
     return out
 
 
@@ -127,6 +134,18 @@ def round_keys(df: DataFrame, plan: RoundPlan, spec: BlockingSpec) -> DataFrame:
     return out.select(F.col(spec.id_col).alias("id"), F.array(*[F.col(f"__key{i}") for i in range(len(plan.rounds))]).alias("keys"))
 
 
+def split_oversize(assigned: DataFrame, cap: int, seed: int = 42) -> DataFrame:
+    """(id, block_key) with every block of n > cap records split at random into ceil(n / cap) parts, by real sizes.
+
+    Sizes are one aggregate; only blocks over the cap, no more than records / cap, are joined
+    back. Works on any disjoint assignment, so a tree learnt on other data keeps its cap.
+    """
+    assigned = cut(assigned.select("id", "block_key"), "assigned")
+    big = assigned.groupBy("block_key").agg(F.count("*").alias("n")).where(F.col("n") > cap).select("block_key", F.ceil(F.col("n") / cap).cast("bigint").alias("parts"))
+    key = F.when(F.col("parts").isNull(), F.col("block_key")).otherwise(F.concat("block_key", F.lit("/"), (mixer(F.col("id"), seed) % F.col("parts")).cast("string")))
+    return assigned.join(big, "block_key", "left").select("id", key.alias("block_key"))
+
+
 def random_blocks(df: DataFrame, id_col: str, n: int, cap: int, seed: int = 42, strict: bool = False) -> DataFrame:
     """(id, block_key): records at random in ceil(n / cap) blocks.
 
@@ -144,10 +163,19 @@ def random_blocks(df: DataFrame, id_col: str, n: int, cap: int, seed: int = 42,
     return out.select("id", F.concat_ws("+", F.col("b").cast("string"), F.floor(at / cap).cast("string")).alias("block_key"))
 
 
+def without_parts(tree: BlockTree) -> BlockTree:
+    """The tree without random splits, which `split_oversize` makes by real sizes instead."""
+
+    def bare(n: Node) -> Node:
+        return Node(n.id, n.size, n.pairs, n.hash, {v: bare(c) for v, c in n.heavy.items()})
+
+    return BlockTree(tree.kind, bare(tree.root), tree.seed, tree.chain)
+
+
 def frontier(sizes: dict[int, int], tree: BlockTree, cap: int) -> BlockTree:
     """The tree cut at its shallowest nodes of at most `cap` records by real `sizes` (node -> records); leaves over the cap are split."""
 
-    def cut(n: Node) -> Node:
+    def kept(n: Node) -> Node:
         size = sizes.get(n.id, 0)
         out = Node(n.id, size, n.pairs)
         if size <= cap:
@@ -156,10 +184,10 @@ def frontier(sizes: dict[int, int], tree: BlockTree, cap: int) -> BlockTree:
             out.parts = -(-size // cap)
             return out
         out.hash = n.hash
-        out.heavy = {v: cut(c) for v, c in n.heavy.items()}
+        out.heavy = {v: kept(c) for v, c in n.heavy.items()}
         return out
 
-    return BlockTree(tree.kind, cut(tree.root), tree.seed)
+    return BlockTree(tree.kind, kept(tree.root), tree.seed)
 
 
 def node_sizes(df: DataFrame, tree: BlockTree, spec: BlockingSpec) -> dict[int, int]:

@@ -74,8 +74,8 @@ def _flat(f: Features) -> _Flat:
 
 def score_all(f: Features, sig: np.ndarray, prs: np.ndarray, cap: int, scorer: str, min_shrink: float = 1.0) -> Scores:
     """Score all functions at the node of signatures `sig` and pairs `prs`."""
-    t, k = _flat(f), len(f.library)
-    size = np.bincount(t.codes[sig].ravel(), np.repeat(f.count[sig], k), t.n)
+    t = _flat(f)
+    size = f.sizes(sig, t)
     same = f.same[prs]
     pairs = np.bincount(t.pairs[prs].ravel(), same.ravel(), t.n)
     heavy = (size > cap) & ~t.light
@@ -89,17 +89,17 @@ def score_all(f: Features, sig: np.ndarray, prs: np.ndarray, cap: int, scorer: s
     else:
         raise ValueError(f"unknown scorer {scorer}")
     largest = np.maximum.reduceat(np.where(heavy, size, 0), t.start)
-    total = f.count[sig].sum()
+    total = f.total(sig)
     return Scores(score, broken, np.add.reduceat(heavy.astype(int), t.start), largest, (largest < total) & (largest <= min_shrink * total))
 
 
 def split(f: Features, sig: np.ndarray, prs: np.ndarray, h: int, cap: int, scorer: str, min_shrink: float = 1.0) -> Split:
     """Score function h at a node, with its heavy children."""
-    by = np.bincount(f.codes[sig, h], f.count[sig], len(f.values[h]) + 1)
+    by = f.sizes_of(sig, h)
     heavy = np.flatnonzero(by[1:] > cap) + 1
     same = f.same[prs, h]
     pair_by = np.bincount(f.pair_code[prs, h], same, len(f.values[h]) + 1)
-    total = f.count[sig].sum()
+    total = f.total(sig)
     largest = by[heavy].max() if len(heavy) else 0
     return Split(h, elimination(scorer, (~same).sum(), by[heavy], pair_by[heavy], cap), int((~same).sum()), heavy, by[heavy], pair_by[heavy], bool(largest < total) and bool(largest <= min_shrink * total))
 
@@ -126,7 +126,7 @@ def _leaf(node: Node, cap: int) -> None:
 
 
 def _start(f: Features):
-    return np.arange(len(f.count)), np.arange(len(f.same))
+    return f.root(), np.arange(len(f.same))
 
 
 def learn_block_tree(f: Features, config: BlockingConfig) -> BlockTree:
@@ -135,7 +135,7 @@ def learn_block_tree(f: Features, config: BlockingConfig) -> BlockTree:
         return best_of(f, config, learn_block_tree)
     cap = config.cap
     sig, prs = _start(f)
-    root = Node(0, int(f.count.sum()), len(prs))
+    root = Node(0, int(f.n), len(prs))
     todo, n = [(root, sig, prs, frozenset(), 0)], 1
     while todo:
         nxt = []
@@ -148,7 +148,7 @@ def learn_block_tree(f: Features, config: BlockingConfig) -> BlockTree:
                 continue
             node.hash = f.library[s.h]
             for code, size in zip(s.codes, s.sizes):
-                a = sig[f.codes[sig, s.h] == code]
+                a = f.child(sig, s.h, code)
                 b = prs[f.same[prs, s.h] & (f.pair_code[prs, s.h] == code)]
                 child = Node(n, int(size), len(b))
                 n += 1
@@ -164,7 +164,7 @@ def learn_level_tree(f: Features, config: BlockingConfig) -> BlockTree:
         return best_of(f, config, learn_level_tree)
     cap = config.cap
     sig, prs = _start(f)
-    root = Node(0, int(f.count.sum()), len(prs))
+    root = Node(0, int(f.n), len(prs))
     level, n, used = [(root, sig, prs)] if root.size > cap else [], 1, set()
     for _ in range(config.max_depth):
         if not level:
@@ -185,7 +185,7 @@ def learn_level_tree(f: Features, config: BlockingConfig) -> BlockTree:
                 child = Node(n, int(size))
                 n += 1
                 node.heavy[f.values[h][code - 1]] = child
-                ca, cb = a[f.codes[a, h] == code], b[f.same[b, h] & (f.pair_code[b, h] == code)]
+                ca, cb = f.child(a, h, code), b[f.same[b, h] & (f.pair_code[b, h] == code)]
                 child.pairs = len(cb)
                 nxt.append((child, ca, cb))
         level = nxt
@@ -214,12 +214,12 @@ def learn_chain(f: Features, config: BlockingConfig) -> BlockTree:
         return best_of(f, config, learn_chain)
     cap = config.cap
     sig, prs = _start(f)
-    blocks: dict[tuple, tuple] = {(): (sig, prs)} if f.count.sum() > cap else {}
+    blocks: dict[tuple, tuple] = {(): (sig, prs)} if f.n > cap else {}
     together = prs
     chain: list[int] = []
     best: tuple | None = None
     while True:
-        parts = {k: max(1, int(np.ceil(f.count[a].sum() / cap))) for k, (a, _) in blocks.items()}
+        parts = {k: max(1, int(np.ceil(f.total(a) / cap))) for k, (a, _) in blocks.items()}
         alive = len(together) - sum(len(b) * (1 - 1 / parts[k]) for k, (_, b) in blocks.items())
         if best is None or alive > best[0] + 1e-9 or config.oversize == "refine":
             best = (alive, list(chain), parts)
@@ -239,12 +239,12 @@ def learn_chain(f: Features, config: BlockingConfig) -> BlockTree:
         nxt = {}
         for (k, (a, b)), x in zip(blocks.items(), s):
             for code in x.codes:
-                nxt[k + (f.values[h][code - 1],)] = (a[f.codes[a, h] == code], b[f.same[b, h] & (f.pair_code[b, h] == code)])
+                nxt[k + (f.values[h][code - 1],)] = (f.child(a, h, code), b[f.same[b, h] & (f.pair_code[b, h] == code)])
         blocks = nxt
         together = together[f.same[together, h]]
         chain.append(h)
     _, kept, parts = best
-    root = Node(0, int(f.count.sum()), len(prs))
+    root = Node(0, int(f.n), len(prs))
     if not kept:
         root.parts = parts.get((), 1)
     return BlockTree("chain", root, config.seed, tuple(f.library[h] for h in kept), {"\x1f".join(k): p for k, p in parts.items() if k})

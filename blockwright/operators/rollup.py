@@ -7,13 +7,12 @@ block and one per pair of blocks with a split pair between them, never the recor
 from __future__ import annotations
 
 import heapq
-from itertools import combinations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.scratch import cut
-from .components import connected_components
 
 #: Cross edges up to which the greedy merge runs on the driver; beyond it use strategy="matching".
 DRIVER_EDGES = 2_000_000
@@ -34,14 +33,12 @@ def touched_sizes(assigned: DataFrame, cross: DataFrame) -> DataFrame:
     return assigned.join(keys, "block_key", "left_semi").groupBy("block_key").agg(F.count("*").alias("n"))
 
 
-def greedy(sizes: dict[str, int], cross: dict[tuple[str, str], int], cap: int, merge_zero_benefit: bool = False, target_blocks: int | None = None, by_density: bool = True) -> list[set[str]]:
+def greedy(sizes: dict[str, int], cross: dict[tuple[str, str], int], cap: int, by_density: bool = True) -> list[set[str]]:
     """Groups of blocks to merge, each within the cap.
 
     The pair of groups with most benefit for the smaller of the two merges first (or, with
     `by_density` off, simply of most benefit); ties go to the smaller keys. Benefits of a
-    merged group add up; outdated heap entries are dropped when they come up. Afterwards
-    groups without common pairs may be packed together, first fit by falling size, until
-    `target_blocks` are left or, without it, as far as they fit.
+    merged group add up; outdated heap entries are dropped when they come up.
     """
     group = {k: {k} for k in sizes}
     size = dict(sizes)
@@ -71,19 +68,62 @@ def greedy(sizes: dict[str, int], cross: dict[tuple[str, str], int], cap: int, m
                 near[a][c] = near[c][a] = near[a].get(c, 0) + n
         for c in near[a]:
             push(a, c)
-    if merge_zero_benefit:
-        bins: list[list] = []
-        for k in sorted(group, key=lambda k: (-size[k], k)):
-            if target_blocks is not None and len(bins) + 0 >= 0 and len(group) <= target_blocks:
-                break
-            fit = next((x for x in bins if x[0] + size[k] <= cap), None)
-            if fit is None:
-                bins.append([size[k], k])
-            else:
-                fit[0] += size[k]
-                group[fit[1]] |= group.pop(k)
-                size[fit[1]] = fit[0]
-    return [g for g in group.values()]
+    return list(group.values())
+
+
+def first_fit(sizes: list[tuple[str, int]], cap: int, target: int = 0) -> list[list[str]]:
+    """Blocks packed by falling size (ties: the smaller key), each into the first group with room, until `target` groups are left.
+
+    The room of the groups is held in a tree of maxima, so that a block finds its group in O(log n).
+    """
+    order = sorted(sizes, key=lambda x: (-x[1], x[0]))
+    width = 1 << max(0, (len(order) - 1).bit_length())
+    room = [-1] * (2 * width)
+
+    def put(i: int, value: int) -> None:
+        p = i + width
+        room[p] = value
+        while p > 1:
+            p >>= 1
+            room[p] = max(room[2 * p], room[2 * p + 1])
+
+    groups: list[list[str]] = []
+    left = len(order)
+    for k, n in order:
+        if room[1] < n or left <= target:
+            put(len(groups), cap - n)
+            groups.append([k])
+            continue
+        p = 1
+        while p < width:
+            p = 2 * p if room[2 * p] >= n else 2 * p + 1
+        groups[p - width].append(k)
+        put(p - width, room[p] - n)
+        left -= 1
+    return groups
+
+
+#: Blocks that one task packs; more are dealt by a hash of their key to as many tasks as that needs.
+PACKED_BLOCKS = 200_000
+
+
+def merge_small(sizes: DataFrame, cap: int, target_blocks: int | None = None, at_once: int = PACKED_BLOCKS) -> DataFrame:
+    """(block_key, merged_key): blocks without common pairs packed together within the cap, to leave fewer blocks. sizes: (block_key, n).
+
+    Merging stops once `target_blocks` are left, or goes on as far as blocks fit. Packing runs
+    in tasks: no size comes to the driver. Blocks of over `cap` records are left alone.
+    """
+    n = sizes.count()
+    parts = max(1, -(-n // at_once))
+    # of the blocks to leave, each part its share
+    target = 0 if target_blocks is None else max(1, -(-target_blocks // parts))
+    part = F.pmod(F.xxhash64("block_key"), F.lit(parts)).cast("int")
+
+    def pack(pdf):
+        small = [(k, int(x)) for k, x in zip(pdf["block_key"], pdf["n"])]
+        return pd.DataFrame([(k, min(g)) for g in first_fit(small, cap, target) if len(g) > 1 for k in g], columns=["block_key", "merged_key"])
+
+    return sizes.where(F.col("n") <= cap).withColumn("part", part).groupBy("part").applyInPandas(pack, "block_key string, merged_key string")
 
 
 def recovered(groups: list[set[str]], cross: dict[tuple[str, str], int]) -> int:
@@ -92,9 +132,9 @@ def recovered(groups: list[set[str]], cross: dict[tuple[str, str], int]) -> int:
     return sum(n for (a, b), n in cross.items() if a in of and of.get(a) == of.get(b))
 
 
-def best_greedy(sizes, cross, cap, **kw) -> list[set[str]]:
+def best_greedy(sizes, cross, cap) -> list[set[str]]:
     """Density greedy, or greedy by benefit alone where that recovers more (density can spend room on a small gain)."""
-    plans = [greedy(sizes, cross, cap, by_density=d, **kw) for d in (True, False)]
+    plans = [greedy(sizes, cross, cap, by_density=d) for d in (True, False)]
     return max(plans, key=lambda g: recovered(g, cross))
 
 
@@ -137,23 +177,36 @@ def to_map(spark: SparkSession, groups: list[set[str]]) -> DataFrame:
 
 
 def rollup(assigned: DataFrame, pairs: DataFrame, cap: int, strategy: str = "density", safeguard: bool = True, merge_zero_benefit: bool = False, target_blocks: int | None = None) -> DataFrame:
-    """(block_key, merged_key) for the blocks of an assignment that are merged.
+    """(block_key, merged_key) for the blocks of any disjoint assignment that are merged.
 
     "density" collects the cross edges, of which there are no more than split pairs;
-    "matching" stays distributed, whatever their number.
+    "matching" stays distributed, whatever their number. With `merge_zero_benefit` what is
+    left is packed further by `merge_small`, without looking at pairs.
     """
     spark = assigned.sparkSession
+    assigned = cut(assigned.select("id", "block_key"), "assigned")
     cross = cut(edges(assigned, pairs), "cross")
     if strategy == "matching":
-        return matching_rollup(assigned, cross, cap)
-    if cross.count() > DRIVER_EDGES:
-        raise ValueError('too many split pairs for the driver: use strategy="matching"')
-    got = {(r["a"], r["b"]): r["benefit"] for r in cross.collect()}
-    every = assigned.groupBy("block_key").agg(F.count("*").alias("n")) if merge_zero_benefit else touched_sizes(assigned, cross)
-    sizes = {r["block_key"]: r["n"] for r in every.collect()}
-    kw = {"merge_zero_benefit": merge_zero_benefit, "target_blocks": target_blocks}
-    groups = best_greedy(sizes, got, cap, **kw) if safeguard else greedy(sizes, got, cap, **kw)
-    return to_map(spark, groups)
+        merged = matching_rollup(assigned, cross, cap)
+    else:
+        if cross.count() > DRIVER_EDGES:
+            raise ValueError('too many split pairs for the driver: use strategy="matching"')
+        got = {(r["a"], r["b"]): r["benefit"] for r in cross.collect()}
+        sizes = {r["block_key"]: r["n"] for r in touched_sizes(assigned, cross).collect()}
+        merged = to_map(spark, best_greedy(sizes, got, cap) if safeguard else greedy(sizes, got, cap))
+    if not merge_zero_benefit:
+        return merged
+    every = assigned.groupBy("block_key").agg(F.count("*").alias("n"))
+    label = cut(every.join(merged, "block_key", "left").select("block_key", "n", F.coalesce("merged_key", "block_key").alias("merged_key")), "label")
+    packed = merge_small(label.groupBy(F.col("merged_key").alias("block_key")).agg(F.sum("n").alias("n")), cap, target_blocks).withColumnsRenamed({"block_key": "merged_key", "merged_key": "packed_key"})
+    label = label.join(packed, "merged_key", "left").select("block_key", F.coalesce("packed_key", "merged_key").alias("merged_key"))
+    shared = label.groupBy("merged_key").agg(F.count("*").alias("old")).where("old > 1").select("merged_key")
+    return label.join(shared, "merged_key", "left_semi").select("block_key", "merged_key")
+
+
+def merged(assigned: DataFrame, plan: DataFrame) -> DataFrame:
+    """(id, block_key) of an assignment after a roll-up (block_key, merged_key)."""
+    return assigned.join(plan, "block_key", "left").select("id", F.coalesce("merged_key", "block_key").alias("block_key"))
 
 
 def matching_rollup(assigned: DataFrame, cross: DataFrame, cap: int, max_rounds: int = 20) -> DataFrame:

@@ -10,7 +10,7 @@ records in every tree, chain or round, for every scorer and fold, and for every
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -18,6 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import hashes
+from ..functions.scratch import cut
 from ..model import BlockingSpec, HashFn
 
 #: Hashed value buckets of the first pass, for each function.
@@ -77,14 +78,59 @@ class Features:
     mix: np.ndarray
     missing: int = 0
 
+    # What learners ask of a node's records; `sig` is the node's rows of signatures.
+
+    def root(self):
+        return np.arange(len(self.count))
+
+    def sizes(self, sig, flat) -> np.ndarray:
+        """Records of the node by value, in the common numbering of all functions' values."""
+        return np.bincount(flat.codes[sig].ravel(), np.repeat(self.count[sig], len(self.library)), flat.n)
+
+    def sizes_of(self, sig, h: int) -> np.ndarray:
+        return np.bincount(self.codes[sig, h], self.count[sig], len(self.values[h]) + 1)
+
+    def total(self, sig) -> float:
+        return self.count[sig].sum()
+
+    def child(self, sig, h: int, code: int):
+        return sig[self.codes[sig, h] == code]
+
     def pick(self, rows: np.ndarray) -> "Features":
         """The same records with a part of the pairs."""
-        return Features(self.library, self.cap, self.n, self.codes, self.count, self.values, self.pair_ids[rows], self.same[rows], self.pair_code[rows], self.pair_values[rows], self.mix[rows], self.missing)
+        return replace(self, pair_ids=self.pair_ids[rows], same=self.same[rows], pair_code=self.pair_code[rows], pair_values=self.pair_values[rows], mix=self.mix[rows])
 
     def restrict(self, keep: list[int]) -> "Features":
         """The same records and pairs with a part of the functions."""
-        return Features([self.library[i] for i in keep], self.cap, self.n, self.codes[:, keep], self.count, [self.values[i] for i in keep], self.pair_ids, self.same[:, keep], self.pair_code[:, keep], self.pair_values[:, keep], self.mix, self.missing)
+        return replace(self, library=[self.library[i] for i in keep], codes=self.codes[:, keep], values=[self.values[i] for i in keep], same=self.same[:, keep], pair_code=self.pair_code[:, keep], pair_values=self.pair_values[:, keep])
+
+
+@dataclass
+class EstimatedFeatures(Features):
+    """Sizes from a histogram of each function alone, as if functions were independent: a node is known by its estimated records.
+
+    share[h][v] is the part of all records with heavy value v of function h, at 0 the part of all light ones.
+    """
+
+    share: list[np.ndarray] = field(default_factory=list)
 
+    def root(self):
+        return self.n
+
+    def sizes(self, sig, flat) -> np.ndarray:
+        return sig * np.concatenate(self.share)
+
+    def sizes_of(self, sig, h: int) -> np.ndarray:
+        return sig * self.share[h]
+
+    def total(self, sig) -> float:
+        return sig
+
+    def child(self, sig, h: int, code: int):
+        return sig * self.share[h][code]
+
+    def restrict(self, keep: list[int]) -> "EstimatedFeatures":
+        return replace(super().restrict(keep), share=[self.share[i] for i in keep])
 
 def canonical_pairs(pairs: DataFrame) -> DataFrame:
     """Pairs with l_id < r_id, each once; self-pairs and nulls left out."""
@@ -128,33 +174,62 @@ def signatures(hashed: DataFrame, keep: list[int], heavy: list[list[int]]) -> li
     return sorted(got, key=lambda r: r["sig"])
 
 
-def features(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, library: list[HashFn], cap: int, seed: int = 42, sample: float | None = None, max_heavy: int = 10_000) -> Features:
+def sketched_values(hashed: DataFrame, n: int, cap: int, records: int, tracked: int = 100_000) -> list[tuple[int, str, int]]:
+    """(hash, value, estimated records) of the frequent values of every function over `cap`, from one pass with one sketch a function."""
+    k = int(min(tracked // 2, max(1, records // max(cap, 1))))
+    row = hashed.agg(*[F.expr(f"approx_top_k(h{i}, {k}, {tracked})").alias(f"s{i}") for i in range(n)]).first()
+    return [(i, x["item"], x["count"]) for i in range(n) for x in (row[f"s{i}"] or []) if x["count"] > cap]
+
+
+#: Where the sizes of conjunctions come from: exact counts; a histogram of each function's heavy values; a sketch of them.
+ORACLES = ("exact", "histogram", "sketch")
+
+
+def features(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, library: list[HashFn], cap: int, seed: int = 42, sample: float | None = None, max_heavy: int = 10_000, oracle: str = "exact") -> Features:
     """Features for every cap of at least `cap`. Three scans of the records, one join of the pairs with them.
 
     With `sample`, sizes are estimated from that share of the records (by a hash of the id)
     and scaled up; pairs are always taken whole. Functions with more than `max_heavy` heavy
     values are left out, as they would create that many children of one node.
+    oracle: "exact" counts signatures; "histogram" takes two scans and "sketch" one, and both
+    estimate a conjunction by its functions' own shares, as if they were independent.
     """
+    if oracle not in ORACLES:
+        raise ValueError(f"unknown size oracle {oracle}")
     base, scale = df, 1.0
     if sample:
         base = df.where(mixer(F.col(spec.id_col), seed + 1) < int(sample * 2**32))
         scale = 1 / sample
     small_cap = max(1, int(cap / scale))
     hashed = project(base, spec, library)
-    found = heavy_values(hashed, len(library), small_cap)
-    # bounded: no more than max_heavy + 1 rows of a function come to the driver
-    per = {r["hash"]: r["n"] for r in found.groupBy("hash").agg(F.count("*").alias("n")).collect()}
+    if oracle == "sketch":
+        records = base.count()
+        rows = sketched_values(hashed, len(library), small_cap, records)
+        per = {i: sum(r[0] == i for r in rows) for i in {r[0] for r in rows}}
+    else:
+        # written once: its size is looked at before its rows are taken
+        found = cut(heavy_values(hashed, len(library), small_cap), "heavy")
+        # bounded: no more than max_heavy + 1 rows of a function come to the driver
+        per = {r["hash"]: r["n"] for r in found.groupBy("hash").agg(F.count("*").alias("n")).collect()}
     keep = [i for i in range(len(library)) if per.get(i, 0) <= max_heavy]
     if not keep:
         raise ValueError("every function creates too many heavy blocks for this cap")
-    rows = found.where(F.col("hash").isin(keep)).select("hash", "value", F.xxhash64("value").alias("x")).collect() if per else []
-    heavy = [sorted((r["value"], r["x"]) for r in rows if r["hash"] == i) for i in keep]
-    values = [[v for v, _ in vs] for vs in heavy]
+    if oracle != "sketch":
+        rows = [(r["hash"], r["value"], r["n"], r["x"]) for r in found.where(F.col("hash").isin(keep)).select("hash", "value", "n", F.xxhash64("value").alias("x")).collect()] if per else []
+    heavy = [sorted(r[1:] for r in rows if r[0] == i) for i in keep]
+    values = [[v[0] for v in vs] for vs in heavy]
     lib = [library[i] for i in keep]
-    table = signatures(hashed, keep, [[x for _, x in vs] for vs in heavy])
-    codes = np.array([np.frombuffer(r["sig"], np.int32) for r in table], np.int32).reshape(len(table), len(keep))
-    count = np.array([r["n"] for r in table], float) * scale
-    n_pairs = canonical_pairs(pairs)
+    share = None
+    if oracle == "exact":
+        table = signatures(hashed, keep, [[v[2] for v in vs] for vs in heavy])
+        codes = np.array([np.frombuffer(r["sig"], np.int32) for r in table], np.int32).reshape(len(table), len(keep))
+        count = np.array([r["n"] for r in table], float) * scale
+    else:
+        records = records if oracle == "sketch" else base.count()
+        codes, count = np.zeros((1, len(keep)), np.int32), np.array([records * scale], float)
+        own = [np.array([v[1] for v in vs], float) / max(records, 1) for vs in heavy]
+        share = [np.concatenate([[max(0.0, 1 - x.sum())], x]) for x in own]
+    n_pairs = cut(canonical_pairs(pairs), "pairs")
     got = pair_table(df, spec, n_pairs, lib, seed).collect()
     total = n_pairs.count()
     lv = np.array([r["lv"] for r in got], object).reshape(len(got), len(lib))
@@ -168,17 +243,10 @@ def features(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, library: list[
     order = np.lexsort((np.array([r["r_id"] for r in got]), np.array([r["l_id"] for r in got]))) if got else np.zeros(0, int)
     ids = np.array([(r["l_id"], r["r_id"]) for r in got], np.int64).reshape(len(got), 2)
     mix = np.array([(r["lm"], r["rm"]) for r in got], np.int64).reshape(len(got), 2)
-    return Features(lib, cap, float(count.sum()), codes, count, values, ids[order], same[order], code[order], lv[order], mix[order], total - len(got))
+    f = Features(lib, cap, float(count.sum()), codes, count, values, ids[order], same[order], code[order], lv[order], mix[order], total - len(got))
+    return f if share is None else EstimatedFeatures(**vars(f), share=share)
 
 
 def block_sizes(assigned: DataFrame) -> DataFrame:
     """(block_key, n) of an assignment."""
     return assigned.groupBy("block_key").agg(F.count("*").alias("n"))
-
-
-def sketched_sizes(df: DataFrame, spec: BlockingSpec, h: HashFn, eps: float = 1e-4, confidence: float = 0.99, seed: int = 1):
-    """A count-min sketch of a function's values: estimate(value) never under-counts. A few kilobytes, whatever the records."""
-    raw = df.select(hashes.column(h, spec).alias("v")).agg(F.count_min_sketch("v", F.lit(eps), F.lit(confidence), F.lit(seed)).alias("s")).first()["s"]
-    jvm = df.sparkSession.sparkContext._jvm
-    sketch = jvm.org.apache.spark.util.sketch.CountMinSketch.readFrom(bytearray(raw))
-    return lambda value: sketch.estimateCount(value)

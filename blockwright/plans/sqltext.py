@@ -38,6 +38,11 @@ def assign_sql(tree: BlockTree, spec: BlockingSpec, source: str) -> str:
     return f"SELECT {spec.id_col} AS id, {tree_sql(tree, spec)} AS block_key FROM {source}"
 
 
+def split_sql(assigned: str, cap: int, seed: int = 42) -> str:
+    """DuckDB text of `split_oversize` over a SELECT of (id, block_key)."""
+    return f"SELECT id, CASE WHEN n > {cap} THEN block_key || '/' || CAST({mixer_sql('id', seed)} % CAST(ceil(n / {cap}.0) AS BIGINT) AS VARCHAR) ELSE block_key END AS block_key FROM (SELECT *, count(*) OVER (PARTITION BY block_key) AS n FROM ({assigned}))"
+
+
 def register_udtf(spark: SparkSession, name: str = "split_rounds") -> None:
     """A table function (keys array<string>) -> (round, block_key), for LATERAL joins in SQL over `round_keys`."""
     from pyspark.sql.functions import udtf

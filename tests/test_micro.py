@@ -40,8 +40,40 @@ def test_rollup_random_against_exact():
         assert sorted(k for g in groups for k in g) == sorted(sizes)
         assert all(sum(sizes[k] for k in g) <= 10 for g in groups)
         assert rollup.recovered(groups, cross) <= rollup.recovered(rollup.exact_rollup(sizes, cross, 10), cross)
-        packed = rollup.greedy(sizes, cross, 10, merge_zero_benefit=True)
-        assert len(packed) <= len(groups) + 1 and all(sum(sizes[k] for k in g) <= 10 for g in packed)
+        packed = rollup.first_fit(list(sizes.items()), 10)
+        assert sorted(k for g in packed for k in g) == sorted(sizes) and all(sum(sizes[k] for k in g) <= 10 for g in packed)
+        # first fit by falling size, the plain way
+        bins: list = []
+        for k, n in sorted(sizes.items(), key=lambda x: (-x[1], x[0])):
+            fit = next((b for b in bins if sum(sizes[x] for x in b) + n <= 10), None)
+            bins.append([k]) if fit is None else fit.append(k)
+        assert packed == bins
+        assert len(rollup.first_fit(list(sizes.items()), 10, target=len(sizes))) == len(sizes) and len(rollup.first_fit(list(sizes.items()), 10**6, target=2)) == 2
+
+
+def _naive_greedy(sizes, cross, cap):
+    """Recount every benefit before every merge."""
+    groups = {k: {k} for k in sizes}
+    while True:
+        size = {g: sum(sizes[k] for k in ks) for g, ks in groups.items()}
+        of = {k: g for g, ks in groups.items() for k in ks}
+        gain: dict = {}
+        for (a, b), n in cross.items():
+            x, y = sorted((of[a], of[b]))
+            if x != y and size[x] + size[y] <= cap:
+                gain[(x, y)] = gain.get((x, y), 0) + n
+        if not gain:
+            return {frozenset(g) for g in groups.values()}
+        x, y = min(gain, key=lambda p: (-gain[p] / min(size[p[0]], size[p[1]]), p))
+        groups[x] |= groups.pop(y)
+
+
+def test_lazy_greedy_is_the_plain_greedy():
+    rnd = random.Random(6)
+    for _ in range(200):
+        sizes = {f"b{i:02}": rnd.randint(1, 6) for i in range(12)}
+        cross = {(a, b): rnd.randint(1, 5) for a in sizes for b in sizes if a < b and rnd.random() < 0.3}
+        assert {frozenset(g) for g in rollup.greedy(sizes, cross, 14)} == _naive_greedy(sizes, cross, 14)
 
 
 def test_drilldown_by_hand():
