@@ -6,7 +6,7 @@ becomes 'n', so that null is an ordinary value that keeps its records together.
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..model import Attribute, BlockingSpec, HashFn, Interval
@@ -107,6 +107,17 @@ def _tokens(c: Column) -> Column:
     return F.filter(F.split(c, r"\s+"), lambda t: t != "")
 
 
+def _by_count(s: Column) -> Column:
+    """The characters of a text as structs (n, c), the most frequent first: sorted characters stand in runs, which one search cuts."""
+    runs = F.regexp_extract_all(F.array_join(F.sort_array(F.split(s, "")), ""), F.lit(r"(?s)(.)\1*+"), F.lit(0))
+    return F.array_sort(F.transform(runs, lambda r: F.struct((-F.length(r)).alias("n"), F.left(r, F.lit(1)).alias("c"))))
+
+
+def _first_token(c: Column) -> Column:
+    """The search ends with the first token, however long the text is."""
+    return F.nullif(F.regexp_extract(c, r"(\S+)", 1), F.lit(""))
+
+
 def _raw(h: HashFn, a: Attribute) -> Column:
     c = F.expr(a.expr)
     s = c.cast("string")
@@ -119,19 +130,16 @@ def _raw(h: HashFn, a: Attribute) -> Column:
         case "suffix":
             return F.right(s, F.lit(p[0]))
         case "top_chars":
-            chars = F.filter(F.split(s, ""), lambda x: x != "")
-            count = F.transform(F.array_distinct(chars), lambda x: F.struct((-(F.length(s) - F.length(F.replace(s, x, F.lit(""))))).alias("n"), x.alias("c")))
-            return F.array_join(F.array_sort(F.transform(F.slice(F.array_sort(count), 1, p[0]), lambda x: x["c"])), "")
+            return F.array_join(F.array_sort(F.transform(F.slice(_by_count(s), 1, p[0]), lambda x: x["c"])), "")
         case "longest_token":
             best = F.array_min(F.transform(_tokens(s), lambda t: F.struct((-F.length(t)).alias("n"), t.alias("t"))))
             return best["t"]
         case "bucket_int":
             return (c - F.pmod(c, F.lit(p[0]))).cast("bigint").cast("string")
         case "first_token":
-            return F.get(_tokens(s), F.lit(0))
+            return _first_token(s)
         case "last_token":
-            t = _tokens(s)
-            return F.when(F.size(t) > 0, F.element_at(t, -1))
+            return F.reverse(_first_token(F.reverse(s)))
         case "token":
             return F.get(_tokens(s), F.lit(p[0] - 1))
         case "digit_prefix":
@@ -183,6 +191,26 @@ def interval_number(c: Column, cuts: tuple[Interval, ...]) -> Column:
     return F.when(c.isNotNull(), search(0, len(cuts) - 1))
 
 
+def shared(library: list[HashFn], spec: BlockingSpec) -> dict[str, Column]:
+    """Helper columns that several functions of a library need, by name: the characters by count of an attribute."""
+    several = [a for a in spec.attributes if sum(h.family == "top_chars" and h.attribute == a.name for h in library) > 1]
+    return {f"__chars_{a.name}": F.slice(_by_count(F.expr(a.expr).cast("string")), 1, max(h.params[0] for h in library if h.family == "top_chars" and h.attribute == a.name)) for a in several}
+
+
+def columns(df: DataFrame, library: list[HashFn], spec: BlockingSpec, *keep: Column) -> DataFrame:
+    """`keep` and the tagged values h0, h1, ... of a library; what functions share is computed once a record."""
+    helpers = shared(library, spec)
+    out = []
+    for i, h in enumerate(library):
+        name = f"__chars_{h.attribute}"
+        if h.family == "top_chars" and name in helpers:
+            value = F.array_join(F.array_sort(F.transform(F.slice(name, 1, h.params[0]), lambda x: x["c"])), "")
+            out.append(F.coalesce(F.concat(F.lit("v"), value), F.lit("n")).alias(f"h{i}"))
+        else:
+            out.append(column(h, spec).alias(f"h{i}"))
+    return df.withColumns(helpers).select(*keep, *out)
+
+
 def column(h: HashFn, spec: BlockingSpec) -> Column:
     """The tagged value of a hash function as an expression; a string that is never null."""
     return F.coalesce(F.concat(F.lit("v"), _raw(h, spec.attribute(h.attribute))), F.lit("n"))

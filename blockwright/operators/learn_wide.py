@@ -71,7 +71,8 @@ def learn_block_tree_wide(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, l
             break
         routed, _ = _route(df, tree, spec, "__route_")
         # a filter stops at a column that an explode made, and is not pushed below the routing with all of it written out
-        inside = routed.select("*", F.explode_outer(F.array("__route_node")).alias("__at")).where(F.col("__at") >= first).select(F.col("__at").alias("node"), *[hashes.column(h, spec).alias(f"h{i}") for i, h in enumerate(library)])
+        inside = routed.select("*", F.explode_outer(F.array("__route_node")).alias("__at")).where(F.col("__at") >= first)
+        inside = hashes.columns(inside, library, spec, F.col("__at").alias("node"))
         long = inside.select("node", F.posexplode_outer(F.array(*[F.xxhash64(f"h{i}") for i in range(len(library))])).alias("hash", "x"))
         sizes = long.join(heavy.select("hash", "x"), ["hash", "x"], "left_semi").groupBy("node", "hash", "x").agg(F.count("*").alias("n")).where(F.col("n") > cap)
         sizes = cut(sizes, "sizes")

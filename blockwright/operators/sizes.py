@@ -38,7 +38,7 @@ def mixer_sql(id_col: str, seed: int) -> str:
 
 def project(df: DataFrame, spec: BlockingSpec, library: list[HashFn]) -> DataFrame:
     """id and one column h0, h1, ... for each function."""
-    return df.select(F.col(spec.id_col).alias("id"), *[hashes.column(h, spec).alias(f"h{i}") for i, h in enumerate(library)])
+    return hashes.columns(df, library, spec, F.col(spec.id_col).alias("id"))
 
 
 def _long(hashed: DataFrame, n: int) -> DataFrame:

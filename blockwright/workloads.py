@@ -19,7 +19,7 @@ DOC_SPEC = BlockingSpec(
     "doc_id",
     (
         Attribute("lang", "code", "lang"),
-        Attribute("line1", "text", "split_part(text, '\\n', 1)", "split_part(text, chr(10), 1)"),
+        Attribute("line1", "text", "substring_index(text, '\\n', 1)", "split_part(text, chr(10), 1)"),
         Attribute("n_chars", "int", "n_chars"),
         Attribute("source", "code", "source"),
         Attribute("text", "token_text", "text"),
@@ -64,12 +64,13 @@ def doc_pairs(docs: DataFrame, threshold: float = 0.5, k: int = 5) -> DataFrame:
 
 DOC_PAIRS_SQL = r"""
 WITH w AS (SELECT doc_id, text, string_split(lower(trim(regexp_replace(text, '\s+', ' ', 'g'))), ' ') AS w FROM documents),
-s AS (SELECT doc_id, text, CASE WHEN len(w) < 5 THEN [array_to_string(w, ' ')] ELSE list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(list_slice(w, i, i + 4), ' '))) END AS s FROM w),
-i AS (SELECT doc_id, unnest(s) AS x FROM s),
-f AS (SELECT x FROM i GROUP BY x HAVING count(*) BETWEEN 2 AND 100),
-c AS (SELECT DISTINCT a.doc_id AS l_id, b.doc_id AS r_id FROM i a JOIN f USING (x) JOIN i b USING (x) WHERE a.doc_id < b.doc_id),
-j AS (SELECT l_id, r_id, len(list_intersect(l.s, r.s)) AS both_, len(l.s) AS nl, len(r.s) AS nr, l.text = r.text AS exact FROM c JOIN s l ON l.doc_id = l_id JOIN s r ON r.doc_id = r_id)
-SELECT l_id, r_id, round(both_ / (nl + nr - both_), 6) AS jaccard, exact FROM j WHERE round(both_ / (nl + nr - both_), 6) >= 0.5
+t AS (SELECT doc_id, unnest(w) AS t, generate_subscripts(w, 1) AS p FROM w),
+g AS (SELECT doc_id, t || ' ' || lead(t, 1) OVER d || ' ' || lead(t, 2) OVER d || ' ' || lead(t, 3) OVER d || ' ' || lead(t, 4) OVER d AS x FROM t WINDOW d AS (PARTITION BY doc_id ORDER BY p)),
+i AS (SELECT DISTINCT doc_id, x FROM g WHERE x IS NOT NULL UNION ALL SELECT doc_id, array_to_string(w, ' ') FROM w WHERE len(w) < 5),
+n AS (SELECT doc_id, count(*) AS n FROM i GROUP BY 1),
+c AS (SELECT a.doc_id AS l_id, b.doc_id AS r_id, count(*) AS both_ FROM i a JOIN i b USING (x) WHERE a.doc_id < b.doc_id GROUP BY 1, 2),
+j AS (SELECT l_id, r_id, round(both_ / (nl.n + nr.n - both_), 6) AS jaccard, l.text = r.text AS exact FROM c JOIN w l ON l.doc_id = l_id JOIN w r ON r.doc_id = r_id JOIN n nl ON nl.doc_id = l_id JOIN n nr ON nr.doc_id = r_id)
+SELECT l_id, r_id, jaccard, exact FROM j WHERE jaccard >= 0.5
 """
 
 # P: part feeds ------------------------------------------------------------------
@@ -127,11 +128,6 @@ def customer_feeds(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.sql(sql, **{t: table(spark, sf_dir, t) for t in ("customer", "nation", "region")})
 
 
-def labelled_entities(feeds: DataFrame, share: int = 10) -> DataFrame:
-    """The records of a fixed part of the entities, those whose md5 number is 0 modulo `share`."""
-    return feeds.where(F.conv(F.substring(F.md5(F.col("ent").cast("string")), 1, 8), 16, 10).cast("bigint") % share == 0)
-
-
 # O: orders, W: pages, B: benchmark ------------------------------------------------
 
 ORDER_SPEC = BlockingSpec("o_orderkey", (Attribute("day", "date", "CAST(o_orderdate AS DATE)"), Attribute("customer", "int", "o_custkey")))
@@ -186,8 +182,12 @@ def benchmark_links(benchmark: DataFrame, docs: DataFrame, n: int = 8) -> DataFr
 
 
 BENCHMARK_LINKS_SQL = r"""
-WITH p AS (SELECT item_id, array_to_string(list_slice(string_split_regex(text, '\s+'), 6, 13), ' ') AS run FROM benchmark WHERE len(string_split_regex(text, '\s+')) >= 13)
-SELECT DISTINCT item_id, doc_id FROM p JOIN documents d ON contains(' ' || regexp_replace(d.text, '\s+', ' ', 'g') || ' ', ' ' || run || ' ')
+WITH i AS (SELECT item_id, string_split_regex(trim(regexp_replace(text, '\s+', ' ', 'g')), ' ') AS w FROM benchmark),
+p AS (SELECT DISTINCT item_id, unnest(CASE WHEN len(w) < 8 THEN [array_to_string(w, ' ')] ELSE list_transform(range(1, len(w) - 6), lambda k: array_to_string(list_slice(w, k, k + 7), ' ')) END) AS run FROM i WHERE w[1] <> ''),
+d AS (SELECT doc_id, string_split_regex(trim(regexp_replace(text, '\s+', ' ', 'g')), ' ') AS w FROM documents),
+n AS (SELECT DISTINCT least(len(w), 8) AS n FROM i WHERE w[1] <> ''),
+r AS (SELECT doc_id, unnest(list_transform(range(1, len(w) - n + 2), lambda k: array_to_string(list_slice(w, k, k + n - 1), ' '))) AS run FROM d JOIN n ON len(w) >= n)
+SELECT DISTINCT item_id, doc_id FROM r JOIN p USING (run)
 """
 
 
