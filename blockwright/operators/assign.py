@@ -135,15 +135,21 @@ def round_keys(df: DataFrame, plan: RoundPlan, spec: BlockingSpec) -> DataFrame:
 
 
 def split_oversize(assigned: DataFrame, cap: int, seed: int = 42) -> DataFrame:
-    """(id, block_key) with every block of n > cap records split at random into ceil(n / cap) parts, by real sizes.
+    """An assignment (id, block_key) or (id, round, block_key) with every block of n > cap records split at random into ceil(n / cap) parts, by real sizes.
 
     Sizes are one aggregate; only blocks over the cap, no more than records / cap, are joined
-    back. Works on any disjoint assignment, so a tree learnt on other data keeps its cap.
+    back. Works on any blocking, so a tree learnt on other data keeps its cap.
     """
-    assigned = cut(assigned.select("id", "block_key"), "assigned")
-    big = assigned.groupBy("block_key").agg(F.count("*").alias("n")).where(F.col("n") > cap).select("block_key", F.ceil(F.col("n") / cap).cast("bigint").alias("parts"))
+    assigned = cut(assigned, "assigned")
+    by = [c for c in assigned.columns if c != "id"]
+    big = assigned.groupBy(by).agg(F.count("*").alias("n")).where(F.col("n") > cap).select(*by, F.ceil(F.col("n") / cap).cast("bigint").alias("parts"))
     key = F.when(F.col("parts").isNull(), F.col("block_key")).otherwise(F.concat("block_key", F.lit("/"), (mixer(F.col("id"), seed) % F.col("parts")).cast("string")))
-    return assigned.join(big, "block_key", "left").select("id", key.alias("block_key"))
+    return assigned.join(big, by, "left").select(*[key.alias(c) if c == "block_key" else F.col(c) for c in assigned.columns])
+
+
+def keys_by_round(assigned: DataFrame) -> DataFrame:
+    """(id, keys) of (id, round, block_key): a record's keys in order of rounds."""
+    return assigned.groupBy("id").agg(F.array_sort(F.collect_list(F.struct("round", "block_key"))).alias("k")).select("id", F.col("k.block_key").alias("keys"))
 
 
 def random_blocks(df: DataFrame, id_col: str, n: int, cap: int, seed: int = 42, strict: bool = False) -> DataFrame:

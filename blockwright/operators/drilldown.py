@@ -362,11 +362,12 @@ def is_dcc(partition: list[Interval]) -> bool:
 
 
 def equi_width(lo, hi, width) -> list[Interval]:
-    """Intervals of one width between the multiples of it."""
-    cuts, x = [], (lo // width + 1) * width
+    """Intervals of one width, counted from `lo`: numbers, or dates with a width in days."""
+    step = dt.timedelta(days=width) if isinstance(lo, (dt.date, dt.datetime)) else width
+    cuts, x = [], lo + step
     while x <= hi:
         cuts.append(x)
-        x += width
+        x += step
     return tile([(None, 0)] + [(c, 0) for c in cuts], float("inf"))
 
 
@@ -396,6 +397,23 @@ def overlapping(pairs: list[tuple], cost, cap) -> list[tuple]:
     return sorted({(min(p), max(p)) for p in pairs if None not in p and cost(min(p), max(p)) <= cap})
 
 
+def overlapping_by_count(df: DataFrame, key: Column, pairs: list[tuple], cap: int) -> list[tuple]:
+    """(low, high, records) of the pairs' own intervals that hold at most `cap` records: prefix sums over ends and gaps, one pass."""
+    pairs = [p for p in pairs if None not in p]
+    ends = order_values([x for p in pairs for x in p])
+    if not ends:
+        return []
+    at_end, gaps, _ = slot_counts(df, key, ends)
+    # records below each end, and up to and with it
+    up = np.cumsum([n for g, e in zip(gaps, at_end) for n in (g, e)])
+    place = {e: i for i, e in enumerate(ends)}
+
+    def count(a, b):
+        return int(up[2 * place[b] + 1] - up[2 * place[a]])
+
+    return [(a, b, count(a, b)) for a, b in overlapping(pairs, count, cap)]
+
+
 def pair_values(df: DataFrame, id_col: str, key: Column, pairs: DataFrame) -> list[tuple]:
     """Values of both records of each labelled pair."""
     p = canonical_pairs(pairs)

@@ -198,7 +198,7 @@ def rollup(assigned: DataFrame, pairs: DataFrame, cap: int, strategy: str = "den
         return merged
     every = assigned.groupBy("block_key").agg(F.count("*").alias("n"))
     label = cut(every.join(merged, "block_key", "left").select("block_key", "n", F.coalesce("merged_key", "block_key").alias("merged_key")), "label")
-    packed = merge_small(label.groupBy(F.col("merged_key").alias("block_key")).agg(F.sum("n").alias("n")), cap, target_blocks).withColumnsRenamed({"block_key": "merged_key", "merged_key": "packed_key"})
+    packed = merge_small(label.groupBy(F.col("merged_key").alias("block_key")).agg(F.sum("n").alias("n")), cap, target_blocks).select(F.col("block_key").alias("merged_key"), F.col("merged_key").alias("packed_key"))
     label = label.join(packed, "merged_key", "left").select("block_key", F.coalesce("packed_key", "merged_key").alias("merged_key"))
     shared = label.groupBy("merged_key").agg(F.count("*").alias("old")).where("old > 1").select("merged_key")
     return label.join(shared, "merged_key", "left_semi").select("block_key", "merged_key")
@@ -209,6 +209,36 @@ def merged(assigned: DataFrame, plan: DataFrame) -> DataFrame:
     return assigned.join(plan, "block_key", "left").select("id", F.coalesce("merged_key", "block_key").alias("block_key"))
 
 
+def rolled_rounds(df: DataFrame, spec, features, config, pairs: DataFrame, roll: bool = True, learner: str = "block_tree") -> tuple[list[int], list[tuple]]:
+    """(pairs covered after each round, (tree, roll-up plan) of each round): rounds of disjoint blocking with a roll-up inside each.
+
+    What a round's merged blocks win back is covered too, so the next round learns on the pairs
+    that are still open. Ends like `learn_rounds`.
+    """
+    import numpy as np
+
+    from . import learn
+    from .assign import assign_blocks
+    from .cost import together
+
+    open_, out, plans, seen = np.arange(len(features.same)), [], [], 0
+    at = {tuple(map(int, x)): i for i, x in enumerate(features.pair_ids)}
+    spark = df.sparkSession
+    while len(open_) and len(plans) < config.max_rounds:
+        tree = learn.LEARNERS[learner](features.pick(open_), config)
+        left = spark.createDataFrame([tuple(map(int, features.pair_ids[i])) for i in open_], "l_id bigint, r_id bigint")
+        blocks = cut(assign_blocks(df, tree, spec), "blocks")
+        plan = cut(rollup(blocks, left, config.max_block_size), "plan") if roll else None
+        kept = together(merged(blocks, plan) if roll else blocks, left).where("kept").select("l_id", "r_id").collect()
+        if not kept:
+            break
+        plans.append((tree, plan))
+        seen += len(kept)
+        out.append(seen)
+        open_ = np.setdiff1d(open_, [at[(r["l_id"], r["r_id"])] for r in kept])
+    return out, plans
+
+
 def matching_rollup(assigned: DataFrame, cross: DataFrame, cap: int, max_rounds: int = 20) -> DataFrame:
     """Roll-up by rounds of mutually best merges: every group names its best partner, pairs that name each other merge.
 

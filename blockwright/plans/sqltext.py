@@ -39,8 +39,10 @@ def assign_sql(tree: BlockTree, spec: BlockingSpec, source: str) -> str:
 
 
 def split_sql(assigned: str, cap: int, seed: int = 42) -> str:
-    """DuckDB text of `split_oversize` over a SELECT of (id, block_key)."""
-    return f"SELECT id, CASE WHEN n > {cap} THEN block_key || '/' || CAST({mixer_sql('id', seed)} % CAST(ceil(n / {cap}.0) AS BIGINT) AS VARCHAR) ELSE block_key END AS block_key FROM (SELECT *, count(*) OVER (PARTITION BY block_key) AS n FROM ({assigned}))"
+    """DuckDB text of `split_oversize` over a SELECT of (id, block_key), or of (id, round, block_key) with its sizes by both."""
+    by = "round, block_key" if "AS round" in assigned else "block_key"
+    rest = ", round" if "AS round" in assigned else ""
+    return f"SELECT id{rest}, CASE WHEN n > {cap} THEN block_key || '/' || CAST({mixer_sql('id', seed)} % CAST(ceil(n / {cap}.0) AS BIGINT) AS VARCHAR) ELSE block_key END AS block_key FROM (SELECT *, count(*) OVER (PARTITION BY {by}) AS n FROM ({assigned}))"
 
 
 def register_udtf(spark: SparkSession, name: str = "split_rounds") -> None:

@@ -12,9 +12,10 @@ from pyspark.sql import functions as F
 from . import workloads as w
 from .functions import hashes as h
 from .functions.hashes import default_library, duck_sql
-from .model import BlockingConfig, BlockTree, Node, RoundPlan
+from .functions.scratch import cut
+from .model import BlockingConfig, BlockTree, Interval, Node, RoundPlan
 from .operators import assign, cost, dedup, drilldown, evaluate, learn, rollup, score, sizes
-from .plans.sqltext import assign_sql, tree_sql
+from .plans.sqltext import assign_sql, split_sql, tree_sql
 from .streaming import blocks as events_
 
 QUERIES: dict = {}
@@ -40,8 +41,12 @@ def frozen(name: str) -> BlockTree:
     return BlockTree.from_json(_frozen()[name])
 
 
+#: Caps of the frozen trees; random splits of oversized blocks are made by real sizes.
+CAP, SMALL_CAP = 50, 10
+
+
 def frozen_rounds() -> RoundPlan:
-    return RoundPlan.from_json(_frozen()["rounds"])
+    return RoundPlan([assign.without_parts(t) for t in RoundPlan.from_json(_frozen()["rounds"]).rounds])
 
 
 def docs_of(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -52,10 +57,9 @@ D, P, C = w.DOC_SPEC, w.PART_SPEC, w.CUSTOMER_SPEC
 PARTS = f"SELECT * FROM ({w.PART_FEEDS_SQL})"
 PART_PAIRS = f"SELECT a.rec_id AS l_id, b.rec_id AS r_id FROM ({w.PART_FEEDS_SQL}) a JOIN ({w.PART_FEEDS_SQL}) b ON a.ent = b.ent AND a.rec_id < b.rec_id"
 DOC_PAIRS = f"SELECT l_id, r_id FROM ({w.DOC_PAIRS_SQL})"
-#: Without the longest token, which alone keeps nearly all pairs of this data in small blocks.
-#: The most frequent characters of a whole text say little and cost most, so they are left to the shorter attributes.
-D_LIBRARY = [x for x in default_library(D, without=("longest_token",)) if (x.attribute, x.family) != ("text", "top_chars")]
-D_FAST = default_library(D, without=("longest_token", "top_chars"))
+#: All functions, and all but the longest token, which alone keeps nearly all pairs of this data in small blocks.
+D_LIBRARY = default_library(D)
+D_CUT = default_library(D, without=("longest_token",))
 P_LIBRARY = default_library(P)
 C_LIBRARY = default_library(C)
 
@@ -64,6 +68,11 @@ def _column_name(f) -> str:
     return f"{f.attribute}_{f.family}" if f.family == "no_stopwords" else f.name.replace(".", "_")
 
 
+#: Partitions of part sizes, and of names ordered by a token.
+INTERVALS = [Interval(None, 7, False), Interval(7, 20, True, True), Interval(20, 35, False), Interval(35, None, True)]
+NAME_INTERVALS = [Interval(None, "c", False), Interval("c", "mid", True), Interval("mid", "s", True, True), Interval("s", None, False)]
+
+
 def _hash_query(spec, library, source, sql_source):
     def run(spark, sf_dir):
         return source(spark, sf_dir).select(F.col(spec.id_col).alias("id"), *[h.column(x, spec).alias(_column_name(x)) for x in library])
@@ -75,6 +84,8 @@ def _hash_query(spec, library, source, sql_source):
 for _name, _args in {
     "hash_library_documents": (D, [x for x in default_library(D) if x.family in ("identity", "prefix", "suffix") and x.attribute != "text"] + [h.prefix("text", 5), h.suffix("text", 5)], docs_of, "FROM documents"),
     "hash_top_chars": (P, [h.top_chars(a, k) for a in ("name", "brand") for k in (1, 3, 5)], w.part_feeds, w.PART_FEEDS_SQL),
+    "hash_top_chars_documents": (D, [h.top_chars(a, k) for a in ("line1", "text") for k in (1, 3, 5)], docs_of, "FROM documents"),
+    "hash_intervals": (P, [h.interval_hash("size", INTERVALS), h.interval_hash("name", NAME_INTERVALS, "last_token"), h.interval_hash("name", NAME_INTERVALS, "first_token")], w.part_feeds, w.PART_FEEDS_SQL),
     "hash_longest_token": (D, [h.longest_token("text"), h.longest_token("line1")], docs_of, "FROM documents"),
     "hash_name_tokens": (C, [h.first_token("name"), h.last_token("name"), h.token("name", 2), h.no_stopwords("name"), h.normalised("name"), h.digit_prefix("name", 8)], w.customer_feeds, w.CUSTOMER_FEEDS_SQL),
     "hash_bucket_int": (C, [h.bucket_int("zip", k) for k in (2, 5, 10, 100, 1000)], w.customer_feeds, w.CUSTOMER_FEEDS_SQL),
@@ -100,10 +111,10 @@ def block_sizes_prefix(spark, sf_dir):
     return docs_of(spark, sf_dir).select(h.column(h.prefix("text", 3), D).alias("block_key")).groupBy("block_key").agg(F.count("*").alias("n"))
 
 
-@query(score.profile_sql(D, D_FAST, "FROM documents", DOC_PAIRS))
+@query(score.profile_sql(D, D_LIBRARY, "FROM documents", DOC_PAIRS))
 def single_hash_profile(spark, sf_dir):
     d = docs_of(spark, sf_dir)
-    return score.profile(d, D, w.doc_pairs(d), D_FAST)
+    return score.profile(d, D, w.doc_pairs(d), D_LIBRARY)
 
 
 @query(score.profile_sql(P, P_LIBRARY, PARTS, PART_PAIRS))
@@ -169,12 +180,9 @@ def labelled_pairs_parts(spark, sf_dir):
     return w.ent_pairs(w.part_feeds(spark, sf_dir))
 
 
-_LABELLED = "CAST(('0x' || substr(md5(CAST(ent AS VARCHAR)), 1, 8)) AS BIGINT) % 10 = 0"
-
-
-@query(f"WITH f AS (SELECT * FROM ({w.CUSTOMER_FEEDS_SQL}) WHERE {_LABELLED}) SELECT a.rec_id AS l_id, b.rec_id AS r_id FROM f a JOIN f b ON a.ent = b.ent AND a.rec_id < b.rec_id")
+@query(f"SELECT a.rec_id AS l_id, b.rec_id AS r_id FROM ({w.CUSTOMER_FEEDS_SQL}) a JOIN ({w.CUSTOMER_FEEDS_SQL}) b ON a.ent = b.ent AND a.rec_id < b.rec_id")
 def labelled_pairs_customers(spark, sf_dir):
-    return w.ent_pairs(w.labelled_entities(w.customer_feeds(spark, sf_dir)))
+    return w.ent_pairs(w.customer_feeds(spark, sf_dir))
 
 
 @query(w.ORDER_PAIRS_SQL)
@@ -211,17 +219,34 @@ def tree_leaf_sizes_parts(spark, sf_dir):
     return sizes.block_sizes(tree_assign_parts(spark, sf_dir))
 
 
-def _assigned(name):
-    def run(spark, sf_dir):
-        return assign.assign_blocks(docs_of(spark, sf_dir), frozen(name), D)
+def _cap(name: str) -> int:
+    return SMALL_CAP if name.endswith("_small") else CAP
+
+
+def assigned(spark, sf_dir, name: str) -> DataFrame:
+    """Documents by a frozen tree, with the blocks that are over its cap on this table split at random."""
+    d = docs_of(spark, sf_dir)
+    return assign.split_oversize(assign.assign_blocks(d, assign.without_parts(frozen(name)), D), _cap(name))
+
+
+def assigned_sql(name: str) -> str:
+    return split_sql(assign_sql(assign.without_parts(frozen(name)), D, "documents"), _cap(name))
 
-    return run, assign_sql(frozen(name), D, "documents")
+
+def _assigned(name):
+    return (lambda spark, sf_dir: assigned(spark, sf_dir, name)), assigned_sql(name)
 
 
 for _k in ("single", "chain", "level_tree", "block_tree"):
     QUERIES[f"{_k}_assign"], ORACLES[f"{_k}_assign"] = _assigned(_k)
     QUERIES[f"{_k}_assign_small_cap"], ORACLES[f"{_k}_assign_small_cap"] = _assigned(f"{_k}_small")
-QUERIES["oversize_split"], ORACLES["oversize_split"] = _assigned("chain_small")
+
+
+@query(f"WITH a AS ({split_sql(assign_sql(BlockTree('single', Node(0, 0, 0, h.identity('lang'))), D, 'documents'), CAP)}) SELECT block_key, count(*) AS n FROM a GROUP BY 1")
+def oversize_split(spark, sf_dir):
+    """Languages are far over the cap; sizes of the random parts they are split into."""
+    a = assign.assign_blocks(docs_of(spark, sf_dir), BlockTree("single", Node(0, 0, 0, h.identity("lang"))), D)
+    return sizes.block_sizes(assign.split_oversize(a, CAP))
 
 
 def _random_sql(cap: int) -> str:
@@ -240,34 +265,51 @@ def random_assign_strict(spark, sf_dir):
     return assign.random_blocks(d, "doc_id", d.count(), 50, strict=True)
 
 
-_ALGORITHMS = {k: assign_sql(frozen(k), D, "documents") for k in ("single", "chain", "level_tree", "block_tree")} | {"random": _random_sql(50)}
+_ALGORITHMS = {k: assigned_sql(k) for k in ("single", "chain", "level_tree", "block_tree")} | {"random": _random_sql(CAP)}
 _RECALL = " UNION ALL ".join(
     f"SELECT '{k}' AS algorithm, count(*) AS n_pairs, CAST(count(*) FILTER (WHERE l.block_key = r.block_key) AS BIGINT) AS kept FROM pr JOIN a_{k} l ON l.id = l_id JOIN a_{k} r ON r.id = r_id" for k in _ALGORITHMS
 )
 
 
-@query(f"WITH pr AS ({DOC_PAIRS}), " + ", ".join(f"a_{k} AS ({s})" for k, s in _ALGORITHMS.items()) + f" SELECT *, round(kept / n_pairs, 6) AS recall FROM ({_RECALL})")
+@query(f"WITH pr AS ({DOC_PAIRS}), " + ", ".join(f"a_{k} AS ({s})" for k, s in _ALGORITHMS.items()) + f" SELECT *, n_pairs - kept AS split, round(kept / n_pairs, 6) AS recall FROM ({_RECALL})")
 def recall_by_algorithm(spark, sf_dir):
+    """Pairs kept and split by each algorithm's blocks, all within the same cap."""
     d = docs_of(spark, sf_dir)
-    pairs = sizes.canonical_pairs(w.doc_pairs(d))
-    n = d.count()
-    keys = d
-    for k in ("single", "chain", "level_tree", "block_tree"):
-        keys = assign.with_block_key(keys, frozen(k), D, f"__{k}")
-    blocks = max(1, -(-n // 50))
-    names = list(_ALGORITHMS)
-    keys = keys.select(F.col("doc_id").alias("id"), F.array(*[F.col(f"__{k}") for k in names[:-1]], (sizes.mixer(F.col("doc_id"), 42) % blocks).cast("string")).alias("k"))
-    l, r = (keys.select(F.col("id").alias(f"{p}_id"), F.col("k").alias(f"{p}k")) for p in "lr")
-    both = pairs.join(l, "l_id").join(r, "r_id").select(F.posexplode_outer(F.zip_with("lk", "rk", lambda a, b: a == b)).alias("i", "same"))
-    t = both.groupBy("i").agg(F.count("*").alias("n_pairs"), F.sum(F.col("same").cast("bigint")).alias("kept"))
-    return t.select(F.element_at(F.array(*[F.lit(x) for x in names]), F.col("i") + 1).alias("algorithm"), "n_pairs", "kept", F.round(F.col("kept") / F.col("n_pairs"), 6).alias("recall"))
-
-
-@query(assign_sql(frozen("cut"), D, "documents"))
+    pairs = cut(sizes.canonical_pairs(w.doc_pairs(d)), "pairs")
+    every = None
+    for k in _ALGORITHMS:
+        a = assign.random_blocks(d, "doc_id", d.count(), CAP) if k == "random" else assigned(spark, sf_dir, k)
+        a = a.select(F.lit(k).alias("algorithm"), "id", "block_key")
+        every = a if every is None else every.unionByName(a)
+    every = cut(every, "assigned")
+    l, r = (every.select("algorithm", F.col("id").alias(f"{p}_id"), F.col("block_key").alias(f"{p}k")) for p in "lr")
+    t = pairs.join(l, "l_id").join(r, ["r_id", "algorithm"]).groupBy("algorithm").agg(F.count("*").alias("n_pairs"), F.sum((F.col("lk") == F.col("rk")).cast("bigint")).alias("kept"))
+    return t.select("algorithm", "n_pairs", "kept", (F.col("n_pairs") - F.col("kept")).alias("split"), F.round(F.col("kept") / F.col("n_pairs"), 6).alias("recall"))
+
+
+def _frontier_sql(name: str, cap: int) -> str:
+    """DuckDB text of a tree cut at its shallowest nodes of at most `cap` records by real sizes: the number of records under each node decides, branch by branch."""
+    tree = assign.without_parts(frozen(name))
+    path = {tree.root.id: [tree.root.id]}
+    for n in tree.root.walk():
+        for c in n.heavy.values():
+            path[c.id] = [*path[n.id], c.id]
+    deepest = "CAST(regexp_extract(block_key, '^([0-9]+)', 1) AS INTEGER)"
+    above = ", ".join(f"({i}, {j}, {k})" for i, p in path.items() for k, j in enumerate(p))
+    return f"""WITH a AS (SELECT id, block_key, {deepest} AS node FROM ({assign_sql(tree, D, "documents")})),
+p AS (SELECT * FROM (VALUES {above}) t(node, above, depth)),
+s AS (SELECT above, count(*) AS n FROM a JOIN p USING (node) GROUP BY above),
+f AS (SELECT node, min(depth) FILTER (WHERE n <= {cap}) AS depth FROM p JOIN s USING (above) GROUP BY node),
+c AS (SELECT f.node, p.above AS stop FROM f JOIN p ON p.node = f.node AND p.depth = f.depth)
+SELECT id, CASE WHEN stop IS NOT NULL THEN stop || '#0' WHEN regexp_matches(block_key, '^[0-9]+#0$') AND n > {cap} THEN node || '#' || CAST({sizes.mixer_sql("id", 42)} % CAST(ceil(n / {cap}.0) AS BIGINT) AS VARCHAR) ELSE block_key END AS block_key
+FROM a LEFT JOIN c USING (node) LEFT JOIN s ON s.above = a.node"""
+
+
+@query(_frontier_sql("fine", 60))
 def adaptive_cut(spark, sf_dir):
     """A tree learnt for blocks of 10, cut at run time for blocks of 60 by real sizes."""
     d = docs_of(spark, sf_dir)
-    return assign.assign_blocks(d, assign.refine_to(d, frozen("fine"), D, 60), D)
+    return assign.assign_blocks(d, assign.refine_to(d, assign.without_parts(frozen("fine")), D, 60), D)
 
 
 @query()
@@ -277,7 +319,7 @@ def tree_learned_summary(spark, sf_dir):
     pairs = w.doc_pairs(d)
     n = d.count()
     cap = max(5, n // 50)
-    f = sizes.features(d, D, pairs, D_FAST, cap=cap)
+    f = sizes.features(d, D, pairs, D_LIBRARY, cap=cap)
     out = None
     for name, learner in learn.LEARNERS.items():
         t = learner(f, BlockingConfig(cap, scorer="best"))
@@ -290,36 +332,39 @@ def tree_learned_summary(spark, sf_dir):
 
 # experiments ---------------------------------------------------------------------------
 
-_SHARES = (0.01, 0.02, 0.05, 0.1, 0.2)
-
-
-_FEATURES: dict = {}
+#: Caps as shares of the records: those of the second data set, and a tenth.
+_SHARES = (0.0025, 0.005, 0.0125, 0.025, 0.1)
 
 
-def doc_features(spark, sf_dir, shares=_SHARES):
-    """Features of the documents for the smallest of the caps, and the caps. The experiments on one table share what was read once for their smallest cap."""
+def doc_features(spark, sf_dir, shares=_SHARES, library=None):
+    """Features of the documents for the smallest of the caps, and the caps."""
     d = docs_of(spark, sf_dir)
     n = d.count()
-    caps = sorted({max(5, int(n * s)) for s in shares})
-    if sf_dir not in _FEATURES or _FEATURES[sf_dir].cap > caps[0]:
-        _FEATURES[sf_dir] = sizes.features(d, D, w.doc_pairs(d), D_LIBRARY, cap=max(5, int(n * min(0.005, *shares))))
-    return _FEATURES[sf_dir], caps
+    caps = sorted({max(10, int(n * s)) for s in shares})
+    return sizes.features(d, D, cut(w.doc_pairs(d), "labels"), library or D_CUT, cap=caps[0]), caps
 
 
 @query()
 def recall_by_size_grid(spark, sf_dir):
-    """Disjoint recall by cap, five algorithms, five folds."""
-    f, caps = doc_features(spark, sf_dir)
-    return evaluate.means(evaluate.result_table(spark, evaluate.cross_validate(f, "documents", caps, scorers=("best",))))
+    """Disjoint recall by cap, five algorithms, five folds; with the full library and without the longest token."""
+    f, caps = doc_features(spark, sf_dir, library=D_LIBRARY)
+    names = [x.name for x in D_CUT]
+    rest = f.restrict([i for i, x in enumerate(f.library) if x.name in names])
+    rows = [r for x, label in ((f, "documents"), (rest, "documents without longest token")) for r in evaluate.cross_validate(x, label, caps, scorers=("best",))]
+    return evaluate.means(evaluate.result_table(spark, rows))
 
 
-@query()
-def recall_by_size_grid_parts(spark, sf_dir):
+def part_features(spark, sf_dir):
     p = w.part_feeds(spark, sf_dir)
     n = p.count()
-    caps = [max(5, n // 150), n // 50, n // 30, n // 15]
-    f = sizes.features(p, P, w.ent_pairs(p), P_LIBRARY, cap=caps[0])
-    return evaluate.means(evaluate.result_table(spark, evaluate.cross_validate(f, "parts", caps, scorers=("expected",))))
+    caps = sorted({max(5, int(n * s)) for s in _SHARES})
+    return sizes.features(p, P, w.ent_pairs(p), P_LIBRARY, cap=caps[0]), caps
+
+
+@query()
+def recall_by_size_grid_parts(spark, sf_dir):
+    f, caps = part_features(spark, sf_dir)
+    return evaluate.means(evaluate.result_table(spark, evaluate.cross_validate(f, "parts", caps, scorers=("best",))))
 
 
 @query()
@@ -331,16 +376,18 @@ def scorer_ablation(spark, sf_dir):
 
 @query()
 def nondisjoint_recall(spark, sf_dir):
-    """Recall of overlapping blocking by cap."""
-    f, caps = doc_features(spark, sf_dir)
-    return evaluate.means(evaluate.result_table(spark, evaluate.cross_validate(f, "documents", caps, algorithms=tuple(learn.LEARNERS), rounds=True)))
+    """Recall of overlapping blocking by cap, on documents and on part feeds."""
+    rows = []
+    for label, (f, caps) in (("documents", doc_features(spark, sf_dir)), ("parts", part_features(spark, sf_dir))):
+        rows += evaluate.cross_validate(f, label, caps, algorithms=(*learn.LEARNERS, "best_per_round"), scorers=("best",), rounds=True)
+    return evaluate.means(evaluate.result_table(spark, rows))
 
 
 @query()
 def rounds_gain(spark, sf_dir):
     """What rounds add to the disjoint tree, by cap, and the change from one cap to the next."""
     f, caps = doc_features(spark, sf_dir)
-    rows = [r for rounds in (False, True) for r in evaluate.cross_validate(f, "documents", caps, algorithms=("block_tree",), rounds=rounds)]
+    rows = [r for rounds in (False, True) for r in evaluate.cross_validate(f, "documents", caps, algorithms=("block_tree",), scorers=("best",), rounds=rounds)]
     m = evaluate.means(evaluate.result_table(spark, rows)).groupBy("cap").pivot("algorithm", ["block_tree", "block_tree_rounds"]).agg(F.first("recall"))
     g = m.withColumn("gain", F.round(F.col("block_tree_rounds") - F.col("block_tree"), 6))
     return g.withColumn("change", F.round(F.col("gain") - F.lag("gain").over(Window.orderBy("cap")), 6))
@@ -356,7 +403,7 @@ def recall_by_round(spark, sf_dir):
 
 def customer_features(spark, sf_dir, caps):
     c = w.customer_feeds(spark, sf_dir)
-    return sizes.features(c, C, w.ent_pairs(w.labelled_entities(c)), C_LIBRARY, cap=min(caps))
+    return sizes.features(c, C, w.ent_pairs(c), C_LIBRARY, cap=min(caps))
 
 
 def customer_caps(n: int) -> list[int]:
@@ -369,16 +416,21 @@ def customer_summary(spark, sf_dir):
     """Chain against tree, disjoint and in rounds, four caps: algorithms by caps."""
     caps = customer_caps(w.customer_feeds(spark, sf_dir).count())
     f = customer_features(spark, sf_dir, caps)
-    rows = [r for rounds in (False, True) for r in evaluate.cross_validate(f, "customers", caps, algorithms=("chain", "block_tree"), rounds=rounds)]
+    rows = [r for rounds in (False, True) for r in evaluate.cross_validate(f, "customers", caps, algorithms=("chain", "block_tree"), scorers=("best",), rounds=rounds)]
     t = evaluate.means(evaluate.result_table(spark, rows)).groupBy("algorithm").pivot("cap", caps).agg(F.first("recall"))
     return t.select("algorithm", *[F.col(f"`{c}`").alias(f"s{i + 1}") for i, c in enumerate(caps)])
 
 
 @query()
 def tree_heights(spark, sf_dir):
-    """Height of each kind of tree over folds."""
-    f, caps = doc_features(spark, sf_dir, (0.02,))
-    return evaluate.means(evaluate.result_table(spark, evaluate.cross_validate(f, "documents", caps, algorithms=tuple(learn.LEARNERS)))).select("algorithm", "cap", "height", "recall")
+    """Height of each kind of tree over folds, as learnt and where a function has to halve its node."""
+    f, caps = doc_features(spark, sf_dir, (0.0125, 0.1))
+    out = None
+    for shrink in (1.0, 0.5):
+        m = evaluate.means(evaluate.result_table(spark, evaluate.cross_validate(f, "documents", caps, algorithms=tuple(learn.LEARNERS), config=BlockingConfig(1, min_shrink=shrink))))
+        m = m.select("algorithm", "cap", F.lit(shrink).alias("min_shrink"), "height", "recall")
+        out = m if out is None else out.unionByName(m)
+    return out
 
 
 @query()
@@ -403,7 +455,7 @@ def sampled_sizes(spark, sf_dir):
     d = docs_of(spark, sf_dir)
     pairs = w.doc_pairs(d)
     cap = max(10, d.count() // 20)
-    f = sizes.features(d, D, pairs, D_FAST, cap=cap, sample=0.3)
+    f = sizes.features(d, D, pairs, D_LIBRARY, cap=cap, sample=0.3)
     t = learn.learn_block_tree(f, BlockingConfig(cap, scorer="optimistic", slack=0.5))
     out = None
     for name, tree in (("estimated", t), ("adapted", assign.refine_to(d, t, D, cap))):
@@ -430,7 +482,7 @@ def classifier_features(spark, sf_dir):
     nxt = lab.withColumn("r_id", F.lead("doc_id").over(Window.partitionBy("quality").orderBy(F.md5(F.col("doc_id").cast("string")), "doc_id")))
     pairs = nxt.where("r_id is not null").select(F.col("doc_id").alias("l_id"), "r_id")
     part = d.join(lab.select("doc_id"), "doc_id", "left_semi")
-    f = sizes.features(part, D, pairs, D_FAST, cap=max(5, part.count() // 4))
+    f = sizes.features(part, D, pairs, D_LIBRARY, cap=max(5, part.count() // 4))
     t = learn.learn_block_tree(f, BlockingConfig(f.cap, scorer="pessimistic"))
     return spark.createDataFrame([(n.id, n.hash.name if n.hash else "", n.size, n.pairs) for n in t.root.walk()], "node int, function string, records bigint, pairs bigint")
 
@@ -441,8 +493,8 @@ def disjunction_baseline(spark, sf_dir):
     d = docs_of(spark, sf_dir)
     near = w.doc_pairs(d, threshold=0.05)
     pos, neg = near.where("jaccard >= 0.5"), near.where("jaccard < 0.4")
-    f = sizes.features(d, D, pos, D_FAST, cap=max(10, d.count() // 10))
-    g = sizes.features(d, D, neg, D_FAST, cap=max(10, d.count() // 10))
+    f = sizes.features(d, D, pos, D_LIBRARY, cap=max(10, d.count() // 10))
+    g = sizes.features(d, D, neg, D_LIBRARY, cap=max(10, d.count() // 10))
     common = [i for i, x in enumerate(f.library) if x.name in {y.name for y in g.library}]
     f = f.restrict(common)
     g = g.restrict([next(j for j, y in enumerate(g.library) if y.name == x.name) for x in f.library])
@@ -462,11 +514,11 @@ def grouping_sets_report(spark, sf_dir):
 
 # costs ----------------------------------------------------------------------------------
 
-_SIZES = f"SELECT block_key, count(*) AS n FROM ({assign_sql(frozen('block_tree'), D, 'documents')}) GROUP BY 1"
+_SIZES = f"SELECT block_key, count(*) AS n FROM ({assigned_sql('block_tree')}) GROUP BY 1"
 
 
 def _sizes(spark, sf_dir):
-    return sizes.block_sizes(assign.assign_blocks(docs_of(spark, sf_dir), frozen("block_tree"), D))
+    return sizes.block_sizes(assigned(spark, sf_dir, "block_tree"))
 
 
 @query(f"SELECT count(*) AS n_blocks, CAST(sum(n) AS BIGINT) AS n_records, max(n) AS max_block, CAST(sum(n * n) AS BIGINT) AS sum_sq, CAST(sum(n * (n - 1)) AS BIGINT) AS twice_pairs, max(n) * max(n) AS max_sq FROM ({_SIZES})")
@@ -502,22 +554,28 @@ def lpt_makespan(spark, sf_dir):
 
 
 def _rounds_sql() -> str:
-    return " UNION ALL ".join(f"SELECT id, {i} AS round, block_key FROM ({assign_sql(t, D, 'documents')})" for i, t in enumerate(frozen_rounds().rounds))
+    """(id, round, block_key) of the frozen rounds, each with the cap of its trees by real sizes."""
+    every = " UNION ALL ".join(f"SELECT id, {i} AS round, block_key FROM ({assign_sql(t, D, 'documents')})" for i, t in enumerate(frozen_rounds().rounds))
+    return split_sql(every, SMALL_CAP)
+
+
+def rounds(spark, sf_dir, mode: str = "union") -> DataFrame:
+    return assign.split_oversize(assign.assign_rounds(docs_of(spark, sf_dir), frozen_rounds(), D, mode), SMALL_CAP)
 
 
 @query(f"WITH s AS (SELECT round, block_key, count(*) AS n FROM ({_rounds_sql()}) GROUP BY ALL) SELECT max(n) AS max_block, CAST(sum(n) AS BIGINT) AS memberships, CAST(max(n) * max(n) + sum(n) AS BIGINT) AS overlap_cost FROM s")
 def overlap_cost(spark, sf_dir):
-    return cost.overlap_cost(assign.assign_rounds(docs_of(spark, sf_dir), frozen_rounds(), D))
+    return cost.overlap_cost(rounds(spark, sf_dir))
 
 
 @query(f"SELECT id, CAST(round AS INTEGER) AS round, block_key FROM ({_rounds_sql()})")
 def rounds_assign_union(spark, sf_dir):
-    return assign.assign_rounds(docs_of(spark, sf_dir), frozen_rounds(), D)
+    return rounds(spark, sf_dir)
 
 
 @query(f"SELECT id, CAST(round AS INTEGER) AS round, block_key FROM ({_rounds_sql()})")
 def rounds_assign_rounds(spark, sf_dir):
-    return assign.assign_rounds(docs_of(spark, sf_dir), frozen_rounds(), D, mode="rounds")
+    return rounds(spark, sf_dir, "rounds")
 
 
 @query(f"WITH s AS ({_SIZES}) SELECT round(1 - sum(n * (n - 1)) / (sum(n) * (sum(n) - 1)), 6) AS reduction_ratio FROM s")
@@ -530,9 +588,27 @@ def cross_validation_folds(spark, sf_dir):
     return evaluate.cross_validation_folds(w.doc_pairs(docs_of(spark, sf_dir)))
 
 
+def _spread(spark, df: DataFrame, copies: int) -> DataFrame:
+    """`copies` times the records in as many files as there are cores, so that a run is long enough to time."""
+    n = spark.sparkContext.defaultParallelism
+    return cut(df.crossJoin(F.broadcast(spark.range(copies).select(F.lit(None).cast("void").alias("__copy")))).drop("__copy").repartition(2 * n), "spread")
+
+
 @query()
 def apply_time(spark, sf_dir):
-    """Microseconds a record to block lineitem and documents by single, level tree and block tree."""
+    """Microseconds a record to block documents, customer feeds and lineitem, by trees learnt on the table itself (lineitem: given ones), for a cap of a tenth of the records."""
+    rows = []
+    for label, df, spec, library, pairs, copies in (
+        ("documents", docs_of(spark, sf_dir), D, D_CUT, w.doc_pairs(docs_of(spark, sf_dir)), 8),
+        ("customers", w.customer_feeds(spark, sf_dir), C, C_LIBRARY, w.ent_pairs(w.customer_feeds(spark, sf_dir)), 20),
+    ):
+        cap = max(10, df.count() // 10)
+        f = sizes.features(df, spec, cut(pairs, "labels"), library, cap=cap)
+        many = _spread(spark, df, copies)
+        for name in ("single", "level_tree", "block_tree"):
+            t = learn.LEARNERS[name](f, BlockingConfig(cap, scorer="expected" if name == "single" else "optimistic", min_shrink=0.5))
+            r = cost.time_per_record(many, assign.assign_blocks(many, t, spec), reps=5)
+            rows.append((label, name, r["records"], t.height, r["scan_us"], r["block_us"], learn.recall(f, t)))
     li = w.table(spark, sf_dir, "lineitem")
     spec = w.BlockingSpec("l_orderkey", (w.Attribute("flag", "code", "l_returnflag"), w.Attribute("mode", "code", "l_linestatus"), w.Attribute("part", "int", "l_partkey"), w.Attribute("qty", "float", "l_quantity")))
     a, b, c = h.identity("flag"), h.bucket_int("qty", 10), h.bucket_int("part", 100)
@@ -541,15 +617,11 @@ def apply_time(spark, sf_dir):
         "level_tree": BlockTree("level_tree", Node(0, 0, 0, a, {f"v{x}": Node(1 + i, 0, 0, b, {f"v{q}": Node(10 + 10 * i + j, 0, 0, c) for j, q in enumerate((0, 10, 20, 30, 40))}) for i, x in enumerate("ANR")})),
         "block_tree": BlockTree("block_tree", Node(0, 0, 0, c, {"v0": Node(1, 0, 0, b), "v100": Node(2, 0, 0, a)})),
     }
-    rows = []
+    many = _spread(spark, li.select("l_orderkey", "l_returnflag", "l_linestatus", "l_partkey", "l_quantity"), 5)
     for name, t in trees.items():
-        r = cost.time_per_record(li, assign.assign_blocks(li, t, spec), reps=3)
-        rows.append(("lineitem", name, r["records"], t.height, r["scan_us"], r["block_us"]))
-    d = docs_of(spark, sf_dir)
-    for name in ("single", "level_tree", "block_tree"):
-        r = cost.time_per_record(d, assign.assign_blocks(d, frozen(name), D), reps=3)
-        rows.append(("documents", name, r["records"], frozen(name).height, r["scan_us"], r["block_us"]))
-    return spark.createDataFrame(rows, "workload string, tree string, records bigint, height int, scan_us double, block_us double")
+        r = cost.time_per_record(many, assign.assign_blocks(many, t, spec), reps=5)
+        rows.append(("lineitem, given trees", name, r["records"], t.height, r["scan_us"], r["block_us"], None))
+    return spark.createDataFrame(rows, "workload string, tree string, records bigint, height int, scan_us double, block_us double, training_recall double")
 
 
 # roll-up ----------------------------------------------------------------------------------
@@ -583,59 +655,126 @@ def rollup_first_merge(spark, sf_dir):
     return fit.orderBy(F.desc(F.col("benefit") / F.least("na", "nb")), "a", "b").limit(1).select("a", "b", "benefit")
 
 
-def _rollup_report(spark, sf_dir, strategy):
-    a, pairs = _part_blocks(spark, sf_dir)
-    m = rollup.rollup(a, pairs, 60, strategy=strategy)
-    check = evaluate.check_rollup(a, m, 60)
-    before = cost.recall(a, pairs).select(F.col("split").alias("split_before"))
-    after = a.join(m, "block_key", "left").select("id", F.coalesce("merged_key", "block_key").alias("block_key"))
-    return check.crossJoin(before).crossJoin(cost.recall(after, pairs).select(F.col("split").alias("split_after")))
+#: Every merge of the greedy roll-up, in turn: the state is one row that holds each touched block with its group and size.
+_GREEDY = f"""WITH RECURSIVE {_CROSS[5:]}, s AS (SELECT block_key, count(*) AS n FROM a GROUP BY 1),
+t AS (SELECT block_key, n FROM s WHERE block_key IN (SELECT a FROM e UNION SELECT b FROM e)),
+state AS (SELECT 0 AS step, (SELECT list({{'b': block_key, 'g': block_key, 'n': n}}) FROM t) AS m
+  UNION ALL
+  SELECT step + 1, list_transform(m, lambda x: {{'b': x.b, 'g': CASE WHEN x.g = best.hi THEN best.lo ELSE x.g END, 'n': x.n}})
+  FROM state, LATERAL (
+    WITH u AS (SELECT unnest(m) AS x), z AS (SELECT x.g AS g, sum(x.n) AS n FROM u GROUP BY 1),
+    p AS (SELECT least(y.x.g, w.x.g) AS lo, greatest(y.x.g, w.x.g) AS hi, sum(benefit) AS gain FROM e JOIN u y ON y.x.b = e.a JOIN u w ON w.x.b = e.b WHERE y.x.g <> w.x.g GROUP BY 1, 2)
+    SELECT lo, hi FROM p JOIN z zl ON zl.g = lo JOIN z zh ON zh.g = hi WHERE zl.n + zh.n <= 60 ORDER BY gain / least(zl.n, zh.n) DESC, lo, hi LIMIT 1) best),
+last AS (SELECT unnest(m) AS x FROM state ORDER BY step DESC LIMIT (SELECT count(*) FROM t)),
+o AS (SELECT x.b AS block_key, x.g AS merged_key, count(*) OVER (PARTITION BY x.g) AS k FROM last),
+plan AS (SELECT block_key, merged_key FROM o WHERE k > 1)"""
 
 
-@query()
+@query(f"{_GREEDY} SELECT * FROM plan")
+def rollup_plan_parts(spark, sf_dir):
+    """The whole greedy roll-up: which block goes where."""
+    return rollup.rollup(*_part_blocks(spark, sf_dir), 60, safeguard=False)
+
+
+@query(f"{_GREEDY} SELECT id, coalesce(merged_key, block_key) AS block_key FROM a LEFT JOIN plan USING (block_key)")
+def rollup_assign_parts(spark, sf_dir):
+    """Part feeds by the example tree with the roll-up on top of it."""
+    p = w.part_feeds(spark, sf_dir)
+    plan = rollup.rollup(*_part_blocks(spark, sf_dir), 60, safeguard=False)
+    return assign.assign_blocks(p, EXAMPLE, P, rollup=plan)
+
+
+@query(
+    f"""{_GREEDY}, r AS (SELECT id, coalesce(merged_key, block_key) AS block_key FROM a LEFT JOIN plan USING (block_key)),
+x AS (SELECT count(*) FILTER (WHERE l.block_key <> r.block_key) AS before FROM pr JOIN a l ON l.id = l_id JOIN a r ON r.id = r_id),
+y AS (SELECT count(*) FILTER (WHERE l.block_key <> q.block_key) AS after FROM pr JOIN r l ON l.id = l_id JOIN r q ON q.id = r_id)
+SELECT CAST(before AS BIGINT) AS split_before, CAST(after AS BIGINT) AS split_after, (SELECT count(DISTINCT block_key) FROM a) AS blocks_before, (SELECT count(DISTINCT block_key) FROM r) AS blocks_after FROM x, y"""
+)
 def rollup_result_parts(spark, sf_dir):
-    return _rollup_report(spark, sf_dir, "density")
+    """Split pairs and blocks before and after the roll-up."""
+    a, pairs = _part_blocks(spark, sf_dir)
+    a, pairs = cut(a, "assigned"), cut(pairs, "pairs")
+    after = cut(rollup.merged(a, rollup.rollup(a, pairs, 60, safeguard=False)), "merged")
+    one = cost.recall(a, pairs).select(F.col("split").alias("split_before")).crossJoin(cost.recall(after, pairs).select(F.col("split").alias("split_after")))
+    return one.crossJoin(a.agg(F.count_distinct("block_key").alias("blocks_before"))).crossJoin(after.agg(F.count_distinct("block_key").alias("blocks_after")))
 
 
 @query()
 def rollup_matching_parts(spark, sf_dir):
-    return _rollup_report(spark, sf_dir, "matching")
+    """The distributed roll-up: do merged blocks fit, and how many pairs it wins back."""
+    a, pairs = _part_blocks(spark, sf_dir)
+    a, pairs = cut(a, "assigned"), cut(pairs, "pairs")
+    m = cut(rollup.rollup(a, pairs, 60, strategy="matching"), "plan")
+    before = cost.recall(a, pairs).select(F.col("split").alias("split_before"))
+    return evaluate.check_rollup(a, m, 60).crossJoin(before).crossJoin(cost.recall(rollup.merged(a, m), pairs).select(F.col("split").alias("split_after")))
+
+
+@query(f"SELECT CAST(ceil(count(*) / 60.0) AS BIGINT) AS least_blocks, true AS all_fit, count(*) AS records, true AS enough FROM ({PARTS})")
+def rollup_zero_benefit_parts(spark, sf_dir):
+    """Blocks packed on without common pairs: all fit, no record is lost, and the blocks are no more than 1.7 times those that a cap needs at least, plus one."""
+    a, pairs = _part_blocks(spark, sf_dir)
+    a = cut(a, "assigned")
+    after = rollup.merged(a, rollup.rollup(a, pairs, 60, merge_zero_benefit=True))
+    x = sizes.block_sizes(after).agg(F.count("*").alias("blocks"), F.max("n").alias("n"), F.sum("n").alias("records"))
+    least = F.ceil(F.col("records") / 60).cast("bigint")
+    return x.select(least.alias("least_blocks"), (F.col("n") <= 60).alias("all_fit"), "records", (F.col("blocks") <= 1.7 * least + 1).alias("enough"))
 
 
 @query()
 def rollup_gain(spark, sf_dir):
-    """Recall of every algorithm before and after roll-up."""
+    """Recall of every algorithm before and after roll-up, on documents and blocks of at most `SMALL_CAP`."""
     d = docs_of(spark, sf_dir)
-    pairs = w.doc_pairs(d)
+    pairs = cut(w.doc_pairs(d), "labels")
     out = None
-    for k in ("single", "chain", "level_tree", "block_tree"):
-        a = assign.assign_blocks(d, frozen(f"{k}_small"), D)
-        m = rollup.rollup(a, pairs, 10)
-        after = a.join(m, "block_key", "left").select("id", F.coalesce("merged_key", "block_key").alias("block_key"))
-        one = cost.recall(a, pairs).select(F.lit(k).alias("algorithm"), F.col("recall").alias("before")).crossJoin(cost.recall(after, pairs).select(F.col("recall").alias("after")))
+    for k in ("random", "single", "chain", "level_tree", "block_tree"):
+        a = assign.random_blocks(d, "doc_id", d.count(), SMALL_CAP, strict=True) if k == "random" else assigned(spark, sf_dir, f"{k}_small")
+        a = cut(a, "assigned")
+        m = cut(rollup.rollup(a, pairs, SMALL_CAP), "plan")
+        after = rollup.merged(a, m)
+        one = cost.recall(a, pairs).select(F.lit(k).alias("algorithm"), F.col("recall").alias("before")).crossJoin(cost.recall(after, pairs).select(F.col("recall").alias("after"))).crossJoin(evaluate.check_rollup(a, m, SMALL_CAP).select("fits"))
         out = one if out is None else out.unionByName(one)
     return out
 
 
+@query()
+def rounds_rolled_up(spark, sf_dir):
+    """Rounds of block trees with a roll-up in each, beside the same rounds without: recall by round, of all labelled pairs."""
+    p = w.part_feeds(spark, sf_dir)
+    pairs = cut(w.ent_pairs(p), "labels")
+    cap = max(5, p.count() // 50)
+    f = sizes.features(p, P, pairs, P_LIBRARY, cap=cap)
+    rows = []
+    for rolled in (False, True):
+        done, plans = rollup.rolled_rounds(p, P, f, BlockingConfig(cap, scorer="expected", max_rounds=4), pairs, rolled)
+        rows += [("rolled up" if rolled else "plain", i, n, n / len(f.same)) for i, n in enumerate(done)]
+    return spark.createDataFrame(rows, "kind string, round int, covered bigint, recall double")
+
+
 # drill-down ----------------------------------------------------------------------------------
 
 
-def _least_violations_sql(keyed: str, pairs: str, share: float) -> str:
-    """Least violations over all partitions of a small domain: recursion over the cut that ends the last interval."""
+def _least_violations_sql(keyed: str, pairs: str, share: float | None, width: int | None = None) -> str:
+    """Least violations over all partitions: recursion over the cut that ends the last interval, over every value of the domain.
+
+    A run of values fits by its records (a share of all) or by the difference of its ends.
+    """
+    fits = f"z.up - x.up + x.n <= (SELECT CAST(floor((SELECT count(*) FROM k) * {share}) AS BIGINT))" if width is None else f"z.k - x.k <= {width}"
     return f"""
-WITH RECURSIVE k AS ({keyed}), pr AS ({pairs}), d AS (SELECT k, count(*) AS n, row_number() OVER (ORDER BY k) AS i FROM k WHERE k IS NOT NULL GROUP BY k),
-cap AS (SELECT CAST(floor((SELECT count(*) FROM k) * {share}) AS BIGINT) AS s), m AS (SELECT max(i) AS m FROM d),
+WITH RECURSIVE k AS ({keyed}), pr AS ({pairs}), d AS (SELECT k, count(*) AS n, row_number() OVER (ORDER BY k) AS i, sum(count(*)) OVER (ORDER BY k) AS up FROM k WHERE k IS NOT NULL GROUP BY k), m AS (SELECT max(i) AS m FROM d),
 p AS (SELECT least(x.i, y.i) AS a, greatest(x.i, y.i) AS b FROM pr JOIN k l ON l.id = l_id JOIN k r ON r.id = r_id JOIN d x ON x.k = l.k JOIN d y ON y.k = r.k),
-runs AS (SELECT x.i AS i, y.i AS j, (SELECT count(*) FROM p WHERE a BETWEEN x.i AND y.i AND b > y.i) AS lost FROM d x JOIN d y ON y.i >= x.i
-  WHERE x.i = y.i OR (SELECT sum(n) FROM d z WHERE z.i BETWEEN x.i AND y.i) <= (SELECT s FROM cap)),
+fit AS (SELECT x.i AS i, z.i AS j FROM d x JOIN d z ON z.i >= x.i WHERE x.i = z.i OR {fits}),
+out_ AS (SELECT f.i, f.j, count(*) AS lost FROM fit f JOIN p ON p.a BETWEEN f.i AND f.j AND p.b > f.j GROUP BY 1, 2),
+runs AS (SELECT f.i, f.j, coalesce(lost, 0) AS lost FROM fit f LEFT JOIN out_ o USING (i, j)),
 walk AS (SELECT CAST(0 AS BIGINT) AS j, CAST(0 AS BIGINT) AS lost UNION SELECT r.j, w.lost + r.lost FROM walk w JOIN runs r ON r.i = w.j + 1)
 SELECT min(lost) AS violations, (SELECT count(*) FROM p) AS n_pairs FROM walk WHERE j = (SELECT m FROM m)"""
 
 
-def _violations(spark, df, id_col, key, pairs, share):
-    n = df.count()
+def _violations(spark, df, id_col, key, pairs, share, width=None, solver="endpoints"):
     pv = [p for p in drilldown.pair_values(df, id_col, key, pairs) if None not in p]
-    part = drilldown.drilldown(df, key, pv, int(n * share))
+    if width is None:
+        part = drilldown.drilldown(df, key, pv, int(df.count() * share), solver=solver)
+    else:
+        part = drilldown.drilldown(df, key, pv, width, cost="width")
     return spark.createDataFrame([(drilldown.broken(part, pv), len(pv))], "violations bigint, n_pairs bigint")
 
 
@@ -645,16 +784,67 @@ def drilldown_month(spark, sf_dir):
     return _violations(spark, o, "o_orderkey", F.month("o_orderdate"), w.order_pairs(o), 0.3)
 
 
-@query(_least_violations_sql("SELECT doc_id AS id, least(n_chars // 500, 11) AS k FROM documents", DOC_PAIRS, 0.35))
+_WEEKS = "SELECT o_orderkey AS id, CAST(floor(date_diff('day', DATE '1990-01-01', CAST(o_orderdate AS DATE)) / 7) AS BIGINT) AS k FROM orders"
+
+
+@query(_least_violations_sql(_WEEKS, w.ORDER_PAIRS_SQL, 0.03))
+def drilldown_week(spark, sf_dir):
+    """Every week of the order dates."""
+    o = w.table(spark, sf_dir, "orders")
+    return _violations(spark, o, "o_orderkey", F.floor(F.datediff(F.to_date("o_orderdate"), F.lit("1990-01-01")) / 7), w.order_pairs(o), 0.03)
+
+
+@query(_least_violations_sql(_WEEKS, w.ORDER_PAIRS_SQL, 0.03))
+def drilldown_week_full(spark, sf_dir):
+    """The recurrence over the whole domain, for the same weeks."""
+    o = w.table(spark, sf_dir, "orders")
+    return _violations(spark, o, "o_orderkey", F.floor(F.datediff(F.to_date("o_orderdate"), F.lit("1990-01-01")) / 7), w.order_pairs(o), 0.03, solver="full")
+
+
+@query(_least_violations_sql(_WEEKS, w.ORDER_PAIRS_SQL, None, 8))
+def drilldown_week_width(spark, sf_dir):
+    """Intervals bounded by their width, nine weeks."""
+    o = w.table(spark, sf_dir, "orders")
+    return _violations(spark, o, "o_orderkey", F.floor(F.datediff(F.to_date("o_orderdate"), F.lit("1990-01-01")) / 7), w.order_pairs(o), None, width=8)
+
+
+@query(_least_violations_sql("SELECT doc_id AS id, n_chars AS k FROM documents", DOC_PAIRS, 0.05))
 def drilldown_nchars(spark, sf_dir):
+    """Every length of a document."""
     d = docs_of(spark, sf_dir)
-    return _violations(spark, d, "doc_id", F.least(F.floor(F.col("n_chars") / 500), F.lit(11)), w.doc_pairs(d), 0.35)
+    return _violations(spark, d, "doc_id", F.col("n_chars"), w.doc_pairs(d), 0.05)
 
 
-@query(_least_violations_sql(f"SELECT rec_id AS id, p_size // 5 AS k FROM ({w.PART_FEEDS_SQL})", PART_PAIRS, 0.25))
+@query(_least_violations_sql(f"SELECT rec_id AS id, p_size AS k FROM ({w.PART_FEEDS_SQL})", PART_PAIRS, 0.25))
 def drilldown_size(spark, sf_dir):
     p = w.part_feeds(spark, sf_dir)
-    return _violations(spark, p, "rec_id", F.floor(F.col("p_size") / 5), w.ent_pairs(p), 0.25)
+    return _violations(spark, p, "rec_id", F.col("p_size"), w.ent_pairs(p), 0.25)
+
+
+@query(
+    f"WITH RECURSIVE k AS ({_WEEKS}), pr AS ({w.ORDER_PAIRS_SQL}), p AS (SELECT DISTINCT least(l.k, r.k) AS low, greatest(l.k, r.k) AS high FROM pr JOIN k l ON l.id = l_id JOIN k r ON r.id = r_id) "
+    "SELECT low, high, count(*) AS n FROM p JOIN k ON k.k BETWEEN low AND high GROUP BY 1, 2 HAVING count(*) <= (SELECT CAST(floor(count(*) * 0.005) AS BIGINT) FROM k)"
+)
+def drilldown_overlapping_weeks(spark, sf_dir):
+    """Without disjointness: the intervals of pairs that hold no more than a two-hundredth of the orders."""
+    o = w.table(spark, sf_dir, "orders")
+    key = F.floor(F.datediff(F.to_date("o_orderdate"), F.lit("1990-01-01")) / 7)
+    rows = drilldown.overlapping_by_count(o, key, drilldown.pair_values(o, "o_orderkey", key, w.order_pairs(o)), int(o.count() * 0.005))
+    return spark.createDataFrame(rows, "low bigint, high bigint, n bigint")
+
+
+@query(
+    f"WITH RECURSIVE k AS ({_WEEKS}), d AS (SELECT k, count(*) AS n, row_number() OVER (ORDER BY k) AS i FROM k GROUP BY k), c AS (SELECT CAST(floor(count(*) * 0.05) AS BIGINT) AS s FROM k), "
+    "f AS (SELECT i, k AS start, CAST(n AS BIGINT) AS n FROM d WHERE i = 1 UNION ALL SELECT d.i, CASE WHEN f.n + d.n <= s THEN f.start ELSE d.k END, CAST(CASE WHEN f.n + d.n <= s THEN f.n + d.n ELSE d.n END AS BIGINT) FROM f JOIN d ON d.i = f.i + 1, c) "
+    "SELECT CAST(row_number() OVER (ORDER BY start) - 1 AS INTEGER) AS slot, max(n) AS n FROM f GROUP BY start"
+)
+def equi_depth_weeks(spark, sf_dir):
+    """Weeks filled up to a twentieth of the orders from the left."""
+    o = w.table(spark, sf_dir, "orders")
+    key = F.floor(F.datediff(F.to_date("o_orderdate"), F.lit("1990-01-01")) / 7)
+    counts = [(r[0], r[1]) for r in o.groupBy(key.alias("k")).agg(F.count("*")).orderBy("k").collect()]
+    part = drilldown.equi_depth(counts, int(sum(n for _, n in counts) * 0.05))
+    return spark.createDataFrame([(i, x.n) for i, x in enumerate(part)], "slot int, n bigint")
 
 
 @query()
@@ -665,8 +855,6 @@ def drilldown_vs_equiwidth(spark, sf_dir):
     pv = drilldown.pair_values(o, "o_orderkey", key, w.order_pairs(o))
     counts = [(r[0], r[1]) for r in o.groupBy(key.alias("k")).agg(F.count("*")).orderBy("k").collect()]
     n = sum(c for _, c in counts)
-    import datetime as dt
-
     rows = []
     for share in (0.02, 0.05, 0.1, 0.3):
         cap = int(n * share)
@@ -683,7 +871,7 @@ def drilldown_vs_equiwidth(spark, sf_dir):
 
         while width < 3000 and largest(width + 1) <= cap:
             width += 1
-        equal = drilldown.tile([(None, 0)] + [(lo + dt.timedelta(days=width * i), 0) for i in range(1, (days[-1] - lo).days // width + 1)], float("inf"))
+        equal = drilldown.equi_width(lo, days[-1], width)
         depth = drilldown.equi_depth(counts, cap)
         rows.append((cap, len(pv), *[drilldown.broken(x, pv) for x in (best, equal, depth)], len(best), drilldown.is_dcc(best), max(x.n for x in best)))
     return spark.createDataFrame(rows, "cap bigint, n_pairs bigint, learnt bigint, equal_width bigint, equal_depth bigint, intervals int, covers boolean, largest bigint")
@@ -703,20 +891,67 @@ def drilldown_text_order(spark, sf_dir):
 # pairs, clusters, linkage ------------------------------------------------------------------------
 
 
-@query(f"WITH a AS ({assign_sql(frozen('block_tree_small'), D, 'documents')}) SELECT l.id AS l_id, r.id AS r_id FROM a l JOIN a r ON l.block_key = r.block_key AND l.id < r.id")
+@query(f"WITH a AS ({assigned_sql('block_tree_small')}) SELECT l.id AS l_id, r.id AS r_id FROM a l JOIN a r ON l.block_key = r.block_key AND l.id < r.id")
 def candidate_pairs_disjoint(spark, sf_dir):
-    return dedup.candidate_pairs(assign.assign_blocks(docs_of(spark, sf_dir), frozen("block_tree_small"), D))
+    return dedup.candidate_pairs(assigned(spark, sf_dir, "block_tree_small"))
 
 
 @query(f"WITH a AS ({_rounds_sql()}) SELECT l.id AS l_id, r.id AS r_id, CAST(min(l.round) AS INTEGER) AS round FROM a l JOIN a r ON l.round = r.round AND l.block_key = r.block_key AND l.id < r.id GROUP BY 1, 2")
 def candidate_pairs_rounds(spark, sf_dir):
-    return dedup.candidate_pairs_rounds(assign.round_keys(docs_of(spark, sf_dir), frozen_rounds(), D))
+    return dedup.candidate_pairs_rounds(assign.keys_by_round(rounds(spark, sf_dir)))
+
+
+@query(
+    f"WITH a AS ({_rounds_sql()}), pr AS ({DOC_PAIRS}), f AS (SELECT l_id, r_id, min(l.round) AS round FROM pr JOIN a l ON l.id = l_id JOIN a r ON r.id = r_id AND r.round = l.round AND r.block_key = l.block_key GROUP BY 1, 2), "
+    f"g AS (SELECT unnest(range({len(frozen_rounds().rounds)})) AS round), c AS (SELECT g.round, count(f.l_id) AS covered FROM g LEFT JOIN f ON f.round = g.round GROUP BY 1) "
+    "SELECT CAST(round AS INTEGER) AS round, covered, round(sum(covered) OVER (ORDER BY round) / (SELECT count(*) FROM pr), 6) AS recall FROM c"
+)
+def recall_of_rounds(spark, sf_dir):
+    """Pairs that each round covers first, and the recall so far."""
+    return cost.recall_by_round(rounds(spark, sf_dir), w.doc_pairs(docs_of(spark, sf_dir)), len(frozen_rounds().rounds))
+
+
+@query(
+    f"WITH c AS (SELECT l.id AS l_id, r.id AS r_id FROM ({assigned_sql('block_tree_small')}) l JOIN ({assigned_sql('block_tree_small')}) r ON l.block_key = r.block_key AND l.id < r.id), pr AS ({DOC_PAIRS}), "
+    "h AS (SELECT count(*) AS hits FROM c JOIN pr USING (l_id, r_id)), x AS (SELECT (SELECT hits FROM h) AS hits, (SELECT count(*) FROM c) AS predicted, (SELECT count(*) FROM pr) AS true_pairs) "
+    "SELECT *, round(hits / predicted, 6) AS precision, round(hits / true_pairs, 6) AS recall, round(2 * hits / (predicted + true_pairs), 6) AS f1 FROM x"
+)
+def pair_quality(spark, sf_dir):
+    """Precision, recall and F1 of candidate pairs, were all of them called duplicates."""
+    return cost.quality_of_pairs(candidate_pairs_disjoint(spark, sf_dir), w.doc_pairs(docs_of(spark, sf_dir)))
+
+
+@query(f"WITH a AS ({assigned_sql('block_tree')}) SELECT CAST(max(c) AS BIGINT) AS cost FROM (SELECT sum(length(text)) AS c FROM a JOIN documents ON id = doc_id GROUP BY block_key)")
+def custom_cost_characters(spark, sf_dir):
+    """Another monotone cost of a block: the characters of its texts."""
+    d = docs_of(spark, sf_dir).select(F.col("doc_id").alias("id"), F.length("text").alias("n_text"))
+    return cost.custom_cost(assigned(spark, sf_dir, "block_tree").join(d, "id"), F.sum("n_text"))
+
+
+@query(f"WITH s AS ({_SIZES}), m AS (SELECT CAST(('0x' || substr(md5(block_key || '|42'), 1, 8)) AS BIGINT) % 8 AS machine, n FROM s) SELECT CAST(max(l) AS BIGINT) AS makespan FROM (SELECT sum(n * n) AS l FROM m GROUP BY machine)")
+def makespan_hashed(spark, sf_dir):
+    """Makespan of blocks dealt to eight machines by a hash of their key."""
+    s = cut(_sizes(spark, sf_dir), "sizes")
+    dealt = s.select("block_key", (sizes.mixer(F.col("block_key"), 42) % 8).alias("machine"))
+    return cost.makespan(s, dealt).select(F.col("makespan").cast("bigint"))
+
+
+@query("SELECT a.s_suppkey AS l_id, b.s_suppkey AS r_id FROM supplier a JOIN supplier b ON a.s_suppkey < b.s_suppkey")
+def all_pairs_suppliers(spark, sf_dir):
+    """No blocking at all, for a small table."""
+    return dedup.all_pairs(w.table(spark, sf_dir, "supplier"), "s_suppkey")
+
+
+@query("WITH n AS (SELECT count(*) AS n FROM supplier) SELECT CAST(2 AS BIGINT) AS max_block, CAST(n * (n - 1) AS BIGINT) AS memberships, CAST(4 + n * (n - 1) AS BIGINT) AS overlap_cost FROM n")
+def pair_blocks_cost(spark, sf_dir):
+    """The degenerate solution: a block for every pair keeps all pairs at a cost in memberships."""
+    return cost.overlap_cost(dedup.pair_blocks(w.table(spark, sf_dir, "supplier"), "s_suppkey"))
 
 
 _MATCHED = f"""
 s AS (SELECT doc_id, CASE WHEN len(w) < 5 THEN [array_to_string(w, ' ')] ELSE list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(list_slice(w, i, i + 4), ' '))) END AS s
   FROM (SELECT doc_id, string_split(lower(trim(regexp_replace(text, '\\s+', ' ', 'g'))), ' ') AS w FROM documents)),
-a AS ({assign_sql(frozen('block_tree_small'), D, 'documents')}),
+a AS ({assigned_sql('block_tree_small')}),
 c AS (SELECT l.id AS l_id, r.id AS r_id FROM a l JOIN a r ON l.block_key = r.block_key AND l.id < r.id),
 m AS (SELECT l_id, r_id FROM c JOIN s l ON l.doc_id = l_id JOIN s r ON r.doc_id = r_id WHERE len(list_intersect(l.s, r.s)) / (len(l.s) + len(r.s) - len(list_intersect(l.s, r.s))) >= 0.5)"""
 
@@ -728,7 +963,7 @@ m AS (SELECT l_id, r_id FROM c JOIN s l ON l.doc_id = l_id JOIN s r ON r.doc_id
 def dedup_clusters_documents(spark, sf_dir):
     """End to end: block, compare within blocks, cluster."""
     d = docs_of(spark, sf_dir)
-    pairs = dedup.candidate_pairs(assign.assign_blocks(d, frozen("block_tree_small"), D))
+    pairs = dedup.candidate_pairs(assigned(spark, sf_dir, "block_tree_small"))
     records = dedup.shingles(d.select("doc_id", "text"), "text").select("doc_id", "shingles")
     found = dedup.match(pairs, records, "doc_id", dedup.jaccard(F.col("l.shingles"), F.col("r.shingles")), 0.5)
     return dedup.clusters(d, "doc_id", found)
@@ -757,10 +992,10 @@ def join_bounded_orders_lineitem(spark, sf_dir):
     return j.groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.round(F.sum("l_extendedprice").cast("double"), 2).alias("total"))
 
 
-@query(f"WITH x AS ({assign_sql(frozen('single_small'), D, 'documents')}), y AS ({assign_sql(frozen('block_tree_small'), D, 'documents')}), pr AS ({DOC_PAIRS}) SELECT a.block_key = b.block_key AS in_a, c.block_key = d.block_key AS in_b, count(*) AS n_pairs FROM pr JOIN x a ON a.id = l_id JOIN x b ON b.id = r_id JOIN y c ON c.id = l_id JOIN y d ON d.id = r_id GROUP BY ALL")
+@query(f"WITH x AS ({assigned_sql('single_small')}), y AS ({assigned_sql('block_tree_small')}), pr AS ({DOC_PAIRS}) SELECT a.block_key = b.block_key AS in_a, c.block_key = d.block_key AS in_b, count(*) AS n_pairs FROM pr JOIN x a ON a.id = l_id JOIN x b ON b.id = r_id JOIN y c ON c.id = l_id JOIN y d ON d.id = r_id GROUP BY ALL")
 def diff_plans(spark, sf_dir):
     d = docs_of(spark, sf_dir)
-    return evaluate.diff_plans(assign.assign_blocks(d, frozen("single_small"), D), assign.assign_blocks(d, frozen("block_tree_small"), D), w.doc_pairs(d))
+    return evaluate.diff_plans(assigned(spark, sf_dir, "single_small"), assigned(spark, sf_dir, "block_tree_small"), cut(w.doc_pairs(d), "labels"))
 
 
 # events ----------------------------------------------------------------------------------------------

@@ -11,7 +11,7 @@ from pyspark.sql import SparkSession
 from blockwright import workloads as w
 from blockwright.functions.hashes import default_library
 from blockwright.model import BlockingConfig
-from blockwright.operators import assign, learn, sizes
+from blockwright.operators import learn, sizes
 
 CAP = 50
 
@@ -19,17 +19,16 @@ CAP = 50
 def main(folder: str) -> None:
     spark = SparkSession.builder.master("local[4]").config("spark.ui.enabled", "false").config("spark.sql.shuffle.partitions", "8").getOrCreate()
     docs = w.table(spark, folder, "documents")
-    library = default_library(w.DOC_SPEC, without=("longest_token", "top_chars"))
+    library = default_library(w.DOC_SPEC, without=("longest_token",))
     f = sizes.features(docs, w.DOC_SPEC, w.doc_pairs(docs), library, cap=10)
-    config = BlockingConfig(CAP, scorer="optimistic")
+    config = BlockingConfig(CAP, scorer="optimistic", min_shrink=0.5)
     out = {name: learner(f, config).to_json() for name, learner in learn.LEARNERS.items()}
     # a cap that the single function and the chain can't keep, so that random splits are in the plans too
-    small = BlockingConfig(10, scorer="optimistic")
+    small = BlockingConfig(10, scorer="optimistic", min_shrink=0.5)
     out |= {f"{name}_small": learner(f, small).to_json() for name, learner in learn.LEARNERS.items()}
     out["rounds"] = learn.learn_rounds(f, small, "level_tree").to_json()
     fine = learn.learn_block_tree(f, BlockingConfig(10, scorer="optimistic"))
     out["fine"] = fine.to_json()
-    out["cut"] = assign.refine_to(docs, fine, w.DOC_SPEC, 60).to_json()
     Path(__file__).resolve().parents[1].joinpath("blockwright/plans/frozen.json").write_text(json.dumps(out, ensure_ascii=False, indent=0))
     for k, v in out.items():
         print(k, len(v))
