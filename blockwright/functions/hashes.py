@@ -157,7 +157,12 @@ def _raw(h: HashFn, a: Attribute) -> Column:
             band, rows, k = p
             words = _tokens(F.lower(s))
             runs = F.when(F.size(words) <= k, F.array(F.array_join(words, " "))).otherwise(F.transform(F.sequence(F.lit(1), F.size(words) - k + 1), lambda i: F.array_join(F.slice(words, i, k), " ")))
-            return F.concat_ws("-", *[F.array_min(F.transform(runs, lambda r, i=i: F.xxhash64(r, F.lit(band * 1000 + i)))).cast("string") for i in range(rows)])
+
+            def least(row: int) -> Column:
+                # a function of one argument: a second one would be the place in the array
+                return F.array_min(F.transform(runs, lambda r: F.xxhash64(r, F.lit(band * 1000 + row)))).cast("string")
+
+            return F.concat_ws("-", *[least(i) for i in range(rows)])
         case "sign_bits":
             return _signs(c, p[0], p[1])
         case "interval":

@@ -250,6 +250,46 @@ def learn_chain(f: Features, config: BlockingConfig) -> BlockTree:
     return BlockTree("chain", root, config.seed, tuple(f.library[h] for h in kept), {"\x1f".join(k): p for k, p in parts.items() if k})
 
 
+def exhaustive_tree(f: Features, config: BlockingConfig, depth: int) -> BlockTree | None:
+    """The block tree of at most `depth` levels that breaks fewest pairs, by trying every function at every node; None where no tree keeps the cap.
+
+    Exponential in depth, for few functions: finding the best tree is NP-hard.
+    """
+    cap = config.cap
+
+    def best(sig, prs, left: int, used: frozenset) -> tuple[int, Node] | None:
+        node = Node(0, int(f.total(sig)), len(prs))
+        if f.total(sig) <= cap:
+            return 0, node
+        found: tuple[int, Node] | None = None
+        for h in range(len(f.library)) if left else ():
+            if h in used:
+                continue
+            s = split(f, sig, prs, h, cap, "optimistic")
+            lost, kids = s.broken, {}
+            for code in s.codes:
+                if found is not None and lost >= found[0]:
+                    break
+                sub = best(f.child(sig, h, code), prs[f.same[prs, h] & (f.pair_code[prs, h] == code)], left - 1, used | {h})
+                if sub is None:
+                    break
+                lost += sub[0]
+                kids[f.values[h][code - 1]] = sub[1]
+            if len(kids) == len(s.codes) and (found is None or lost < found[0]):
+                found = lost, Node(0, node.size, node.pairs, f.library[h], kids)
+        return found
+
+    got = best(*_start(f), depth, frozenset())
+    if got is None:
+        return None
+    level, n = [got[1]], 0
+    while level:
+        for node in level:
+            node.id, n = n, n + 1
+        level = [c for node in level for c in node.heavy.values()]
+    return BlockTree("block_tree", got[1], config.seed)
+
+
 def best_of(f: Features, config: BlockingConfig, learner) -> BlockTree:
     """Learn with every scorer and keep the tree of best training recall; ties go to the scorer named first."""
     trees = [learner(f, replace(config, scorer=s)) for s in SCORERS]
