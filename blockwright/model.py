@@ -50,7 +50,9 @@ class BlockingConfig:
     """How to learn: the cap on a block and the choices of the learner.
 
     `min_shrink` under 1 bars functions whose largest child keeps more than that share of its
-    node; `slack` learns with that share of the cap, to leave room for later growth.
+    node; `slack` learns with that share of the cap, to leave room for later growth. With
+    `random_function` a node of a block tree may also choose the random split, which costs it
+    the pairs that chance separates, where every function costs more; "best" tries both.
     """
 
     max_block_size: int
@@ -62,6 +64,7 @@ class BlockingConfig:
     slack: float = 1.0
     seed: int = 42
     oversize: str = "split"
+    random_function: bool = False
 
     @property
     def cap(self) -> int:

@@ -6,6 +6,7 @@ node is a set of signature rows and of pairs; splitting it by a function is a lo
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass, replace
 
 import numpy as np
@@ -129,6 +130,11 @@ def _start(f: Features):
     return f.root(), np.arange(len(f.same))
 
 
+def by_chance(node: Node, cap: int) -> float:
+    """Pairs that a random split of the node is expected to separate."""
+    return node.pairs * (1 - 1 / max(1, math.ceil(node.size / cap)))
+
+
 def learn_block_tree(f: Features, config: BlockingConfig) -> BlockTree:
     """Only nodes over the cap get a function, each its own."""
     if config.scorer == "best":
@@ -143,7 +149,7 @@ def learn_block_tree(f: Features, config: BlockingConfig) -> BlockTree:
             if node.size <= cap:
                 continue
             s = best_split(f, sig, prs, cap, config, used) if depth < config.max_depth else None
-            if s is None:
+            if s is None or config.random_function and by_chance(node, cap) < s.score:
                 _leaf(node, cap)
                 continue
             node.hash = f.library[s.h]
@@ -291,8 +297,9 @@ def exhaustive_tree(f: Features, config: BlockingConfig, depth: int) -> BlockTre
 
 
 def best_of(f: Features, config: BlockingConfig, learner) -> BlockTree:
-    """Learn with every scorer and keep the tree of best training recall; ties go to the scorer named first."""
-    trees = [learner(f, replace(config, scorer=s)) for s in SCORERS]
+    """Learn with every scorer (block trees also with the random split as a function) and keep the tree of best training recall; ties go to the scorer named first."""
+    chance = (False, True) if learner is learn_block_tree else (False,)
+    trees = [learner(f, replace(config, scorer=s, random_function=r)) for s in SCORERS for r in chance]
     return max(trees, key=lambda t: covered(f, t).mean() if len(f.same) else 0)
 
 

@@ -19,6 +19,7 @@ from ..functions import hashes
 from ..functions.scratch import cut
 from ..model import BlockingConfig, BlockingSpec, BlockTree, HashFn, Node
 from .assign import _route
+from .learn import by_chance
 from .sizes import canonical_pairs, heavy_values, project
 
 
@@ -33,7 +34,7 @@ def _hashed_pairs(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, n: int, l
 
 
 def score_level(sizes: DataFrame, pairs: DataFrame, nodes: DataFrame, ranks: DataFrame, config: BlockingConfig) -> DataFrame:
-    """(node, hash) chosen for each node that has an eligible function.
+    """(node, hash, score) chosen for each node that has an eligible function.
 
     sizes: (node, hash, x, n) of the heavy values; pairs: (node, lx, rx); nodes: (node, total);
     ranks: (hash, rank) of the functions in order of name.
@@ -50,7 +51,7 @@ def score_level(sizes: DataFrame, pairs: DataFrame, nodes: DataFrame, ranks: Dat
     score = F.round(F.col("broken") + F.col("risk"), 9)
     allowed = every.where((F.col("largest") < F.col("total")) & (F.col("largest") <= config.min_shrink * F.col("total")) & (F.col("n_heavy") <= config.max_heavy_children))
     best = Window.partitionBy("node").orderBy(score, "n_heavy", "largest", "rank")
-    return allowed.withColumn("place", F.row_number().over(best)).where("place = 1").select("node", "hash")
+    return allowed.withColumn("place", F.row_number().over(best)).where("place = 1").select("node", "hash", score.alias("score"))
 
 
 def learn_block_tree_wide(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, library: list[HashFn], config: BlockingConfig) -> BlockTree:
@@ -78,13 +79,13 @@ def learn_block_tree_wide(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, l
         sizes = cut(sizes, "sizes")
         nodes = spark.createDataFrame([(c.id, c.size) for c in level], "node int, total bigint")
         chosen = cut(score_level(sizes, hashed_pairs, nodes, ranks, config), "chosen")
-        kids = chosen.join(sizes, ["node", "hash"], "left").join(heavy, ["hash", "x"], "left").select("node", "hash", "value", "x", "n").collect()
+        kids = chosen.select("node", "hash", "score").join(sizes, ["node", "hash"], "left").join(heavy, ["hash", "x"], "left").select("node", "hash", "score", "value", "x", "n").collect()
         of: dict[int, list] = {}
         for r in kids:
             of.setdefault(r["node"], []).append(r)
         nxt, rows = [], []
         for node in level:
-            if node.id not in of:
+            if node.id not in of or config.random_function and by_chance(node, cap) < of[node.id][0]["score"]:
                 continue
             node.hash = library[of[node.id][0]["hash"]]
             for r in sorted((r for r in of[node.id] if r["n"] is not None), key=lambda r: r["value"]):
