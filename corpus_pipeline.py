@@ -10,6 +10,21 @@ and read again as the next one's `docs`. All but the last return the columns of
 * mixing: the mixture is drawn, at most `EPOCHS` times each document, up to `SHARE` of the tokens
   that arrive.
 * packing: what is drawn is laid out in bins of tokens.
+
+Defined results, for every stage and so for the whole: columns beyond those of `documents`,
+whatever their names, are left out. Null and blank texts are rejected by the first stage, and
+would be kept by the others, with no token to draw or pack. Null languages and sources are
+leaves of the mixture of their own; a null doc_id orders before all others. Repeated rows are
+one document read twice: the quality stage keeps or rejects both, line dedup gives both the
+same lines, near dedup keeps one of them. Ties go to the lower doc_id, then to the text's
+fingerprint. Texts of any length are taken whole; a document longer than what the mixture may
+spend on its leaf is not drawn. Without labelled documents of both classes nothing but blank
+texts is rejected. Empty tables give an empty result at every stage.
+
+Line dedup comes before near dedup, so copies that differ in a few lines have already lost
+the lines they share when they are compared: near dedup then sees what is left of them, which
+may be no copy of anything. That is why it catches fewer of the near copies than op9 does on
+the documents as they are.
 """
 
 from __future__ import annotations
