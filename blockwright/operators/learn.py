@@ -7,6 +7,7 @@ node is a set of signature rows and of pairs; splitting it by a function is a lo
 from __future__ import annotations
 
 import math
+from bisect import bisect_left
 from dataclasses import dataclass, replace
 
 import numpy as np
@@ -306,6 +307,14 @@ def best_of(f: Features, config: BlockingConfig, learner) -> BlockTree:
 LEARNERS = {"single": learn_single, "chain": learn_chain, "level_tree": learn_level_tree, "block_tree": learn_block_tree}
 
 
+def _shared(f: Features, rows: np.ndarray, h: int, v: str) -> np.ndarray:
+    """Whether pairs that function h keeps share its value v: by the number of a heavy value, else by the value itself."""
+    i = bisect_left(f.values[h], v)
+    if i < len(f.values[h]) and f.values[h][i] == v:
+        return f.pair_code[rows, h] == i + 1
+    return f.pair_values[rows, h] == v
+
+
 def covered(f: Features, tree: BlockTree) -> np.ndarray:
     """For each pair, whether the tree puts both records in one block, random splits included."""
     at = {h.name: i for i, h in enumerate(f.library)}
@@ -319,7 +328,9 @@ def covered(f: Features, tree: BlockTree) -> np.ndarray:
         cols = [at[h.name] for h in tree.chain]
         out = f.same[:, cols].all(1)
         for k, p in tree.chain_parts.items():
-            rows = np.flatnonzero(out & (f.pair_values[:, cols] == np.array(k.split("\x1f"), object)[None]).all(1))
+            rows = np.flatnonzero(out)
+            for h, v in zip(cols, k.split("\x1f")):
+                rows = rows[_shared(f, rows, h, v)]
             out[rows] = part(rows, p)
         return out
     todo = [(tree.root, np.arange(n))]
@@ -333,7 +344,7 @@ def covered(f: Features, tree: BlockTree) -> np.ndarray:
         out[rows[~f.same[rows, h]]] = False
         rows = rows[f.same[rows, h]]
         for v, child in node.heavy.items():
-            todo.append((child, rows[f.pair_values[rows, h] == v]))
+            todo.append((child, rows[_shared(f, rows, h, v)]))
     return out
 
 

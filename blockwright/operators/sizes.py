@@ -10,9 +10,11 @@ records in every tree, chain or round, for every scorer and fold, and for every
 
 from __future__ import annotations
 
+import hashlib
 from dataclasses import dataclass, field, replace
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -25,6 +27,8 @@ from ..model import BlockingSpec, HashFn
 BUCKETS = 1 << 16
 #: Rows of driver state: above it the cap is too small for this number of records, and the functions with most heavy values have to go first.
 MAX_SIGNATURES = 4_000_000
+#: Signatures of a node from which its sizes are kept, and numbers kept in all.
+MEMO_ROWS, MEMO_CELLS = 128, 50_000_000
 
 
 def mixer(id_col: Column, seed: int) -> Column:
@@ -77,6 +81,8 @@ class Features:
     pair_values: np.ndarray
     mix: np.ndarray
     missing: int = 0
+    #: Sizes of large nodes, which every fold, scorer and round asks for again; shared by all picks of the same records and functions.
+    memo: dict = field(default_factory=dict, repr=False, compare=False)
 
     # What learners ask of a node's records; `sig` is the node's rows of signatures.
 
@@ -85,7 +91,15 @@ class Features:
 
     def sizes(self, sig, flat) -> np.ndarray:
         """Records of the node by value, in the common numbering of all functions' values."""
-        return np.bincount(flat.codes[sig].ravel(), np.repeat(self.count[sig], len(self.library)), flat.n)
+        key = hashlib.blake2b(sig, digest_size=16).digest() if len(sig) >= MEMO_ROWS else None
+        if key in self.memo:
+            return self.memo[key]
+        out = np.bincount(flat.codes[sig].ravel(), np.repeat(self.count[sig], len(self.library)), flat.n)
+        if key is not None:
+            if len(self.memo) * flat.n > MEMO_CELLS:
+                self.memo.clear()
+            self.memo[key] = out
+        return out
 
     def sizes_of(self, sig, h: int) -> np.ndarray:
         return np.bincount(self.codes[sig, h], self.count[sig], len(self.values[h]) + 1)
@@ -102,7 +116,7 @@ class Features:
 
     def restrict(self, keep: list[int]) -> "Features":
         """The same records and pairs with a part of the functions."""
-        return replace(self, library=[self.library[i] for i in keep], codes=self.codes[:, keep], values=[self.values[i] for i in keep], same=self.same[:, keep], pair_code=self.pair_code[:, keep], pair_values=self.pair_values[:, keep])
+        return replace(self, memo={}, library=[self.library[i] for i in keep], codes=self.codes[:, keep], values=[self.values[i] for i in keep], same=self.same[:, keep], pair_code=self.pair_code[:, keep], pair_values=self.pair_values[:, keep])
 
 
 @dataclass
@@ -230,20 +244,20 @@ def features(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, library: list[
         own = [np.array([v[1] for v in vs], float) / max(records, 1) for vs in heavy]
         share = [np.concatenate([[max(0.0, 1 - x.sum())], x]) for x in own]
     n_pairs = cut(canonical_pairs(pairs), "pairs")
-    got = pair_table(df, spec, n_pairs, lib, seed).collect()
+    # a value travels to the driver once, and only where both records share it
+    both = F.zip_with("lv", "rv", lambda a, b: F.when(a == b, a))
+    got = pair_table(df, spec, n_pairs, lib, seed).select("l_id", "r_id", "lm", "rm", both.alias("v")).toArrow()
     total = n_pairs.count()
-    lv = np.array([r["lv"] for r in got], object).reshape(len(got), len(lib))
-    rv = np.array([r["rv"] for r in got], object).reshape(len(got), len(lib))
-    same = lv == rv
-    same = same.astype(bool) if len(got) else np.zeros((0, len(lib)), bool)
+    ids, mix = (np.stack([got[c].to_numpy() for c in cols], axis=1).astype(np.int64) for cols in (("l_id", "r_id"), ("lm", "rm")))
+    order = np.lexsort((ids[:, 1], ids[:, 0]))
+    flat = got["v"].combine_chunks().flatten() if got.num_rows else pa.array([], pa.string())
+    shared = flat.to_numpy(zero_copy_only=False).reshape(len(ids), len(lib))[order]
+    same = flat.is_valid().to_numpy(zero_copy_only=False).reshape(shared.shape)[order]
     code = np.zeros(same.shape, np.int32)
     for k, vs in enumerate(values):
-        at = {v: j + 1 for j, v in enumerate(vs)}
-        code[:, k] = [at.get(v, 0) if s else 0 for v, s in zip(lv[:, k], same[:, k])]
-    order = np.lexsort((np.array([r["r_id"] for r in got]), np.array([r["l_id"] for r in got]))) if got else np.zeros(0, int)
-    ids = np.array([(r["l_id"], r["r_id"]) for r in got], np.int64).reshape(len(got), 2)
-    mix = np.array([(r["lm"], r["rm"]) for r in got], np.int64).reshape(len(got), 2)
-    f = Features(lib, cap, float(count.sum()), codes, count, values, ids[order], same[order], code[order], lv[order], mix[order], total - len(got))
+        if vs and len(ids):
+            code[:, k] = pd.Index(vs, dtype=object).get_indexer(shared[:, k]) + 1
+    f = Features(lib, cap, float(count.sum()), codes, count, values, ids[order], same, code, shared, mix[order], total - len(ids))
     return f if share is None else EstimatedFeatures(**vars(f), share=share)
 
 
