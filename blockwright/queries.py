@@ -134,10 +134,13 @@ def heavy_values(spark, sf_dir):
     "SELECT block_key, n, round(cume_dist() OVER (ORDER BY n), 6) AS cume, round(percent_rank() OVER (ORDER BY n), 6) AS pct, CAST(first_value(n) OVER (ORDER BY n DESC, block_key) AS BIGINT) AS largest FROM s"
 )
 def size_profile(spark, sf_dir):
-    """Where each block stands among the sizes; the window runs over blocks of one function, not over records."""
-    s = w.part_feeds(spark, sf_dir).select(h.column(h.identity("name"), P).alias("block_key")).groupBy("block_key").agg(F.count("*").alias("n"))
-    up = Window.orderBy("n")
-    return s.select("block_key", "n", F.round(F.cume_dist().over(up), 6).alias("cume"), F.round(F.percent_rank().over(up), 6).alias("pct"), F.first("n").over(Window.orderBy(F.desc("n"), "block_key")).alias("largest"))
+    """Where each block stands among the sizes; the windows run over the distinct sizes, of which there are few, and not over blocks."""
+    s = cut(w.part_feeds(spark, sf_dir).select(h.column(h.identity("name"), P).alias("block_key")).groupBy("block_key").agg(F.count("*").alias("n")), "sizes")
+    every, up = Window.orderBy(F.lit(1)).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing), Window.orderBy("n").rowsBetween(Window.unboundedPreceding, 0)
+    d = s.groupBy("n").agg(F.count("*").alias("k")).select("n", "k", F.sum("k").over(up).alias("upto"), F.sum("k").over(every).alias("total"), F.max("n").over(every).alias("largest"))
+    rank = F.when(F.col("total") > 1, (F.col("upto") - F.col("k")) / (F.col("total") - 1)).otherwise(0.0)
+    d = d.select("n", F.round(F.col("upto") / F.col("total"), 6).alias("cume"), F.round(rank, 6).alias("pct"), "largest")
+    return s.join(d, "n").select("block_key", "n", "cume", "pct", "largest")
 
 
 _PART_SCORES = score.score_root_sql(P, P_LIBRARY, PARTS, PART_PAIRS, 60)
@@ -396,7 +399,7 @@ def rounds_gain(spark, sf_dir):
 @query()
 def recall_by_round(spark, sf_dir):
     f, caps = doc_features(spark, sf_dir, (0.005,))
-    rows = [x for a in learn.LEARNERS for x in evaluate.per_round(f, caps[0], a)]
+    rows = [x for a in learn.LEARNERS for x in evaluate.per_round(f, caps[0], a, config=BlockingConfig(caps[0], scorer="best"))]
     t = spark.createDataFrame(rows, "algorithm string, round int, recall double")
     return t.withColumn("gain", F.round(F.col("recall") - F.coalesce(F.lag("recall").over(Window.partitionBy("algorithm").orderBy("round")), F.lit(0.0)), 6))
 
@@ -456,7 +459,7 @@ def sampled_sizes(spark, sf_dir):
     pairs = w.doc_pairs(d)
     cap = max(10, d.count() // 20)
     f = sizes.features(d, D, pairs, D_LIBRARY, cap=cap, sample=0.3)
-    t = learn.learn_block_tree(f, BlockingConfig(cap, scorer="optimistic", slack=0.5))
+    t = learn.learn_block_tree(f, BlockingConfig(cap, scorer="best", slack=0.5))
     out = None
     for name, tree in (("estimated", t), ("adapted", assign.refine_to(d, t, D, cap))):
         a = assign.assign_blocks(d, tree, D)
