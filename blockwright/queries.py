@@ -339,9 +339,15 @@ def tree_learned_summary(spark, sf_dir):
 _SHARES = (0.0025, 0.005, 0.0125, 0.025, 0.1)
 
 
+def even(df: DataFrame) -> DataFrame:
+    """`df` written in as many files as there are cores, where it comes in fewer: a small table in one file would be scanned by one of them, several times."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df if len(df.inputFiles()) >= cores else cut(df.repartition(cores), "even")
+
+
 def doc_features(spark, sf_dir, shares=_SHARES, library=None):
     """Features of the documents for the smallest of the caps, and the caps."""
-    d = docs_of(spark, sf_dir)
+    d = even(docs_of(spark, sf_dir))
     n = d.count()
     caps = sorted({max(10, int(n * s)) for s in shares})
     return sizes.features(d, D, cut(w.doc_pairs(d), "labels"), library or D_CUT, cap=caps[0]), caps
@@ -405,7 +411,7 @@ def recall_by_round(spark, sf_dir):
 
 
 def customer_features(spark, sf_dir, caps):
-    c = w.customer_feeds(spark, sf_dir)
+    c = even(w.customer_feeds(spark, sf_dir))
     return sizes.features(c, C, w.ent_pairs(c), C_LIBRARY, cap=min(caps))
 
 
@@ -606,6 +612,7 @@ def apply_time(spark, sf_dir):
         ("documents", docs_of(spark, sf_dir), D, [x for x in D_CUT if (x.attribute, x.family) != ("text", "top_chars")], w.doc_pairs(docs_of(spark, sf_dir)), 4),
         ("customers", w.customer_feeds(spark, sf_dir), C, C_LIBRARY, w.ent_pairs(w.customer_feeds(spark, sf_dir)), 8),
     ):
+        df = even(df)
         cap = max(10, df.count() // 10)
         f = sizes.features(df, spec, cut(pairs, "labels"), library, cap=cap)
         many = _spread(spark, df, copies)
