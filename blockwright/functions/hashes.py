@@ -196,28 +196,24 @@ def interval_number(c: Column, cuts: tuple[Interval, ...]) -> Column:
     return F.when(c.isNotNull(), search(0, len(cuts) - 1))
 
 
-def shared(library: list[HashFn], spec: BlockingSpec) -> dict[str, Column]:
-    """Helper columns that several functions of a library need, by name: the characters by count of an attribute."""
-    several = [a for a in spec.attributes if sum(h.family == "top_chars" and h.attribute == a.name for h in library) > 1]
+def shared(library: list[HashFn], spec: BlockingSpec, least: int = 2) -> dict[str, Column]:
+    """Helper columns that at least `least` functions of a library need, by name: the characters by count of an attribute."""
+    several = [a for a in spec.attributes if sum(h.family == "top_chars" and h.attribute == a.name for h in library) >= least]
     return {f"__chars_{a.name}": F.slice(_by_count(F.expr(a.expr).cast("string")), 1, max(h.params[0] for h in library if h.family == "top_chars" and h.attribute == a.name)) for a in several}
 
 
 def columns(df: DataFrame, library: list[HashFn], spec: BlockingSpec, *keep: Column) -> DataFrame:
     """`keep` and the tagged values h0, h1, ... of a library; what functions share is computed once a record."""
     helpers = shared(library, spec)
-    out = []
-    for i, h in enumerate(library):
-        name = f"__chars_{h.attribute}"
-        if h.family == "top_chars" and name in helpers:
-            value = F.array_join(F.array_sort(F.transform(F.slice(name, 1, h.params[0]), lambda x: x["c"])), "")
-            out.append(F.coalesce(F.concat(F.lit("v"), value), F.lit("n")).alias(f"h{i}"))
-        else:
-            out.append(column(h, spec).alias(f"h{i}"))
-    return df.withColumns(helpers).select(*keep, *out)
-
-
-def column(h: HashFn, spec: BlockingSpec) -> Column:
-    """The tagged value of a hash function as an expression; a string that is never null."""
+    return df.withColumns(helpers).select(*keep, *[column(h, spec, helpers).alias(f"h{i}") for i, h in enumerate(library)])
+
+
+def column(h: HashFn, spec: BlockingSpec, helpers=()) -> Column:
+    """The tagged value of a hash function as an expression; a string that is never null. helpers: names of `shared` columns that are there."""
+    name = f"__chars_{h.attribute}"
+    if h.family == "top_chars" and name in helpers:
+        value = F.array_join(F.array_sort(F.transform(F.slice(name, 1, h.params[0]), lambda x: x["c"])), "")
+        return F.coalesce(F.concat(F.lit("v"), value), F.lit("n"))
     return F.coalesce(F.concat(F.lit("v"), _raw(h, spec.attribute(h.attribute))), F.lit("n"))
 
 

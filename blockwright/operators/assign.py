@@ -24,7 +24,7 @@ def _levels(tree: BlockTree) -> list[list[Node]]:
     return out
 
 
-def _route(df: DataFrame, tree: BlockTree, spec: BlockingSpec, p: str) -> tuple[DataFrame, Column]:
+def _route(df: DataFrame, tree: BlockTree, spec: BlockingSpec, p: str, helpers=()) -> tuple[DataFrame, Column]:
     """`df` with helper columns, and the block key in terms of them.
 
     Two flat projections a level: the value under the node's own function, then the child.
@@ -43,7 +43,7 @@ def _route(df: DataFrame, tree: BlockTree, spec: BlockingSpec, p: str) -> tuple[
         case = None
         for group in by_hash.values():
             test = F.col(node).isin([n.id for n in group])
-            col = hashes.column(group[0].hash, spec)
+            col = hashes.column(group[0].hash, spec, helpers)
             case = F.when(test, col) if case is None else case.when(test, col)
         df = df.withColumn(value, case.otherwise(F.col(value)))
         kids = [(n.id, v, c.id) for n in split for v, c in n.heavy.items()]
@@ -84,13 +84,13 @@ def _chain_key(tree: BlockTree, spec: BlockingSpec) -> Column:
     return case.otherwise(joined)
 
 
-def with_block_key(df: DataFrame, tree: BlockTree, spec: BlockingSpec, name: str = "block_key") -> DataFrame:
-    """All columns of `df` and the block key. An existing column of that name is replaced."""
+def with_block_key(df: DataFrame, tree: BlockTree, spec: BlockingSpec, name: str = "block_key", helpers=()) -> DataFrame:
+    """All columns of `df` and the block key. An existing column of that name is replaced. helpers: names of columns of `hashes.shared` that are there."""
     if tree.chain:
         return df.withColumn(name, _chain_key(tree, spec))
     helper = "__route_"
     keep = [c for c in df.columns if c != name]
-    routed, key = _route(df, tree, spec, helper)
+    routed, key = _route(df, tree, spec, helper, helpers)
     # Never null, and known not to be: else a join on it would push a filter with the whole routing below the projections.
     # A join also looks for partitions to prune and traces its keys down to the scan, writing out each projection's
     # expressions in the next, which doubles them level by level; it stops at a column that an explode made.
@@ -127,10 +127,12 @@ def assign_rounds(df: DataFrame, plan: RoundPlan, spec: BlockingSpec, mode: str
 
 
 def round_keys(df: DataFrame, plan: RoundPlan, spec: BlockingSpec) -> DataFrame:
-    """(id, keys): the block keys of all rounds of each record."""
-    out = df
+    """(id, keys): the block keys of all rounds of each record. What functions of several rounds share is computed once."""
+    every = {h.name: h for t in plan.rounds for h in t.functions()}
+    helpers = hashes.shared(list(every.values()), spec, least=1)
+    out = df.withColumns(helpers)
     for i, t in enumerate(plan.rounds):
-        out = with_block_key(out, t, spec, f"__key{i}")
+        out = with_block_key(out, t, spec, f"__key{i}", helpers)
     return out.select(F.col(spec.id_col).alias("id"), F.array(*[F.col(f"__key{i}") for i in range(len(plan.rounds))]).alias("keys"))
 
 
