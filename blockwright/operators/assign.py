@@ -72,8 +72,8 @@ def _route(df: DataFrame, tree: BlockTree, spec: BlockingSpec, p: str, helpers=(
     return df, inner if case is None else case.otherwise(inner)
 
 
-def _chain_key(tree: BlockTree, spec: BlockingSpec) -> Column:
-    joined = F.concat_ws("\x1f", *[hashes.column(h, spec) for h in tree.chain])
+def _chain_key(tree: BlockTree, spec: BlockingSpec, helpers=()) -> Column:
+    joined = F.concat_ws("\x1f", *[hashes.column(h, spec, helpers) for h in tree.chain])
     if not tree.chain_parts:
         return joined
     part = mixer(F.col(spec.id_col), tree.seed)
@@ -87,7 +87,9 @@ def _chain_key(tree: BlockTree, spec: BlockingSpec) -> Column:
 def with_block_key(df: DataFrame, tree: BlockTree, spec: BlockingSpec, name: str = "block_key", helpers=()) -> DataFrame:
     """All columns of `df` and the block key. An existing column of that name is replaced. helpers: names of columns of `hashes.shared` that are there."""
     if tree.chain:
-        return df.withColumn(name, _chain_key(tree, spec))
+        # every function of a chain is computed for every record
+        own = {} if helpers else hashes.shared(list(tree.chain), spec)
+        return df.withColumns(own).withColumn(name, _chain_key(tree, spec, helpers or own)).drop(*own)
     helper = "__route_"
     keep = [c for c in df.columns if c != name]
     routed, key = _route(df, tree, spec, helper, helpers)
