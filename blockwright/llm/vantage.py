@@ -9,12 +9,15 @@ between the query's own distance and that range; it is pruned where that bound t
 `factor` exceeds the distance of the k-th best found so far. Factor 1 prunes nothing that
 could matter, so the search is exact; larger factors prune more and may miss.
 
-Every vector is a query. Each first searches its own shard, then only the shards that its
-k-th best distance (by the same rule, from the pivots' distances, radii and bisecting
+Queries are the vectors whose id is divisible by `every` (1: all of them; op8 takes 50), and
+each is held against all vectors. It first searches its own shard, then only the shards that
+its k-th best distance (by the same rule, from the pivots' distances, radii and bisecting
 planes) leaves open: first the cells, then the shards of those. The queries of a shard are
 streamed past its one tree and walk it together: distances at a node or leaf are one matrix
-product. The driver and a broadcast hold the cell pivots alone, about the root of the number
-of shards; a task holds one shard, or the pivots of one cell.
+product. At a leaf that product is in single precision and only sorts out: what may be among
+the k best by the bound of its rounding errors is measured again in double precision, so
+nothing is lost. The driver and a broadcast hold the cell pivots alone, about the root of the
+number of shards; a task holds one shard, or the pivots of one cell.
 
 Defined results: rows without an id, and rows whose vector is null, empty, of another
 length than most, or has a null or non-finite entry, take no part; rows of equal id are one
@@ -26,18 +29,22 @@ ignored.
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, FloatType
 
-from ..functions.scratch import cut
+from ..functions.scratch import cut, drop
 
 K = 10
 FACTOR = 1.0
 LEAF = 256
 SHARD_ROWS = 16_384
 SENT_ROWS = 65_536
+#: op8 asks for the neighbours of every so many-th id.
+EVERY = 50
+#: Pairs measured at a time.
+MEASURED = 65_536
 
 
 def squares(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -48,6 +55,9 @@ def squares(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 class Tree:
     def __init__(self, ids: np.ndarray, x: np.ndarray, leaf: int = LEAF):
         self.ids, self.x, self.leaf = ids, x, leaf
+        with np.errstate(over="ignore"):
+            self.norms = (x * x).sum(1)
+            self.single = np.column_stack([x, self.norms]).astype(np.float32)
         self.root = self._grow(np.arange(len(ids)))
 
     def _grow(self, rows: np.ndarray):
@@ -66,6 +76,9 @@ class Tree:
         self.who = np.full((len(q), k), np.iinfo(np.int64).max)
         self.bound = np.full(len(q), np.inf) if bound is None else bound.copy()
         self.visited = 0
+        with np.errstate(over="ignore"):
+            self.q_norms = (q * q).sum(1)
+            self.q_single = np.column_stack([-2 * q, np.ones(len(q))]).astype(np.float32)
         if bound is None:
             self._home(self.root, np.arange(len(q)))
             self.bound = self.best[:, -1].copy()
@@ -102,35 +115,56 @@ class Tree:
 
     def _scan(self, rows: np.ndarray, at: np.ndarray) -> None:
         self.visited += len(rows) * len(at)
-        ids = self.ids[rows]
+        ids, single, longest = self.ids[rows], self.single[rows].T, self.norms[rows].max()
         for i in range(0, len(at), 1024):
             a = at[i : i + 1024]
-            d = squares(self.q[a], self.x[rows])
-            d[self.q_ids[a][:, None] == ids[None]] = np.inf
-            if d.shape[1] > 4 * self.k:
-                # all that tie with the k-th stay, so that ids decide
-                kth = np.partition(d, self.k - 1, axis=1)[:, self.k - 1 : self.k]
-                width = int((d <= np.minimum(kth, np.finfo(float).max)).sum(1).max())
-                pick = np.argpartition(d, min(max(width, 1), d.shape[1]) - 1, axis=1)[:, : max(width, 1)]
-                d = np.take_along_axis(d, pick, 1)
-                who = ids[pick]
-            else:
-                who = np.broadcast_to(ids, d.shape)
-            d = np.hstack([self.best[a], d])
-            who = np.hstack([self.who[a], who])
-            who = np.where(np.isinf(d), np.iinfo(np.int64).max, who)
-            order = np.lexsort((who, d), axis=1)[:, : self.k]
-            self.best[a] = np.take_along_axis(d, order, 1)
-            self.who[a] = np.take_along_axis(who, order, 1)
+            most = self.q_norms[a] + longest
+            # what rounding to single precision, and the square to 9 digits, can shift a square by; unknown near overflow
+            slack = np.where(most < 1e37, 4 * (self.x.shape[1] + 4) * np.finfo(np.float32).eps * most + 1e-8, np.inf)
+            with np.errstate(over="ignore", invalid="ignore"):
+                # squares less the query's own norm
+                rough = self.q_single[a] @ single
+                limit = np.where(np.isinf(slack), np.inf, np.minimum(self.bound[a], self.best[a, -1]) + slack - self.q_norms[a])
+                flat = np.flatnonzero(~(rough > limit.astype(np.float32)[:, None]))
+                of, to = np.divmod(flat, len(rows))
+                crowded = np.flatnonzero(np.bincount(of, minlength=len(a)) > 4 * self.k)
+                if len(crowded):
+                    # the k + 1 least by rough squares (one may be the query itself) bound the k-th best
+                    kth = np.full(len(a), np.inf)
+                    kth[crowded] = np.partition(rough[crowded], self.k, axis=1)[:, self.k] + 2 * slack[crowded]
+                    near = ~(rough[of, to] > kth.astype(np.float32)[of])
+                    of, to = of[near], to[near]
+            other = self.q_ids[a[of]] != ids[to]
+            of, to = of[other], to[other]
+            if len(of):
+                self._keep(a, of, ids[to], self._measured(a[of], rows[to]))
+
+    def _measured(self, of: np.ndarray, to: np.ndarray) -> np.ndarray:
+        """Squared distances of pairs of a query and a row, rounded as in `squares`."""
+        d = np.empty(len(of))
+        for i in range(0, len(of), MEASURED):
+            apart = self.q[of[i : i + MEASURED]] - self.x[to[i : i + MEASURED]]
+            d[i : i + MEASURED] = np.einsum("ij,ij->i", apart, apart)
+        return np.round(d, 9)
+
+    def _keep(self, a: np.ndarray, of: np.ndarray, who: np.ndarray, d: np.ndarray) -> None:
+        """The k best of what queries `a` have and of new pairs (of: places in a, in order)."""
+        new = np.unique(of)
+        has = np.isfinite(self.best[a[new]])
+        of = np.concatenate([np.repeat(new, has.sum(1)), of])
+        who = np.concatenate([self.who[a[new]][has], who])
+        d = np.concatenate([self.best[a[new]][has], d])
+        order = np.lexsort((who, d, of))
+        of, who, d = of[order], who[order], d[order]
+        rank = np.arange(len(of)) - np.searchsorted(of, of)
+        top = rank < self.k
+        self.best[a[of[top]], rank[top]] = d[top]
+        self.who[a[of[top]], rank[top]] = who[top]
 
 
 def _matrix(col) -> np.ndarray:
-    """Rows of a column of lists of equal length, Arrow or pandas."""
-    if not len(col):
-        return np.zeros((0, 1))
-    if isinstance(col, pa.Array):
-        return col.flatten().to_numpy().reshape(len(col), -1)
-    return np.stack(col.to_numpy()).astype(np.float64)
+    """Rows of an Arrow column of lists of equal length."""
+    return col.flatten().to_numpy().reshape(len(col), -1).astype(np.float64, copy=False) if len(col) else np.zeros((0, 1))
 
 
 def _columns(part) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -138,8 +172,9 @@ def _columns(part) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.n
     return part.column(2).to_numpy(), _matrix(part.column(3)), *(part.column(i).to_numpy() for i in (4, 5, 6))
 
 
-def _lists(x: np.ndarray) -> pa.Array:
-    return pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, x.shape[1]), pa.int32()), pa.array(x.reshape(-1)))
+def _lists(x: np.ndarray, number: str) -> pa.Array:
+    """Rows as lists of `number`, float or double: vectors are written and sent as wide as they came."""
+    return pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, x.shape[1]), pa.int32()), pa.array(x.reshape(-1).astype(np.float32 if number == "float" else np.float64, copy=False)))
 
 
 def _row(key, a=None, b=None, home=None, id_="id") -> list:
@@ -192,12 +227,12 @@ def _gaps(d2: np.ndarray, pivots: np.ndarray, lo: np.ndarray, hi: np.ndarray) ->
     return np.maximum(np.maximum(np.maximum(d - hi[None], lo[None] - d), plane), 0)
 
 
-def _sent(go: np.ndarray, keys: np.ndarray, ids: np.ndarray, x: np.ndarray, bound: np.ndarray, home: np.ndarray):
+def _sent(go: np.ndarray, keys: np.ndarray, ids: np.ndarray, x: np.ndarray, bound: np.ndarray, home: np.ndarray, number: str):
     """Record batches (key, id, v, a, home) of the queries and the keys they go to, `SENT_ROWS` at a time."""
     at, to = np.nonzero(go)
     for i in range(0, len(at), SENT_ROWS):
         q, k = at[i : i + SENT_ROWS], to[i : i + SENT_ROWS]
-        yield pa.RecordBatch.from_arrays([pa.array(keys[k]), pa.array(ids[q]), _lists(x[q]), pa.array(bound[q]), pa.array(home[q])], ["key", "id", "v", "a", "home"])
+        yield pa.RecordBatch.from_arrays([pa.array(keys[k]), pa.array(ids[q]), _lists(x[q], number), pa.array(bound[q]), pa.array(home[q])], ["key", "id", "v", "a", "home"])
 
 
 def _found(q_ids: np.ndarray, best: np.ndarray, who: np.ndarray) -> pa.RecordBatch:
@@ -205,10 +240,12 @@ def _found(q_ids: np.ndarray, best: np.ndarray, who: np.ndarray) -> pa.RecordBat
     return pa.RecordBatch.from_arrays([pa.array(q_ids[at]), pa.array(who[at, rank]), pa.array(best[at, rank])], ["id", "neighbour", "square"])
 
 
-def neighbours(vectors: DataFrame, k: int = K, factor: float = FACTOR, id_col: str = "vec_id", vec_col: str = "embedding", shard_rows: int = SHARD_ROWS, seed: int = 3, leaf: int = LEAF) -> DataFrame:
-    """(id, neighbour, rank, distance) of every vector's k best; the distance is rounded to 6 digits."""
+def neighbours(vectors: DataFrame, k: int = K, factor: float = FACTOR, id_col: str = "vec_id", vec_col: str = "embedding", shard_rows: int = SHARD_ROWS, seed: int = 3, leaf: int = LEAF, every: int = 1) -> DataFrame:
+    """(id, neighbour, rank, distance) of the k best of all vectors for each whose id is divisible by `every`; the distance is rounded to 6 digits."""
     spark = vectors.sparkSession
-    v = F.col(vec_col).cast("array<double>")
+    given = vectors.select(vec_col).schema[0].dataType
+    number = "float" if isinstance(given, ArrayType) and isinstance(given.elementType, FloatType) else "double"
+    v = F.col(vec_col).cast(f"array<{number}>")
     sound = vectors.select(F.col(id_col).cast("bigint").alias("id"), v.alias("v")).where("id is not null and size(v) > 0").where(~F.exists("v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))))
     lengths = sound.groupBy(F.size("v").alias("dims")).count().orderBy(F.desc("count"), "dims").first()
     if lengths is None:
@@ -220,7 +257,7 @@ def neighbours(vectors: DataFrame, k: int = K, factor: float = FACTOR, id_col: s
     # the root of the number of shards: all that the driver and a broadcast ever hold
     first = base.orderBy(order, "id").limit(max(1, int(np.ceil(np.sqrt(shards))))).collect()
     top = spark.sparkContext.broadcast(np.array([r["v"] for r in first]))
-    place = "id bigint, v array<double>, cell bigint, d double"
+    place = f"id bigint, v array<{number}>, cell bigint, d double"
 
     def to_cell(batches):
         for b in batches:
@@ -241,22 +278,24 @@ def neighbours(vectors: DataFrame, k: int = K, factor: float = FACTOR, id_col: s
         p_ids, p = state
         d = squares(x, p)
         home = d.argmin(1)
-        yield pa.RecordBatch.from_arrays([pa.array(ids), _lists(x), pa.array(np.full(len(ids), key)), pa.array(p_ids[home]), pa.array(np.sqrt(d[np.arange(len(d)), home]))], ["id", "v", "cell", "shard", "d"])
+        yield pa.RecordBatch.from_arrays([pa.array(ids), _lists(x, number), pa.array(np.full(len(ids), key)), pa.array(p_ids[home]), pa.array(np.sqrt(d[np.arange(len(d)), home]))], ["id", "v", "cell", "shard", "d"])
 
-    placed = cut(_meet(pivots.select(*_row("cell")), celled.select(*_row("cell")), lambda ids, x, *_: (ids, x), nearest, "id bigint, v array<double>, cell bigint, shard bigint, d double"), "shards")
+    placed = cut(_meet(pivots.select(*_row("cell")), celled.select(*_row("cell")), lambda ids, x, *_: (ids, x), nearest, f"id bigint, v array<{number}>, cell bigint, shard bigint, d double"), "shards")
+    # `placed` has their rows
+    drop(base)
+    drop(celled)
 
-    def own(pdf):
-        pdf = pdf.sort_values("id")
-        x, ids = _matrix(pdf["v"]), pdf["id"].to_numpy()
-        return _found(ids, *Tree(ids, x, leaf).search(ids, x, k, factor)).to_pandas()
+    def own(tree, key, ids, x, *_):
+        yield _found(ids, *tree.search(ids, x, k, factor))
 
     out = "id bigint, neighbour bigint, square double"
-    home = placed.groupBy("shard").applyInPandas(own, out)
+    asked = placed.where(F.col("id") % every == 0)
+    home = _meet(placed.select(*_row("shard")), asked.select(*_row("shard")), lambda ids, x, *_: Tree(ids, x, leaf), own, out)
     if shards > 1:
         home = cut(home, "home")
         kth = home.groupBy("id").agg(F.when(F.count("*") >= k, F.max("square")).otherwise(float("inf")).alias("bound"))
-        questions = placed.join(kth, "id", "left").select("id", "v", F.coalesce("bound", F.lit(float("inf"))).alias("bound"), "shard")
-        shape = "key bigint, id bigint, v array<double>, a double, home bigint"
+        questions = asked.join(kth, "id", "left").select("id", "v", F.coalesce("bound", F.lit(float("inf"))).alias("bound"), "shard")
+        shape = f"key bigint, id bigint, v array<{number}>, a double, home bigint"
 
         def open_cells(batches):
             lo, hi = ring.value
@@ -265,16 +304,16 @@ def neighbours(vectors: DataFrame, k: int = K, factor: float = FACTOR, id_col: s
                 if len(x):
                     gap = _gaps(squares(x, top.value), top.value, lo, hi) * factor
                     ids, bound, own_shard = (b.column(i).to_numpy() for i in (0, 2, 3))
-                    yield from _sent(gap <= np.sqrt(bound)[:, None] + 1e-6, np.arange(len(first)), ids, x, bound, own_shard)
+                    yield from _sent(gap <= np.sqrt(bound)[:, None] + 1e-6, np.arange(len(first)), ids, x, bound, own_shard, number)
 
         to_cells = questions.mapInArrow(open_cells, shape).select(*_row("key", a="a", home="home"))
         rings = placed.groupBy("cell", "shard").agg(F.min("d").alias("a"), F.max("d").alias("b"))
-        signs = rings.join(base.withColumnRenamed("id", "shard"), "shard").select(*_row("cell", a="a", b="b", id_="shard"))
+        signs = rings.join(placed.select(F.col("id").alias("shard"), "v"), "shard").select(*_row("cell", a="a", b="b", id_="shard"))
 
         def open_shards(state, key, ids, x, bound, _, home):
             p_ids, p, lo, hi = state
             go = (_gaps(squares(x, p), p, lo, hi) * factor <= np.sqrt(bound)[:, None] + 1e-6) & (p_ids[None] != home[:, None])
-            yield from _sent(go, p_ids, ids, x, bound, home)
+            yield from _sent(go, p_ids, ids, x, bound, home, number)
 
         to_shards = _meet(signs, to_cells, lambda ids, x, a, b, _: (ids, x, a, b), open_shards, shape).select(*_row("key", a="a"))
 
@@ -288,13 +327,14 @@ def neighbours(vectors: DataFrame, k: int = K, factor: float = FACTOR, id_col: s
 
 
 def op8_vantage_points(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return neighbours(spark.read.parquet(f"{sf_dir}/embeddings.parquet")).withColumnsRenamed({"id": "vec_id", "neighbour": "neighbour_id"})
+    """The 10 nearest of all vectors for every vector whose id is divisible by 50."""
+    return neighbours(spark.read.parquet(f"{sf_dir}/embeddings.parquet"), every=EVERY).withColumnsRenamed({"id": "vec_id", "neighbour": "neighbour_id"})
 
 
 OP8_SQL = """
 WITH p AS (
   SELECT a.vec_id, b.vec_id AS neighbour_id, round(greatest(list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda z: (z[1]::DOUBLE - z[2]::DOUBLE) * (z[1]::DOUBLE - z[2]::DOUBLE))), 0), 9) AS sq
-  FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id
+  FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id AND a.vec_id % 50 = 0
 ), r AS (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY sq, neighbour_id) AS rank FROM p)
 SELECT vec_id, neighbour_id, CAST(rank AS INTEGER) AS rank, round(sqrt(sq), 6) AS distance FROM r WHERE rank <= 10
 """

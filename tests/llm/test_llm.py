@@ -186,6 +186,40 @@ def test_neighbours_edges(spark):
     assert vantage.neighbours(spark.createDataFrame([], "vec_id long, embedding array<double>")).count() == 0
 
 
+def test_search_asks_every_50th_id_against_all_vectors(spark):
+    e = spark.read.parquet(f"{SF}/embeddings.parquet")
+    rows = e.orderBy("vec_id").collect()
+    x, ids = np.array([r["embedding"] for r in rows], float), [r["vec_id"] for r in rows]
+    want = []
+    for i in np.flatnonzero(np.array(ids) % 50 == 0):
+        square = np.round(((x - x[i]) ** 2).sum(1), 9)
+        best = sorted((square[j], ids[j]) for j in range(len(ids)) if j != i)[:10]
+        want += [(ids[i], j, rank, round(float(np.sqrt(d)), 6)) for rank, (d, j) in enumerate(best, 1)]
+    assert len(want) == 100
+    assert sorted(map(tuple, vantage.op8_vantage_points(spark, SF).collect()), key=lambda r: (r[0], r[2])) == want
+    # several shards, some of them without a query
+    assert sorted(map(tuple, vantage.neighbours(e, every=50, shard_rows=30, leaf=16).collect()), key=lambda r: (r[0], r[2])) == want
+    assert vantage.neighbours(e.where("vec_id % 50 <> 0"), every=50).count() == 0
+
+
+def test_tree_search_is_exact_on_odd_vectors():
+    """Single precision sorts out leaves; ties, other scales and far origins must lose nothing."""
+    rnd = np.random.default_rng(5)
+    cases = {"ties": rnd.integers(0, 2, (900, 4)).astype(float), "equal": np.ones((700, 3)), "tiny": rnd.normal(size=(600, 8)) * 1e-20, "huge": rnd.normal(size=(300, 8)) * 1e25, "mixed": rnd.normal(size=(500, 5)) * 10.0 ** rnd.integers(-3, 4, (500, 1)), "line": rnd.normal(size=(700, 1)), "far": rnd.normal(size=(500, 6)) + 1e3}
+    for name, x in cases.items():
+        ids = np.arange(len(x)) * 3
+        tree, q = vantage.Tree(ids, x, leaf=64), np.arange(0, len(x), 7)
+        best, who = tree.search(ids[q], x[q], 10, 1.0)
+        # a bound from elsewhere keeps all that is not beyond it
+        bound = best[:, 4].copy()
+        best_b, who_b = tree.search(ids[q], x[q], 10, 1.0, bound)
+        for n, i in enumerate(q):
+            square = np.round(((x - x[i]) ** 2).sum(1), 9)
+            want = sorted((square[j], ids[j]) for j in range(len(x)) if j != i)[:10]
+            assert list(who[n]) == [j for _, j in want] and np.allclose(best[n], [d for d, _ in want], rtol=1e-12), name
+            assert list(who_b[n][best_b[n] <= bound[n]]) == list(who[n][best[n] <= bound[n]]), name
+
+
 def test_warc_round_trip(spark, tmp_path):
     pages = spark.createDataFrame([(1, "http://a", "<p>x</p>"), (2, None, ""), (3, "http://c", None), (None, "u", "WARC/1.0\r\n\r\nfake " * 9), (1, "http://a", "é" * 300_000)], "page_id long, url string, html string")
     paths = warc.write_monolithic(pages.coalesce(1), f"file://{tmp_path}/in").collect()
