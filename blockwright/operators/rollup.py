@@ -13,9 +13,10 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.scratch import cut
+from .components import connected_components
 
-#: Cross edges up to which the greedy merge runs on the driver; beyond it use strategy="matching".
-DRIVER_EDGES = 2_000_000
+#: Cross edges up to which the greedy merge runs on the driver; beyond it, in a task for each connected component.
+DRIVER_EDGES = 100_000
 
 
 def edges(assigned: DataFrame, pairs: DataFrame) -> DataFrame:
@@ -138,6 +139,40 @@ def best_greedy(sizes, cross, cap) -> list[set[str]]:
     return max(plans, key=lambda g: recovered(g, cross))
 
 
+def fitting(assigned: DataFrame, cross: DataFrame, cap: int) -> DataFrame:
+    """(a, b, benefit, na, nb): the cross edges whose two blocks fit the cap together."""
+    sizes = cut(touched_sizes(assigned, cross), "sizes")
+    x, y = (sizes.select(F.col("block_key").alias(k), F.col("n").alias(f"n{k}")) for k in "ab")
+    return cut(cross.join(x, "a").join(y, "b").where(F.col("na") + F.col("nb") <= cap).select("a", "b", "benefit", "na", "nb"), "fit")
+
+
+def _of(fit: pd.DataFrame) -> tuple[dict[str, int], dict[tuple[str, str], int]]:
+    """Sizes and benefits of rows of `fitting`."""
+    sizes = dict(zip(fit["a"], map(int, fit["na"]))) | dict(zip(fit["b"], map(int, fit["nb"])))
+    return sizes, {(a, b): int(n) for a, b, n in zip(fit["a"], fit["b"], fit["benefit"])}
+
+
+def greedy_by_component(fit: DataFrame, cap: int, safeguard: bool = True) -> DataFrame:
+    """(block_key, merged_key) of the greedy merge over (a, b, benefit, na, nb), a task for each connected component.
+
+    Merges of one component change nothing in another, so the groups are those of one merge over
+    all. With `safeguard` both plans are made, and the one that recovers more in all is taken.
+    """
+    label = connected_components(fit.select("a", "b"), "a", "b").select(F.col("node").alias("a"), F.col("label").alias("component"))
+
+    def run(pdf):
+        sizes, cross = _of(pdf)
+        rows = []
+        for plan, d in enumerate((True, False) if safeguard else (True,)):
+            groups = [g for g in greedy(sizes, cross, cap, by_density=d) if len(g) > 1]
+            rows += [(plan, k, min(g), 0) for g in groups for k in g] + [(plan, None, None, recovered(groups, cross))]
+        return pd.DataFrame(rows, columns=["plan", "block_key", "merged_key", "won"])
+
+    made = cut(fit.join(label, "a").groupBy("component").applyInPandas(run, "plan int, block_key string, merged_key string, won bigint"), "plans")
+    won = {r["plan"]: r["won"] for r in made.groupBy("plan").agg(F.sum("won").alias("won")).collect()}
+    return made.where((F.col("plan") == max(sorted(won), key=won.get, default=0)) & F.col("block_key").isNotNull()).select("block_key", "merged_key")
+
+
 def exact_rollup(sizes: dict[str, int], cross: dict[tuple[str, str], int], cap: int) -> list[set[str]]:
     """Best grouping of at most 12 blocks, by trying all."""
     if len(sizes) > 12:
@@ -179,8 +214,9 @@ def to_map(spark: SparkSession, groups: list[set[str]]) -> DataFrame:
 def rollup(assigned: DataFrame, pairs: DataFrame, cap: int, strategy: str = "density", safeguard: bool = True, merge_zero_benefit: bool = False, target_blocks: int | None = None) -> DataFrame:
     """(block_key, merged_key) for the blocks of any disjoint assignment that are merged.
 
-    "density" collects the cross edges, of which there are no more than split pairs;
-    "matching" stays distributed, whatever their number. With `merge_zero_benefit` what is
+    "density" works on the cross edges whose two blocks fit the cap together, as no others can
+    ever be in one group: few of them on the driver, more in tasks by connected component, with
+    the same result. "matching" goes by rounds of mutually best merges. With `merge_zero_benefit` what is
     left is packed further by `merge_small`, without looking at pairs.
     """
     spark = assigned.sparkSession
@@ -189,11 +225,12 @@ def rollup(assigned: DataFrame, pairs: DataFrame, cap: int, strategy: str = "den
     if strategy == "matching":
         merged = matching_rollup(assigned, cross, cap)
     else:
-        if cross.count() > DRIVER_EDGES:
-            raise ValueError('too many split pairs for the driver: use strategy="matching"')
-        got = {(r["a"], r["b"]): r["benefit"] for r in cross.collect()}
-        sizes = {r["block_key"]: r["n"] for r in touched_sizes(assigned, cross).collect()}
-        merged = to_map(spark, best_greedy(sizes, got, cap) if safeguard else greedy(sizes, got, cap))
+        fit = fitting(assigned, cross, cap)
+        if fit.count() > DRIVER_EDGES:
+            merged = greedy_by_component(fit, cap, safeguard)
+        else:
+            sizes, got = _of(fit.toPandas())
+            merged = to_map(spark, best_greedy(sizes, got, cap) if safeguard else greedy(sizes, got, cap))
     if not merge_zero_benefit:
         return merged
     every = assigned.groupBy("block_key").agg(F.count("*").alias("n"))
