@@ -9,6 +9,7 @@ from __future__ import annotations
 import heapq
 
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -259,20 +260,19 @@ def rolled_rounds(df: DataFrame, spec, features, config, pairs: DataFrame, roll:
     from .cost import together
 
     open_, out, plans, seen = np.arange(len(features.same)), [], [], 0
-    at = {tuple(map(int, x)): i for i, x in enumerate(features.pair_ids)}
     spark = df.sparkSession
     while len(open_) and len(plans) < config.max_rounds:
         tree = learn.LEARNERS[learner](features.pick(open_), config)
-        left = spark.createDataFrame([tuple(map(int, features.pair_ids[i])) for i in open_], "l_id bigint, r_id bigint")
+        left = cut(spark.createDataFrame(pa.table({"l_id": features.pair_ids[open_, 0], "r_id": features.pair_ids[open_, 1], "i": open_})), "open")
         blocks = cut(assign_blocks(df, tree, spec), "blocks")
         plan = cut(rollup(blocks, left, config.max_block_size), "plan") if roll else None
-        kept = together(merged(blocks, plan) if roll else blocks, left).where("kept").select("l_id", "r_id").collect()
-        if not kept:
+        kept = together(merged(blocks, plan) if roll else blocks, left).where("kept").join(left, ["l_id", "r_id"]).select("i").toArrow()["i"].to_numpy()
+        if not len(kept):
             break
         plans.append((tree, plan))
         seen += len(kept)
         out.append(seen)
-        open_ = np.setdiff1d(open_, [at[(r["l_id"], r["r_id"])] for r in kept])
+        open_ = np.setdiff1d(open_, kept)
     return out, plans
 
 
