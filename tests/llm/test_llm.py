@@ -565,3 +565,15 @@ def test_pipeline_against_its_parts(spark):
     tokens = sum(len(r["text"].split()) for r in docs.select("text").collect())
     rows = packing.pack(docs).agg(F.sum("n_tokens")).first()[0]
     assert rows == tokens
+
+
+def test_plain_words_are_not_searched_for_secrets(spark):
+    found = ["-----BEGIN PRIVATE KEY-----\nabc", "password: abcdefgh", "Secret:\nabcdefgh", "ghp_" + "a" * 30, "sk-" + "a" * 20, "xoxb-" + "a" * 10, "eyJ" + "a" * 10 + "." + "a" * 10 + "." + "a" * 5, "AKIA" + "A" * 16, "a@b.org", "ab:cd:ef:ab:cd:ef:ab:cd", "DE12 AAAA AAAA AAAA", "(12) 345 6789", "token=abcdefgh"]
+    plain = ["the secret token of a password", "sketch: no key here", "", "ſecret words"]
+    rows = spark.createDataFrame([(x,) for x in found + plain], "text string")
+    out = F.col("text")
+    for name, pattern in sanitise.PATTERNS:
+        out = F.regexp_replace(out, pattern, f"<{name}>")
+    got = {r["text"]: r for r in rows.select("text", sanitise.hinted(F.col("text")).alias("h"), sanitise.masked(F.col("text")).alias("m"), out.alias("all")).collect()}
+    assert all(got[x]["h"] and got[x]["m"] != x for x in found) and not any(got[x]["h"] for x in plain)
+    assert all(r["m"] == r["all"] for r in got.values())
