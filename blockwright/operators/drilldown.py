@@ -105,27 +105,32 @@ class _Least:
         return value, value * _STEP - best
 
 
-def solve(ends: list, pairs: list[tuple], reach: list[int]) -> tuple[int, list[tuple[int, int]]]:
+def _times(pairs: list[tuple] | dict[tuple, int]):
+    """((low, high), times) of pairs that are listed, or counted by their values."""
+    return pairs.items() if isinstance(pairs, dict) else ((p, 1) for p in pairs)
+
+
+def solve(ends: list, pairs: list[tuple] | dict[tuple, int], reach: list[int]) -> tuple[int, list[tuple[int, int]]]:
     """(violations, runs): the best runs (i, j) of sorted `ends`; reach[i] is the furthest end that fits with i (at least i).
 
-    pairs are (low, high) values among the ends, with low < high.
+    pairs are (low, high) values among the ends, with low < high, or how many pairs have them.
     """
     k = len(ends)
     if not k:
         return 0, []
     at = {e: i for i, e in enumerate(ends)}
-    starting: list[list[int]] = [[] for _ in range(k)]
-    for a, b in pairs:
+    starting: list[list[tuple[int, int]]] = [[] for _ in range(k)]
+    for (a, b), n in _times(pairs):
         if a != b:
-            starting[at[a]].append(at[b])
+            starting[at[a]].append((at[b], n))
     tree = _Least(k)
     value = [0] * (k + 1)
     choice = [0] * k
     for i in range(k - 1, -1, -1):
         # a run that ends at j leaves V(j+1), plus the pairs that begin inside and end beyond j
         tree.set(i, value[i + 1])
-        for r in starting[i]:
-            tree.add(i, r, 1)
+        for r, n in starting[i]:
+            tree.add(i, r, n)
         value[i], choice[i] = tree.least(i, reach[i] + 1)
     runs, i = [], 0
     while i < k:
@@ -297,19 +302,25 @@ def tile(starts: list[tuple], cap: float) -> list[Interval]:
 FULL_VALUES = 1_000_000
 
 
-def drilldown(df: DataFrame, key: Column, pairs: list[tuple], cap: int, cost="count", solver: str = "endpoints") -> list[Interval]:
+def drilldown(df: DataFrame, key: Column, pairs: list[tuple] | dict[tuple, int], cap: int, cost="count", solver: str = "endpoints") -> list[Interval]:
     """Optimal intervals of the ordered column `key` under a bound on each.
 
-    pairs: values (low, high) of labelled pairs, in any order; nulls are ignored.
+    pairs: values (low, high) of labelled pairs, in any order, or how many pairs have them; nulls are ignored.
     cost: "count", records in an interval; "width", the difference of its ends (numbers and
     dates); or a function of (low, high) that does not fall when the interval grows.
     solver: "endpoints" needs only the ends of pairs; "full" runs the recurrence over all values
     of the domain (cost "count" alone, at most `FULL_VALUES` of them), for comparison.
     """
-    pairs = [(min(p), max(p)) for p in pairs if None not in p]
+    counted: dict[tuple, int] = {}
+    for x, n in _times(pairs):
+        if None not in x:
+            x = min(x), max(x)
+            counted[x] = counted.get(x, 0) + n
+    pairs = counted
     if solver == "full":
         if cost != "count":
             raise ValueError("the full solver counts records")
+        pairs = [x for x, n in pairs.items() for _ in range(n)]
         rows = df.select(key.alias("k")).where("k is not null").groupBy("k").agg(F.count("*").alias("n")).orderBy("k").limit(FULL_VALUES + 1).collect()
         if len(rows) > FULL_VALUES:
             raise ValueError('too many values for the driver: use solver="endpoints"')
@@ -347,11 +358,11 @@ def drilldown(df: DataFrame, key: Column, pairs: list[tuple], cap: int, cost="co
     return tile(_joined(starts, cap), cap)
 
 
-def broken(partition: list[Interval], pairs: list[tuple]) -> int:
+def broken(partition: list[Interval], pairs: list[tuple] | dict[tuple, int]) -> int:
     """Pairs (with values on both sides) that the partition splits."""
     ups = [x.hi for x in partition if x.hi is not None]
     at = lambda v: bisect.bisect_right(ups, v)
-    return sum(1 for a, b in pairs if a is not None and b is not None and at(a) != at(b))
+    return sum(n for (a, b), n in _times(pairs) if a is not None and b is not None and at(a) != at(b))
 
 
 def is_dcc(partition: list[Interval]) -> bool:
@@ -414,13 +425,23 @@ def overlapping_by_count(df: DataFrame, key: Column, pairs: list[tuple], cap: in
     return [(a, b, count(a, b)) for a, b in overlapping(pairs, count, cap)]
 
 
-def pair_values(df: DataFrame, id_col: str, key: Column, pairs: DataFrame) -> list[tuple]:
-    """Values of both records of each labelled pair."""
+def _valued(df: DataFrame, id_col: str, key: Column, pairs: DataFrame) -> DataFrame:
     p = canonical_pairs(pairs)
     ids = p.select(F.explode_outer(F.array("l_id", "r_id")).alias("__pid")).distinct()
     v = df.join(ids, F.col(id_col) == F.col("__pid"), "left_semi").select(F.col(id_col).alias("id"), key.alias("k"))
     l, r = (v.select(F.col("id").alias(f"{s}_id"), F.col("k").alias(f"{s}k")) for s in "lr")
-    return [(x["lk"], x["rk"]) for x in p.join(l, "l_id").join(r, "r_id").orderBy("l_id", "r_id").select("lk", "rk").collect()]
+    return p.join(l, "l_id").join(r, "r_id")
+
+
+def pair_values(df: DataFrame, id_col: str, key: Column, pairs: DataFrame) -> list[tuple]:
+    """Values of both records of each labelled pair."""
+    return [(x["lk"], x["rk"]) for x in _valued(df, id_col, key, pairs).orderBy("l_id", "r_id").select("lk", "rk").collect()]
+
+
+def counted_values(df: DataFrame, id_col: str, key: Column, pairs: DataFrame) -> dict[tuple, int]:
+    """How many labelled pairs have each two (low, high) values: pairs are counted before they reach the driver, and equal copies are one row. Pairs with a null are left out."""
+    v = _valued(df, id_col, key, pairs).where("lk is not null and rk is not null").groupBy(F.least("lk", "rk").alias("low"), F.greatest("lk", "rk").alias("high")).agg(F.count("*").alias("n"))
+    return {(x["low"], x["high"]): x["n"] for x in cut(v, "values").toLocalIterator()}
 
 
 #: Orders of text attributes besides that of the value itself: by the first and by the last token.
@@ -435,5 +456,5 @@ def auto_library(df: DataFrame, spec: BlockingSpec, pairs: DataFrame, cap: int,
             continue
         for order in orders if a.kind in ("text", "token_text") else (None,):
             key = order_key(a, order)
-            out.append(interval_hash(a.name, drilldown(df, key, pair_values(df, spec.id_col, key, pairs), cap), order))
+            out.append(interval_hash(a.name, drilldown(df, key, counted_values(df, spec.id_col, key, pairs), cap), order))
     return out
