@@ -441,9 +441,12 @@ def pair_values(df: DataFrame, id_col: str, key: Column, pairs: DataFrame) -> li
 def counted_values(df: DataFrame, id_col: str, key: Column, pairs: DataFrame) -> dict[tuple, int]:
     """How many labelled pairs have each two (low, high) values: pairs are counted before they reach the driver, and equal copies are one row. Pairs with a null are left out."""
     v = _valued(df, id_col, key, pairs).where("lk is not null and rk is not null").groupBy(F.least("lk", "rk").alias("low"), F.greatest("lk", "rk").alias("high")).agg(F.count("*").alias("n"))
-    return {(x["low"], x["high"]): x["n"] for x in cut(v, "values").toLocalIterator()}
+    v = cut(v, "values")
+    return {(x["low"], x["high"]): x["n"] for x in v.coalesce(v.count() // VALUES_AT_ONCE + 1).toLocalIterator()}
 
 
+#: Counted values of pairs that come to the driver at once.
+VALUES_AT_ONCE = 200_000
 #: Orders of text attributes besides that of the value itself: by the first and by the last token.
 TEXT_ORDERS = ("identity", "first_token", "last_token")
 
